@@ -6,14 +6,20 @@ from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 
-from dagframe.llm import simhash
+from dagframe.llm import chat, lines, simhash, wordbpe
 
 
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
     return {
         "op1_simhash_dedup": simhash.op1_simhash_dedup,
+        "op3_chat_format": chat.op3_chat_format,
+        "op5_token_counts": wordbpe.op5_token_counts,
+        "op10_line_dedup": lines.op10_line_dedup,
     }
 
 
 def oracle_sql() -> dict[str, str]:
-    return {}
+    return {
+        "op3_chat_format": chat.OP3_SQL,
+        "op10_line_dedup": lines.OP10_SQL,
+    }
