@@ -6,7 +6,7 @@ from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 
-from dagframe.llm import chat, lines, simhash, wordbpe
+from dagframe.llm import chat, lines, order_minhash, packing, simhash, wordbpe
 
 
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
@@ -14,6 +14,8 @@ def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
         "op1_simhash_dedup": simhash.op1_simhash_dedup,
         "op3_chat_format": chat.op3_chat_format,
         "op5_token_counts": wordbpe.op5_token_counts,
+        "op8_best_fit_packing": packing.op8_best_fit_packing,
+        "op9_order_minhash": order_minhash.op9_order_minhash,
         "op10_line_dedup": lines.op10_line_dedup,
     }
 
@@ -21,5 +23,7 @@ def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
 def oracle_sql() -> dict[str, str]:
     return {
         "op3_chat_format": chat.OP3_SQL,
+        "op8_best_fit_packing": packing.op8_best_fit_packing,
+        "op9_order_minhash": order_minhash.op9_order_minhash,
         "op10_line_dedup": lines.OP10_SQL,
     }
