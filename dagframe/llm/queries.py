@@ -6,13 +6,14 @@ from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 
-from dagframe.llm import chat, lines, order_minhash, packing, simhash, wordbpe
+from dagframe.llm import chat, lines, order_minhash, packing, quality, simhash, wordbpe
 
 
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
     return {
         "op1_simhash_dedup": simhash.op1_simhash_dedup,
         "op3_chat_format": chat.op3_chat_format,
+        "op4_quality_classifier": quality.op4_quality_classifier,
         "op5_token_counts": wordbpe.op5_token_counts,
         "op8_best_fit_packing": packing.op8_best_fit_packing,
         "op9_order_minhash": order_minhash.op9_order_minhash,

@@ -9,6 +9,7 @@ a text goes to the library whole.
 
 from __future__ import annotations
 
+from array import array
 from collections import Counter
 from collections.abc import Iterator
 
@@ -20,7 +21,9 @@ from pyspark.sql import functions as F
 from dagframe.llm.common import read_table
 
 SLICE = 1 << 20
-CACHE = 700_000
+CACHE = 1_200_000
+ROW = 4096
+MARKS = b",."
 FREQUENT = 65_536
 VOCABULARY = "word_bpe_49k.json"
 
@@ -65,26 +68,40 @@ class ChunkCache:
     def __init__(self, path: str, counts: bool, first: dict | None = None, most: int = CACHE):
         self.library, self.counts, self.most, self.first = library(path), counts, most, first or {}
         self.known: dict = dict(self.first)
+        self.closing = np.zeros(1 + max(self.library.get_vocab().values()), dtype=bool)
+        self.closing[[i for token, i in self.library.get_vocab().items() if token.endswith("</w>")]] = True
 
     def _value(self, ids: list[int]):
-        return len(ids) if self.counts else np.array(ids, dtype="<u4").tobytes()
+        return len(ids) if self.counts else array("I", ids).tobytes()
 
     def _ask(self, chunks: list[bytes]) -> list:
-        return [self._value(e.ids) for e in self.library.encode_batch_fast([c.decode() for c in chunks], add_special_tokens=False)]
+        """Each chunk's own value; chunks of letters alone are asked for many in a row, told apart by their last tokens."""
+        texts, out = [c.decode() for c in chunks], [None] * len(chunks)
+        words = [i for i, t in enumerate(texts) if t.isalpha()]
+        for at in range(0, len(words), ROW):
+            row = words[at : at + ROW]
+            ids = np.array(self.library.encode(" ".join([texts[i] for i in row]), add_special_tokens=False).ids, dtype="<u4")
+            ends = np.flatnonzero(self.closing[ids]) + 1
+            if len(ends) != len(row):  # a letter whose lower case is more than letters
+                continue
+            starts = [0, *ends[:-1].tolist()]
+            if self.counts:
+                values = np.diff(ends, prepend=0).tolist()
+            else:
+                data = ids.tobytes()
+                values = [data[4 * s : 4 * e] for s, e in zip(starts, ends.tolist(), strict=True)]
+            for i, value in zip(row, values, strict=True):
+                out[i] = value
+        rest = [i for i, value in enumerate(out) if value is None]
+        for i, e in zip(rest, self.library.encode_batch_fast([texts[i] for i in rest], add_special_tokens=False), strict=True):
+            out[i] = self._value(e.ids)
+        return out
 
     def learn(self, chunks: set[bytes]) -> None:
         """A comma or full stop after a letter is a token of its own, so only the rest needs the library."""
-        if len(self.known) + len(chunks) > self.most:
-            self.known = dict(self.first)
-            chunks = chunks | {b",", b"."} - self.known.keys()
-        known, cut, new = self.known, [], {b",", b"."} - self.known.keys()
-        for c in chunks:
-            if c[-1:] in (b",", b".") and len(c) > 1 and c[-2:-1].isalpha():
-                cut.append(c)
-                if c[:-1] not in known:
-                    new.add(c[:-1])
-            else:
-                new.add(c)
+        known = self.known
+        cut = [c for c in chunks if c[-1] in MARKS and c[-2:-1].isalpha()]
+        new = (chunks - set(cut) | {c[:-1] for c in cut} | {b",", b"."}) - known.keys()
         asked = list(new)
         known.update(zip(asked, self._ask(asked), strict=True))
         for c in cut:
@@ -110,11 +127,12 @@ class ChunkCache:
         return out
 
     def _fold(self, split: list, out: list) -> None:
-        missing = set().union(*(words for _, words in split)) - self.known.keys()
+        needed = set().union(*(words for _, words in split))
+        missing = needed - self.known.keys()
+        if len(self.known) + len(missing) > self.most:
+            self.known, missing = dict(self.first), needed - self.first.keys()
         if missing:
             self.learn(missing)
-            if not all(c in self.known for c in set().union(*(words for _, words in split)) - missing):  # the cache began anew
-                self.learn(set().union(*(words for _, words in split)) - self.known.keys())
         get = self.known.__getitem__
         for i, words in split:
             if self.counts:
