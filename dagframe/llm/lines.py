@@ -2,52 +2,61 @@
 
 The exact table holds one posting (key, doc_id) for each document and line key; its counts say in how many documents a key
 is and which the last one is. A key is *crowded* at ``min_docs`` documents. Crowded keys of a shard sit in that shard's
-cuckoo filter, which a scan asks first: only lines that the filter lets through meet the exact table, so a false positive
+cuckoo filter, which a scan asks first: only lines that a filter lets through meet the exact table, so a false positive
 costs a lookup and never a line. New documents add postings, removed documents take theirs away, and the filters take in
 or give up the keys that cross the threshold; what a deletion leaves is what an index without the document would be.
 
-Nulls and empty texts are one empty line. Rows without an id hold no postings and keep all lines; rows that repeat an id
+Null and empty texts are one empty line. Rows without an id hold no postings and keep all lines; rows that repeat an id
 are one document for the counts, and each keeps its own row.
 """
 
 from __future__ import annotations
 
+from hashlib import md5
+
 import numpy as np
 import pandas as pd
 import pyarrow as pa
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from dagframe.llm.common import ASCII_SPACE, ascii_lower, read_table, with_checkpoints
+from dagframe.llm.common import read_table, with_checkpoints
 from dagframe.llm.cuckoo import CuckooFilter
 
 MIN_CHARS = 40
 MIN_DOCS = 5
 SHARDS = 64
-FILTER_BYTES = 64 << 20
-
+BROADCAST_BYTES = 64 << 20
+KEY_BYTES = 16
 
-def _lines(text: str) -> Column:
-    return F.split(F.coalesce(F.col(text), F.lit("")), "\n")
 
-
-def _line_key(line: Column) -> Column:
-    return ascii_lower(F.btrim(line, F.lit(ASCII_SPACE)))
+def shard_of(key: Column, shards: int = SHARDS) -> Column:
+    return F.pmod(F.xxhash64(key), F.lit(shards)).cast("int")
 
 
-def _digest(key: Column) -> Column:
-    return F.unhex(F.md5(key))
+def line_key(line: bytes, min_chars: int = MIN_CHARS) -> bytes | None:
+    """The 16-byte digest of a line's key: trimmed and lower-cased within ASCII; None for a key that is too short."""
+    key = line.strip().lower()
+    if len(key) < min_chars or (not key.isascii() and len(key.decode("utf-8", "surrogatepass")) < min_chars):
+        return None
+    return md5(key, usedforsecurity=False).digest()
 
 
-def shard_of(key: Column, shards: int = SHARDS) -> Column:
-    return F.pmod(F.xxhash64(key), F.lit(shards)).cast("int")
+def postings(docs: DataFrame, doc_id: str = "doc_id", text: str = "text", min_chars: int = MIN_CHARS) -> DataFrame:
+    """``(key, doc_id)``, each once, of all lines whose key has at least ``min_chars`` code points."""
 
+    def run(batches):
+        for b in batches:
+            keys, at = [], []
+            for i, t in enumerate(b.column(1).cast(pa.binary()).to_pylist()):
+                own = {line_key(x, min_chars) for x in t.split(b"\n")} - {None}
+                keys += own
+                at += [i] * len(own)
+            yield pa.RecordBatch.from_arrays([pa.array(keys, pa.binary()), b.column(0).take(pa.array(at, pa.int64()))], ["key", "doc_id"])
 
-def postings(docs: DataFrame, doc_id: str = "doc_id", text: str = "text", min_chars: int = MIN_CHARS) -> DataFrame:
-    """``(key, doc_id)``, each once, of all lines whose key has at least ``min_chars`` code points; key: 16 bytes."""
-    keys = F.array_distinct(F.filter(F.transform(_lines(text), _line_key), lambda k: F.length(k) >= min_chars))
-    each = docs.where(F.col(doc_id).isNotNull()).select(F.col(doc_id).alias("doc_id"), F.explode(keys).alias("line"))
-    return each.select(_digest(F.col("line")).alias("key"), "doc_id").distinct()
+    kind = docs.schema[doc_id].dataType.simpleString()
+    each = docs.where(F.col(doc_id).isNotNull() & F.col(text).isNotNull()).select(F.col(doc_id).alias("doc_id"), F.col(text).alias("t"))
+    return each.mapInArrow(run, f"key binary, doc_id {kind}").distinct()
 
 
 def reference_counts(posted: DataFrame) -> DataFrame:
@@ -89,31 +98,6 @@ def updated_filters(old: DataFrame, gained: DataFrame, lost: DataFrame, crowded:
     return rows.groupBy("shard").applyInPandas(change, "shard int, filter binary")
 
 
-def passing(posted: DataFrame, sharded: DataFrame, shards: int = SHARDS, most_bytes: int = FILTER_BYTES) -> DataFrame:
-    """The postings that the filters let through.
-
-    The filters go to all tasks only if they take no more than ``most_bytes``; else nothing is held back here, and the
-    join with the exact table, which decides in either case, does the work alone.
-    """
-    if (sharded.agg(F.sum(F.length("filter"))).first()[0] or 0) > most_bytes:
-        return posted
-    held = posted.sparkSession.sparkContext.broadcast({r["shard"]: bytes(r["filter"]) for r in sharded.collect()})
-    loaded: dict[int, CuckooFilter] = {}
-
-    def probe(batches):
-        for frame in batches:
-            hit = np.zeros(len(frame), dtype=bool)
-            for shard, rows in frame.groupby("shard").indices.items():
-                if shard in held.value:
-                    own = loaded.setdefault(shard, None) or CuckooFilter.load(held.value[shard])
-                    loaded[shard] = own
-                    hit[rows] = own.contains([bytes(k) for k in frame["key"].iloc[rows]])
-            yield frame.loc[hit, ["key", "doc_id"]]
-
-    kind = posted.schema["doc_id"].dataType.simpleString()
-    return posted.select("key", "doc_id", shard_of(F.col("key"), shards).alias("shard")).mapInPandas(probe, f"key binary, doc_id {kind}")
-
-
 class LineIndex:
     """Exact postings and the filters over their crowded keys, open to insertions and deletions."""
 
@@ -144,25 +128,67 @@ class LineIndex:
         """The index without the documents whose ids ``ids`` lists."""
         return self._moved(self.postings.join(ids.select(F.col(doc_id).alias("doc_id")), "doc_id", "left_anti"))
 
-    def dropped(self, docs: DataFrame, doc_id: str = "doc_id", text: str = "text") -> DataFrame:
-        """``(doc_id, keys)``: the line keys that each of ``docs`` loses, for documents that lose any."""
-        near = passing(postings(docs, doc_id, text, self.min_chars), self.filters)
-        lost = near.join(self.crowded.select("key", "last_doc"), "key").where("doc_id <> last_doc")
-        return lost.groupBy("doc_id").agg(F.collect_set("key").alias("keys"))
-
-    def apply(self, docs: DataFrame, doc_id: str = "doc_id", text: str = "text") -> DataFrame:
-        """All columns of ``docs`` in a struct ``row``, with ``n_lines``, ``n_dropped`` and ``kept``, the text that stays."""
-        lost = self.dropped(docs, doc_id, text)
-        rows = docs.select(F.struct(*[F.col(f"`{c}`") for c in docs.columns]).alias("row"), F.col(doc_id).alias("own_id"), F.coalesce(F.col(text), F.lit("")).alias("body"))
-        joined = rows.join(lost, F.col("own_id") == F.col("doc_id"), "left")
-        stays = lambda line: ~((F.length(_line_key(line)) >= self.min_chars) & F.array_contains("keys", _digest(_line_key(line))))
-        cut = joined.select("row", "body", "keys", F.size(_lines("body")).cast("long").alias("n_lines"), F.when(F.col("keys").isNotNull(), F.filter(_lines("body"), stays)).alias("left_"))
-        return cut.select(
-            "row",
-            "n_lines",
-            F.when(F.col("keys").isNull(), F.lit(0)).otherwise(F.col("n_lines") - F.size("left_")).cast("long").alias("n_dropped"),
-            F.when(F.col("keys").isNull(), F.col("body")).otherwise(F.array_join("left_", "\n")).alias("kept"),
-        )
+    def apply(self, docs: DataFrame, doc_id: str = "doc_id", text: str = "text", most_bytes: int = BROADCAST_BYTES) -> DataFrame:
+        """All columns of ``docs`` in a struct ``row``, with ``n_lines``, ``n_dropped`` and ``kept``, the text that stays.
+
+        The filters and the crowded keys go to all tasks if both together take no more than ``most_bytes``, and no text moves.
+        Beyond that the lines meet the exact table in a join, and only the texts of documents move.
+        """
+        n = self.crowded.count() * (KEY_BYTES + 8) + (self.filters.agg(F.sum(F.length("filter"))).first()[0] or 0)
+        return self._beside(docs, doc_id, text) if n <= most_bytes else self._joined(docs, doc_id, text)
+
+    def _beside(self, docs: DataFrame, doc_id: str, text: str) -> DataFrame:
+        spark, names = docs.sparkSession, [f"k{i}" for i in range(len(docs.columns))]
+        exact = spark.sparkContext.broadcast({bytes(r["key"]): r["last_doc"] for r in self.crowded.select("key", "last_doc").toLocalIterator()})
+        shards = spark.sparkContext.broadcast({r["shard"]: bytes(r["filter"]) for r in self.filters.toLocalIterator()})
+        own, body, min_chars = docs.columns.index(doc_id), docs.columns.index(text), self.min_chars
+        merged: list[CuckooFilter] = []
+
+        def run(batches):
+            if not merged:
+                merged.extend(CuckooFilter.load(x) for x in shards.value.values())
+            for b in batches:
+                split = [(t or b"").split(b"\n") for t in b.column(body).cast(pa.binary()).to_pylist()]
+                keys = [[line_key(x, min_chars) for x in lines] for lines in split]
+                asked = list({k for ks in keys for k in ks if k is not None})
+                near = np.zeros(len(asked), dtype=bool)
+                for held in merged:
+                    near |= held.contains(asked)
+                last = {k: exact.value[k] for k, hit in zip(asked, near.tolist(), strict=True) if hit and k in exact.value}
+                kept, n_dropped = [], []
+                for i, lines, ks in zip(b.column(own).to_pylist(), split, keys, strict=True):
+                    stays = lines if i is None else [x for x, k in zip(lines, ks, strict=True) if last.get(k, i) == i]
+                    kept.append(b"\n".join(stays))
+                    n_dropped.append(len(lines) - len(stays))
+                more = [pa.array([len(x) for x in split], pa.int64()), pa.array(n_dropped, pa.int64()), pa.array(kept, pa.binary()).cast(pa.string())]
+                yield pa.RecordBatch.from_arrays([*b.columns, *more], [*names, "n_lines", "n_dropped", "kept"])
+
+        renamed = docs.select(*[F.col(f"`{c}`").alias(n) for c, n in zip(docs.columns, names, strict=True)])
+        kinds = ", ".join(f"`{f.name}` {f.dataType.simpleString()}" for f in renamed.schema.fields)
+        done = renamed.mapInArrow(run, f"{kinds}, n_lines long, n_dropped long, kept string")
+        return done.select(F.struct(*[F.col(n).alias(c) for c, n in zip(docs.columns, names, strict=True)]).alias("row"), "n_lines", "n_dropped", "kept")
+
+    def _joined(self, docs: DataFrame, doc_id: str, text: str) -> DataFrame:
+        near = postings(docs, doc_id, text, self.min_chars)
+        lost = near.join(self.crowded.select("key", "last_doc"), "key").where("doc_id <> last_doc").groupBy("doc_id").agg(F.collect_set("key").alias("keys"))
+        names = [f"k{i}" for i in range(len(docs.columns))]
+        rows = docs.select(*[F.col(f"`{c}`").alias(n) for c, n in zip(docs.columns, names, strict=True)])
+        joined = rows.join(lost, F.col(names[docs.columns.index(doc_id)]) == F.col("doc_id"), "left").drop("doc_id")
+        body, min_chars = docs.columns.index(text), self.min_chars
+
+        def run(batches):
+            for b in batches:
+                split = [(t or b"").split(b"\n") for t in b.column(body).cast(pa.binary()).to_pylist()]
+                kept = []
+                for lines, keys in zip(split, b.column(len(names)).to_pylist(), strict=True):
+                    gone = set(keys or ())
+                    kept.append([x for x in lines if line_key(x, min_chars) not in gone] if gone else lines)
+                more = [pa.array([len(x) for x in split], pa.int64()), pa.array([len(x) - len(y) for x, y in zip(split, kept, strict=True)], pa.int64()), pa.array([b"\n".join(x) for x in kept], pa.binary()).cast(pa.string())]
+                yield pa.RecordBatch.from_arrays([*b.columns[:-1], *more], [*names, "n_lines", "n_dropped", "kept"])
+
+        kinds = ", ".join(f"`{f.name}` {f.dataType.simpleString()}" for f in rows.schema.fields)
+        done = joined.mapInArrow(run, f"{kinds}, n_lines long, n_dropped long, kept string")
+        return done.select(F.struct(*[F.col(n).alias(c) for c, n in zip(docs.columns, names, strict=True)]).alias("row"), "n_lines", "n_dropped", "kept")
 
 
 def op10_line_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
