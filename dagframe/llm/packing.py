@@ -19,7 +19,7 @@ from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
 from dagframe.llm.common import partitions_of, read_table, with_checkpoints
-from dagframe.llm.wordbpe import cache_of, default_path
+from dagframe.llm.wordbpe import table_of, default_path
 
 CAPACITY = 2048
 SEPARATOR = (0).to_bytes(4, "little")
@@ -156,11 +156,11 @@ def pieces(docs: DataFrame, doc_id: str = "doc_id", text: str = "text", path: st
     path, step = path or default_path(), 4 * capacity
 
     def run(batches):
-        cache = cache_of(path, False)
+        table = table_of(path, False)
         for b in batches:
             ids = b.column(0).to_pylist()
             rows: list[list] = [[], [], [], [], []]
-            for own, data in zip(ids, cache.of(b.column(1).cast(pa.binary()).to_pylist()), strict=True):
+            for own, data in zip(ids, table.of(b.column(1).cast(pa.binary()).to_pylist()), strict=True):
                 data += SEPARATOR
                 for k, at in enumerate(range(0, len(data), step)):
                     part = data[at : at + step]

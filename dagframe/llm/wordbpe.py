@@ -1,10 +1,13 @@
 """Ids and token counts of whole texts under a word-level BPE vocabulary of the tokenizers library.
 
 Such a vocabulary never lets a token reach over white space, so a text's ids are those of its white-space chunks in
-order. Each Python worker therefore keeps a cache from chunk to ids (or to their number) and asks the library for the
+order. Each Python worker therefore keeps a table from chunk to ids (or to their number) and asks the library for the
 chunks that it lacks, many at once. Chunks are lower-cased first (A-Z, which the vocabulary's normaliser does anyway) and
 split at ASCII white space only. A text that holds ``<|`` could hold a special token, whose place the library decides: such
 a text goes to the library whole.
+
+The table is arrays: 64-bit polynomial hashes of chunks in rising order, and what they stand for. The chunks of some
+megabytes of text are cut, hashed, looked up and laid out by array operations, without an object per chunk.
 """
 
 from __future__ import annotations
@@ -14,21 +17,26 @@ from collections import Counter
 from collections.abc import Iterator
 
 import numpy as np
+import pandas as pd
 import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from dagframe.llm.common import read_table
 
-SLICE = 1 << 20
-CACHE = 1_200_000
+SLICE = 1 << 22
+KNOWN = 3_000_000
 ROW = 4096
-MARKS = b",."
 FREQUENT = 65_536
 VOCABULARY = "word_bpe_49k.json"
 
+_FACTOR = 0x9E3779B97F4A7C15 * 2 + 1 & (1 << 64) - 1
+_SPACES = np.zeros(256, dtype=bool)
+_SPACES[[9, 10, 11, 12, 13, 32]] = True
+
 _libraries: dict = {}
-_caches: dict = {}
+_tables: dict = {}
+_powers: list[np.ndarray] = []
 
 
 def default_path() -> str:
@@ -62,133 +70,206 @@ def slices(text: bytes, size: int = SLICE) -> Iterator[bytes]:
     yield text[at:]
 
 
-class ChunkCache:
-    """From chunk to ids, as little-endian unsigned 32-bit integers, or to their number."""
-
-    def __init__(self, path: str, counts: bool, first: dict | None = None, most: int = CACHE):
-        self.library, self.counts, self.most, self.first = library(path), counts, most, first or {}
-        self.known: dict = dict(self.first)
-        self.closing = np.zeros(1 + max(self.library.get_vocab().values()), dtype=bool)
-        self.closing[[i for token, i in self.library.get_vocab().items() if token.endswith("</w>")]] = True
-
-    def _value(self, ids: list[int]):
-        return len(ids) if self.counts else array("I", ids).tobytes()
-
-    def _ask(self, chunks: list[bytes]) -> list:
-        """Each chunk's own value; chunks of letters alone are asked for many in a row, told apart by their last tokens."""
-        texts, out = [c.decode() for c in chunks], [None] * len(chunks)
-        words = [i for i, t in enumerate(texts) if t.isalpha()]
-        for at in range(0, len(words), ROW):
-            row = words[at : at + ROW]
-            ids = np.array(self.library.encode(" ".join([texts[i] for i in row]), add_special_tokens=False).ids, dtype="<u4")
-            ends = np.flatnonzero(self.closing[ids]) + 1
+def _power(n: int) -> tuple[np.ndarray, np.ndarray]:
+    """Powers 0..n-1 of the hash's factor and of its inverse, modulo 2**64."""
+    if not _powers or len(_powers[0]) < n:
+        size = max(n, SLICE + (1 << 16))
+        _powers[:] = [np.cumprod(np.r_[np.uint64(1), np.full(size - 1, np.uint64(f), dtype=np.uint64)], dtype=np.uint64) for f in (_FACTOR, pow(_FACTOR, -1, 1 << 64))]
+    return _powers[0][:n], _powers[1][:n]
+
+
+def chunk_places(data: bytes) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """(first bytes, past the last bytes, hashes) of the white-space chunks of lower-cased ``data``."""
+    raw = np.frombuffer(data, dtype=np.uint8)
+    gap = np.ones(len(raw) + 2, dtype=bool)
+    gap[1:-1] = _SPACES[raw]
+    edge = np.flatnonzero(gap[1:] != gap[:-1])
+    start, end = edge[::2], edge[1::2]
+    up, down = _power(len(raw) + 1)
+    sums = np.zeros(len(raw) + 1, dtype=np.uint64)
+    np.cumsum((raw.astype(np.uint64) + np.uint64(1)) * up[:-1], out=sums[1:])
+    return start, end, (sums[end] - sums[start]) * down[start]
+
+
+class ChunkTable:
+    """From chunk to ids or, with ``counts``, to their number."""
+
+    def __init__(self, path: str, counts: bool, first: tuple[np.ndarray, np.ndarray] | None = None, most: int = KNOWN):
+        self.library, self.counts, self.most = library(path), counts, most
+        self.first = first or (np.zeros(0, dtype=np.uint64), np.zeros(0, dtype=np.int32))
+        words = self.library.get_vocab()
+        self.closing = np.zeros(1 + max(words.values()), dtype=bool)
+        self.closing[[i for token, i in words.items() if token.endswith("</w>")]] = True
+        self._begin()
+
+    def _begin(self) -> None:
+        self.hashes, self.sizes = self.first
+        self.at, self.pool, self.used = np.zeros(len(self.hashes), dtype=np.int64), np.zeros(1 << 16, dtype=np.uint32), 0
+
+    def ask(self, chunks: list[bytes]) -> list[bytes]:
+        """Each chunk's ids as little-endian unsigned 32-bit integers.
+
+        Chunks of letters alone are asked for many in a row and told apart by their last tokens. A comma or full stop after
+        letters is a token of its own.
+        """
+        texts, out = [c.decode() for c in chunks], [b""] * len(chunks)
+        marks = {m: array("I", self.library.encode(m, add_special_tokens=False).ids).tobytes() for m in ",."}
+        cores = [t[:-1] if t[-1] in marks and t[:-1].isalpha() else t for t in texts]
+        plain, rest = [i for i, t in enumerate(cores) if t.isalpha()], [i for i, t in enumerate(cores) if not t.isalpha()]
+        for at in range(0, len(plain), ROW):
+            row = plain[at : at + ROW]
+            ids = np.array(self.library.encode(" ".join([cores[i] for i in row]), add_special_tokens=False).ids, dtype="<u4")
+            ends = (4 * np.flatnonzero(self.closing[ids]) + 4).tolist()
             if len(ends) != len(row):  # a letter whose lower case is more than letters
+                rest += row
                 continue
-            starts = [0, *ends[:-1].tolist()]
-            if self.counts:
-                values = np.diff(ends, prepend=0).tolist()
-            else:
-                data = ids.tobytes()
-                values = [data[4 * s : 4 * e] for s, e in zip(starts, ends.tolist(), strict=True)]
-            for i, value in zip(row, values, strict=True):
-                out[i] = value
-        rest = [i for i, value in enumerate(out) if value is None]
+            data, start = ids.tobytes(), 0
+            for i, end in zip(row, ends, strict=True):
+                out[i] = data[start:end] if cores[i] is texts[i] else data[start:end] + marks[texts[i][-1]]
+                start = end
         for i, e in zip(rest, self.library.encode_batch_fast([texts[i] for i in rest], add_special_tokens=False), strict=True):
-            out[i] = self._value(e.ids)
+            out[i] = array("I", e.ids).tobytes()
         return out
 
-    def learn(self, chunks: set[bytes]) -> None:
-        """A comma or full stop after a letter is a token of its own, so only the rest needs the library."""
-        known = self.known
-        cut = [c for c in chunks if c[-1] in MARKS and c[-2:-1].isalpha()]
-        new = (chunks - set(cut) | {c[:-1] for c in cut} | {b",", b"."}) - known.keys()
-        asked = list(new)
-        known.update(zip(asked, self._ask(asked), strict=True))
-        for c in cut:
-            known[c] = known[c[:-1]] + known[c[-1:]]
+    def _learn(self, hashes: np.ndarray, chunks: list[bytes]) -> None:
+        if len(self.hashes) + len(hashes) > self.most:
+            self._begin()
+        values = self.ask(chunks)
+        sizes = np.array([len(v) for v in values], dtype=np.int32) // 4
+        at = self.used + np.cumsum(sizes, dtype=np.int64) - sizes
+        if not self.counts:
+            new = np.frombuffer(b"".join(values), dtype="<u4")
+            if self.used + len(new) > len(self.pool):
+                self.pool = np.concatenate([self.pool[: self.used], np.zeros(self.used + 2 * len(new), dtype=np.uint32)])
+            self.pool[self.used : self.used + len(new)] = new
+            self.used += len(new)
+        every = np.concatenate([self.hashes, hashes])
+        order = np.argsort(every, kind="stable")
+        self.hashes, self.sizes, self.at = every[order], np.concatenate([self.sizes, sizes])[order], np.concatenate([self.at, at])[order]
+
+    def _found(self, hashes: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+        at = np.minimum(np.searchsorted(self.hashes, hashes), max(0, len(self.hashes) - 1))
+        return at, self.hashes[at] == hashes if len(self.hashes) else np.zeros(len(hashes), dtype=bool)
+
+    def _group(self, parts: list[bytes]) -> list:
+        """Values of texts that together have some megabytes."""
+        data = b"\n".join(parts).lower()
+        start, end, hashes = chunk_places(data)
+        codes, distinct = pd.factorize(hashes)
+        order = np.argsort(distinct)
+        asked = distinct[order]
+        at, known = self._found(asked)
+        if not known.all():
+            first = np.empty(len(distinct), dtype=np.int64)
+            first[codes[::-1]] = np.arange(len(codes) - 1, -1, -1)
+            if len(self.hashes) + int((~known).sum()) > self.most:  # the table begins anew
+                self._begin()
+                at, known = self._found(asked)
+            places = first[order][~known]
+            self._learn(asked[~known], [data[s:e] for s, e in zip(start[places].tolist(), end[places].tolist(), strict=True)])
+            at, known = self._found(asked)
+        own = np.empty(len(distinct), dtype=np.int64)
+        own[order] = at
+        which = own[codes]
+        sizes = self.sizes[which].astype(np.int64)
+        past = np.r_[0, np.cumsum(sizes)]
+        border = np.searchsorted(start, np.cumsum([0] + [len(p) + 1 for p in parts]))
+        cut = past[border].tolist()
+        if self.counts:
+            return [b - a for a, b in zip(cut, cut[1:], strict=False)]
+        flat = self.pool[np.repeat(self.at[which] - past[:-1], sizes) + np.arange(past[-1])].tobytes()
+        return [flat[4 * a : 4 * b] for a, b in zip(cut, cut[1:], strict=False)]
 
     def of(self, texts: list[bytes]) -> list:
-        """Ids (bytes) or counts of texts."""
-        out, split, size, at = [None] * len(texts), [], 0, 0
+        """Ids (bytes) or counts of texts, in order."""
+        out: list = [0 if self.counts else b""] * len(texts)
+        parts: list[bytes] = []
+        owners: list[int] = []
+        size = 0
+
+        def flush() -> None:
+            for i, value in zip(owners, self._group(parts), strict=True):
+                out[i] += value
+            parts.clear()
+            owners.clear()
+
         for i, text in enumerate(texts):
             if b"<|" in text:
-                out[i] = self._value(self.library.encode(text.decode(), add_special_tokens=False).ids)
+                ids = self.library.encode(text.decode(), add_special_tokens=False).ids
+                out[i] = len(ids) if self.counts else array("I", ids).tobytes()
                 continue
             for part in slices(text):
-                split.append((i, part.lower().split()))
+                parts.append(part)
+                owners.append(i)
                 size += len(part)
                 if size > SLICE:
-                    self._fold(split, out)
-                    split, size = [], 0
-        self._fold(split, out)
-        empty = 0 if self.counts else b""
-        for at, value in enumerate(out):
-            out[at] = empty if value is None else value if self.counts or isinstance(value, bytes) else b"".join(value)
+                    flush()
+                    size = 0
+        if parts:
+            flush()
         return out
 
-    def _fold(self, split: list, out: list) -> None:
-        needed = set().union(*(words for _, words in split))
-        missing = needed - self.known.keys()
-        if len(self.known) + len(missing) > self.most:
-            self.known, missing = dict(self.first), needed - self.first.keys()
-        if missing:
-            self.learn(missing)
-        get = self.known.__getitem__
-        for i, words in split:
-            if self.counts:
-                out[i] = (out[i] or 0) + sum(map(get, words))
-            else:
-                out[i] = [*(out[i] or ()), b"".join(map(get, words))]
-
-
-def cache_of(path: str, counts: bool, first: dict | None = None) -> ChunkCache:
-    """This worker's cache, kept between tasks."""
-    key = (path, counts, id(first) if first is None else len(first))
-    if key not in _caches:
-        _caches[key] = ChunkCache(path, counts, first)
-    return _caches[key]
+
+def table_of(path: str, counts: bool, first: tuple[np.ndarray, np.ndarray] | None = None) -> ChunkTable:
+    """This worker's table, kept between tasks."""
+    key = (path, counts, None if first is None else (len(first[0]), first[0][:1].tobytes(), first[0][-1:].tobytes()))
+    if key not in _tables:
+        _tables.clear()
+        _tables[key] = ChunkTable(path, counts, first)
+    return _tables[key]
 
 
 def frequent_chunks(docs: DataFrame, text: str = "text", most: int = FREQUENT) -> list[bytes]:
     """About the most frequent chunks of all texts, at most ``most``.
 
-    Each task keeps a bounded summary of its own chunks (the rare ones go when it is full) and hands on its most frequent
-    ones, so what is shuffled doesn't grow with the texts. Which chunks come out changes speed, never a result.
+    Each task reads all its texts and keeps a bounded summary of their chunks (rare ones go when it is full), so what is
+    shuffled doesn't grow with the texts. Which chunks come out changes speed, never a result.
     """
+    share = most // 4
 
     def summary(batches):
         seen: Counter = Counter()
         for b in batches:
-            for x in b.column(0).cast(pa.binary()).to_pylist():
-                for part in slices(x):
-                    seen.update(part.lower().split())
-                if len(seen) > 8 * most:
-                    seen = Counter(dict(seen.most_common(2 * most)))
-        top = seen.most_common(most // 2)
-        yield pa.RecordBatch.from_arrays([pa.array([w for w, n in top if n > 1], pa.binary()), pa.array([n for w, n in top if n > 1], pa.int64())], ["chunk", "n"])
+            parts = [p for x in b.column(0).cast(pa.binary()).to_pylist() for p in slices(x)]
+            sizes = np.cumsum([len(p) for p in parts])
+            for k in np.unique(sizes // SLICE):
+                data = b"\n".join([parts[i] for i in np.flatnonzero(sizes // SLICE == k)]).lower()
+                start, end, hashes = chunk_places(data)
+                codes, distinct = pd.factorize(hashes)
+                n = np.bincount(codes, minlength=len(distinct))
+                first = np.empty(len(distinct), dtype=np.int64)
+                first[codes[::-1]] = np.arange(len(codes) - 1, -1, -1)
+                top = np.argsort(-n, kind="stable")[:share]
+                for i in top[n[top] > 1]:
+                    seen[data[start[first[i]] : end[first[i]]]] += int(n[i])
+            if len(seen) > 16 * share:
+                seen = Counter(dict(seen.most_common(4 * share)))
+        top = seen.most_common(share)
+        yield pa.RecordBatch.from_arrays([pa.array([w for w, _ in top], pa.binary()), pa.array([n for _, n in top], pa.int64())], ["chunk", "n"])
 
     found = docs.select(F.coalesce(F.col(text), F.lit("")).alias("t")).mapInArrow(summary, "chunk binary, n long").where(F.length("chunk") <= 64)
     rows = found.groupBy("chunk").agg(F.sum("n").alias("n")).orderBy(F.desc("n"), "chunk").limit(most).select("chunk").collect()
-    return [bytes(r["chunk"]) for r in rows]
+    return [bytes(r["chunk"]) for r in rows if b"<|" not in r["chunk"]]
 
 
 def token_counts(docs: DataFrame, doc_id: str = "doc_id", text: str = "text", path: str | None = None, frequent: int = FREQUENT, limit: int = 2048) -> DataFrame:
     """``(doc_id, n_bytes, n_tokens, over_limit)`` of every row; null texts count as empty, repeated rows each.
 
-    Two tiers, both on the scan's side: a broadcast table with the lengths of at most ``frequent`` chunks, and each worker's
-    cache for the rest. No chunk is shuffled to be counted.
+    Two tiers, both on the scan's side: a broadcast table with the lengths of at most ``frequent`` chunks (twelve bytes each),
+    and each worker's own table for the rest. No chunk is shuffled to be counted.
     """
     path = path or default_path()
     top = frequent_chunks(docs, text, frequent)
-    lengths = ChunkCache(path, True)
-    plain = [c for c in top if b"<|" not in c]
-    first = docs.sparkSession.sparkContext.broadcast(dict(zip(plain, lengths._ask(plain), strict=True)))
+    hashes = chunk_places(b"\n".join(top))[2] if top else np.zeros(0, dtype=np.uint64)
+    sizes = np.array([len(v) // 4 for v in ChunkTable(path, True).ask(top)], dtype=np.int32)
+    order = np.argsort(hashes)
+    first = docs.sparkSession.sparkContext.broadcast((hashes[order], sizes[order]))
 
     def run(batches):
-        cache = cache_of(path, True, first.value)
+        table = table_of(path, True, first.value)
         for b in batches:
             texts = b.column(1).cast(pa.binary()).to_pylist()
-            n = pa.array(cache.of(texts), pa.int64())
+            n = pa.array(table.of(texts), pa.int64())
             yield pa.RecordBatch.from_arrays([b.column(0), pa.array([len(x) for x in texts], pa.int64()), n], ["doc_id", "n_bytes", "n_tokens"])
 
     kind = docs.schema[doc_id].dataType.simpleString()
