@@ -6,7 +6,7 @@ from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 
-from dagframe.llm import chat, html, lines, order_minhash, packing, quality, simhash, wordbpe
+from dagframe.llm import chat, embeddings, html, lines, order_minhash, packing, quality, simhash, wordbpe
 
 
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
@@ -15,6 +15,7 @@ def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
         "op3_chat_format": chat.op3_chat_format,
         "op4_quality_classifier": quality.op4_quality_classifier,
         "op5_token_counts": wordbpe.op5_token_counts,
+        "op6_embedding_dedup": embeddings.op6_embedding_dedup,
         "op7_html_main_text": html.op7_html_main_text,
         "op8_best_fit_packing": packing.op8_best_fit_packing,
         "op9_order_minhash": order_minhash.op9_order_minhash,
@@ -25,6 +26,7 @@ def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
 def oracle_sql() -> dict[str, str]:
     return {
         "op3_chat_format": chat.OP3_SQL,
+        "op6_embedding_dedup": embeddings.op6_embedding_dedup,
         "op7_html_main_text": html.op7_html_main_text,
         "op8_best_fit_packing": packing.op8_best_fit_packing,
         "op9_order_minhash": order_minhash.op9_order_minhash,

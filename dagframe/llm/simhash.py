@@ -28,6 +28,7 @@ SEED = 42
 SHINGLE = 4
 DISTANCE = 4
 BLOCK = 1 << 15
+MOST_IDS = 4_000_000
 
 
 def fingerprint_bytes(text: bytes, shingle: int = SHINGLE) -> int:
@@ -203,15 +204,23 @@ def near_duplicates(docs: DataFrame, doc_id: str = "doc_id", text: str = "text",
     return own.join(named, "fp").select("doc_id", F.lower(F.lpad(F.hex("fp"), 16, "0")).alias("fingerprint"), "component_id")
 
 
-def keep_one(docs: DataFrame, doc_id: str = "doc_id", text: str = "text", **options) -> DataFrame:
+def keep_one(docs: DataFrame, doc_id: str = "doc_id", text: str = "text", most_ids: int = MOST_IDS, **options) -> DataFrame:
     """``docs`` with one row of every group of near copies: the one with the smallest id (of repeats, one).
 
-    Rows without an id can't be named as anyone's copy and all stay.
+    Rows without an id can't be named as anyone's copy and all stay. The ids that go are sent to all tasks if they are no
+    more than ``most_ids``, and no text moves; beyond that they meet the rows in a shuffled join.
     """
-    group = fresh("component_id", docs.columns)
-    best = near_duplicates(docs, doc_id, text, **options).select(F.col("component_id").alias(group)).distinct()
-    kept = docs.join(best, F.col(doc_id) == F.col(group), "left_semi").dropDuplicates([doc_id])
-    return kept.unionByName(docs.where(F.col(doc_id).isNull()))
+    id_ = fresh("gone_id", docs.columns)
+    near = near_duplicates(docs, doc_id, text, **options).where("doc_id is not null").checkpoint()
+    gone = near.where("doc_id <> component_id").select(F.col("doc_id").alias(id_)).distinct()
+    again = near.groupBy("doc_id").count().where("count > 1").join(gone, F.col("doc_id") == F.col(id_), "left_anti").select(F.col("doc_id").alias(id_))
+    n_gone, n_again = gone.count(), again.count()
+    hinted = F.broadcast if n_gone + n_again <= most_ids else lambda ids: ids
+    own = F.col(doc_id) == F.col(id_)
+    if not n_again:
+        return docs.join(hinted(gone), own, "left_anti")
+    single = docs.join(hinted(gone.unionByName(again)), own, "left_anti")
+    return single.unionByName(docs.join(hinted(again), own, "left_semi").dropDuplicates([doc_id]))
 
 
 def op1_simhash_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
