@@ -154,26 +154,38 @@ def segments(docs: DataFrame, text: str, model: PieceModel) -> DataFrame:
     """The distinct segments of all texts, in ``segment``; each task hands on each of its own about once."""
 
     def run(batches):
-        cutter, seen = Cutter(model), np.zeros(0, dtype=np.uint64)
+        cutter, seen = Cutter(model), [np.zeros(0, dtype=np.uint64)]  # sorted runs of what was handed on, each far longer than the next
         for b in batches:
             texts = b.column(0).to_pylist()
             for s, e in _groups(texts):
                 points, at, hashes, _ = cutter.cut(texts[s:e])
-                own, first = np.unique(hashes, return_index=True)
-                place = np.minimum(np.searchsorted(seen, own), max(0, len(seen) - 1))
-                new = seen[place] != own if len(seen) else np.ones(len(own), dtype=bool)
-                rows = [points[at[i] : at[i + 1]].tobytes().decode("utf-32-le", "surrogatepass") for i in first[new]]
-                seen = np.union1d(seen, own) if len(seen) < 4_000_000 else own
+                codes, own = pd.factorize(hashes)
+                first = np.empty(len(own), dtype=np.int64)
+                first[codes[::-1]] = np.arange(len(codes) - 1, -1, -1)
+                rank = np.argsort(own)
+                own, first = own[rank], first[rank]
+                for run_ in seen:
+                    if len(run_):
+                        new = run_[np.minimum(np.searchsorted(run_, own), len(run_) - 1)] != own
+                        own, first = own[new], first[new]
+                rows = [points[at[i] : at[i + 1]].tobytes().decode("utf-32-le", "surrogatepass") for i in first]
+                seen.append(own)
+                while len(seen) > 1 and 4 * len(seen[-1]) > len(seen[-2]):
+                    seen[-2:] = [np.sort(np.concatenate(seen[-2:]))]
+                if sum(map(len, seen)) > 4_000_000:
+                    seen = [np.zeros(0, dtype=np.uint64)]
                 yield pa.RecordBatch.from_arrays([pa.array(rows, pa.string())], ["segment"])
 
     return docs.select(F.coalesce(F.col(text), F.lit("")).alias("t")).mapInArrow(run, "segment string").distinct()
 
 
 def _merged(edges: str) -> str:
-    """Fold for BPE: boundaries of the segment after all merges, the best edge (edges come best first) in each step."""
-    fits = "x -> array_position(b, x.s) > 0 and array_position(b, x.e) = array_position(b, x.s) + 2"
-    step = f"(b, k) -> case when size(filter({edges}, {fits})) = 0 then b else transform(array(get(filter({edges}, {fits}), 0)), y -> filter(b, z -> z <= y.s or z >= y.e))[0] end"
-    return f"aggregate(sequence(1, greatest(1, n - 1)), sequence(0, n), {step})"
+    """Fold for BPE. State: at each boundary the next boundary, elsewhere 0. A step merges the first edge, best ones coming
+    first, that spans just two of the present parts."""
+    fits = "x -> b[x.s] > 0 and b[b[x.s]] = x.e"
+    merge = "if(y is null, b, transform(b, (z, i) -> if(i = y.s, y.e, if(i = b[y.s], 0, z))))"
+    last = "transform(sequence(0, n), i -> if(i < n, i + 1, 0))"
+    return f"aggregate(sequence(1, n - 1), {last}, (b, k) -> transform(array(get(filter({edges}, {fits}), 0)), y -> {merge})[0])"
 
 
 def _best_path(edges: str) -> str:
@@ -193,12 +205,17 @@ def encoded_segments(found: DataFrame, model: PieceModel) -> DataFrame:
     nothing = "array(struct(0 as s, 0 as e, '' as piece))"  # so that a segment without edges stays
     parts = found.select("segment", F.explode(F.expr(f"concat({spans}, {nothing})")).alias("x")).select("segment", "x.s", "x.e", "x.piece")
     edges = parts.join(F.broadcast(table), "piece").groupBy("segment").agg(F.sort_array(F.collect_list(F.struct((-F.col("score")).alias("cost"), "s", "e", "id", "score"))).alias("all"))
-    sized = edges.withColumn("n", n)
-    path = _merged("filter(all, w -> w.e > w.s + 1)") if model.bpe else _best_path("filter(all, w -> w.e > w.s)")
-    byte = f"transform(sequence(1, octet_length(substring(segment, b[i] + 1, 1))), k -> cast(conv(substring(hex(encode(substring(segment, b[i] + 1, 1), 'utf-8')), 2 * k - 1, 2), 16, 10) as int) + {model.first_byte})"
-    one = f"case when size(filter(all, w -> w.s = b[i] and w.e = b[i + 1])) > 0 then array(filter(all, w -> w.s = b[i] and w.e = b[i + 1])[0].id) else {byte} end"
-    short = sized.where(F.col("n") <= LONG) if model.bpe else sized
-    folded = short.withColumn("b", F.expr(path)).select("segment", F.expr(f"flatten(transform(sequence(0, size(b) - 2), i -> {one}))").alias("ids"))
+    sized = edges.withColumn("n", n).withColumn("wide", F.expr("filter(all, w -> w.e > w.s + 1)"))
+    byte = f"transform(sequence(1, octet_length(substring(segment, q.s + 1, 1))), k -> cast(conv(substring(hex(encode(substring(segment, q.s + 1, 1), 'utf-8')), 2 * k - 1, 2), 16, 10) as int) + {model.first_byte})"
+    part = f"transform(array(get(filter(if(q.e = q.s + 1, all, wide), w -> w.s = q.s and w.e = q.e), 0)), y -> if(y is null, {byte}, array(y.id)))[0]"
+    if model.bpe:
+        short = sized.where(F.col("n") <= LONG).withColumn("b", F.when(F.size("wide") == 0, F.expr("transform(sequence(0, n), i -> if(i < n, i + 1, 0))")).when(F.col("n") > 1, F.expr(_merged("wide"))).otherwise(F.array(F.lit(1), F.lit(0))))
+        places = "filter(transform(b, (e, s) -> struct(s as s, e as e)), x -> x.e > 0)"
+    else:
+        short = sized.withColumn("b", F.expr(_best_path("filter(all, w -> w.e > w.s)")))
+        places = "transform(sequence(0, size(b) - 2), i -> struct(b[i] as s, b[i + 1] as e))"
+    ids = f"flatten(transform({places}, q -> {part}))"
+    folded = short.select("segment", F.expr(ids).alias("ids"))
     if not model.bpe:
         return folded
 

@@ -6,12 +6,13 @@ from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 
-from dagframe.llm import chat, embeddings, html, lines, order_minhash, packing, quality, simhash, wordbpe
+from dagframe.llm import chat, embeddings, html, lines, order_minhash, packing, piece_lattice, quality, simhash, wordbpe
 
 
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
     return {
         "op1_simhash_dedup": simhash.op1_simhash_dedup,
+        "op2_sentencepiece": piece_lattice.op2_sentencepiece,
         "op3_chat_format": chat.op3_chat_format,
         "op4_quality_classifier": quality.op4_quality_classifier,
         "op5_token_counts": wordbpe.op5_token_counts,
@@ -25,6 +26,7 @@ def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
 
 def oracle_sql() -> dict[str, str]:
     return {
+        "op2_sentencepiece": piece_lattice.op2_sentencepiece,
         "op3_chat_format": chat.OP3_SQL,
         "op6_embedding_dedup": embeddings.op6_embedding_dedup,
         "op7_html_main_text": html.op7_html_main_text,
