@@ -35,7 +35,7 @@ class _Ids(dict):
     """From word to (hash, shape hash) in one 64-bit number; a worker's cache, begun anew when it is full."""
 
     def __missing__(self, word: str) -> int:
-        if len(self) > 500_000:
+        if len(self) > 250_000:
             self.clear()
         if word.isupper():
             shape = b"U" if len(word) > 1 else b"u"
@@ -169,6 +169,7 @@ def scores(docs: DataFrame, model: Model, text: str = "text", out: str = "score"
         for b in batches:
             got = [held.value.score(t) for t in b.column(len(kept)).to_pylist()]
             yield pa.RecordBatch.from_arrays([*b.columns[: len(kept)], pa.array(got, pa.float64())], [*names, "score_"])
+        _ids.clear()
 
     return slim.mapInArrow(run, f"{kinds}score_ double").select(*[F.col(n).alias(c) for c, n in zip(kept, names, strict=True)], F.col("score_").alias(out))
 
@@ -183,6 +184,7 @@ def keep_good(docs: DataFrame, labels: DataFrame, doc_id: str = "doc_id", text:
         for b in batches:
             good = [held.value.score(t or "") >= threshold for t in b.column(at).to_pylist()]
             yield b.filter(pa.array(good, pa.bool_()))
+        _ids.clear()
 
     return docs.mapInArrow(run, kinds)
 

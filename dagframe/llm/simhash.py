@@ -153,7 +153,7 @@ def links(nodes: DataFrame, fp: str = "fp", distance: int = DISTANCE, segments:
     plan, n = AnchorPlan(distance, segments), partitions_of(spark)
 
     def send(batches):
-        for b in batches:
+        for b in (whole.slice(i, 1024) for whole in batches for i in range(0, len(whole), 1024)):
             key, own, home = plan.rows(b.column(0).to_numpy(zero_copy_only=False).view(np.uint64))
             yield pa.RecordBatch.from_arrays([pa.array(key.view(np.int64)), pa.array(own.view(np.int64)), pa.array(home)], ["anchor", "fp", "home"])
 

@@ -24,8 +24,8 @@ from pyspark.sql import functions as F
 
 from dagframe.llm.common import read_table
 
-SLICE = 1 << 22
-KNOWN = 3_000_000
+SLICE = 1 << 20
+KNOWN = 1_500_000
 ROW = 4096
 FREQUENT = 65_536
 VOCABULARY = "word_bpe_49k.json"
