@@ -28,7 +28,8 @@ MODEL = "piece_bpe_32k.model"
 SPACE = "▁"
 LONG = 40
 SEGMENTS = 6_000_000
-GROUP = 1 << 20
+GROUP = 1 << 19
+ROWS = 500
 
 _FACTOR = 0xD6E8FEB86659FD93
 _models: dict = {}
@@ -105,6 +106,10 @@ class Cutter:
     def __init__(self, model: PieceModel):
         pairs = {(a, b) for p, *_ in model.rows() for a, b in zip(p, p[1:], strict=False)}
         self.prefix = model.prefix
+        self.single = np.full(0x110000, -1, dtype=np.int32)
+        for p, i, _ in model.rows():
+            if len(p) == 1:
+                self.single[ord(p)] = i
         self.left, self.right = np.zeros(0x110000, dtype=np.int32), np.zeros(0x110000, dtype=np.int32)
         for side, at in ((self.left, 0), (self.right, 1)):
             for k, c in enumerate(sorted({p[at] for p in pairs})):
@@ -151,7 +156,10 @@ def _groups(texts: list[str]):
 
 
 def segments(docs: DataFrame, text: str, model: PieceModel) -> DataFrame:
-    """The distinct segments of all texts, in ``segment``; each task hands on each of its own about once."""
+    """The distinct segments of all texts, in ``segment``, with the ids of their characters (-1: none) in ``singles``.
+
+    Each task hands on each of its own segments about once.
+    """
 
     def run(batches):
         cutter, seen = Cutter(model), [np.zeros(0, dtype=np.uint64)]  # sorted runs of what was handed on, each far longer than the next
@@ -169,14 +177,18 @@ def segments(docs: DataFrame, text: str, model: PieceModel) -> DataFrame:
                         new = run_[np.minimum(np.searchsorted(run_, own), len(run_) - 1)] != own
                         own, first = own[new], first[new]
                 rows = [points[at[i] : at[i + 1]].tobytes().decode("utf-32-le", "surrogatepass") for i in first]
+                sizes = at[first + 1] - at[first]
+                past = np.r_[0, np.cumsum(sizes)]
+                flat = cutter.single[points[np.repeat(at[first] - past[:-1], sizes) + np.arange(past[-1])]]
                 seen.append(own)
                 while len(seen) > 1 and 4 * len(seen[-1]) > len(seen[-2]):
                     seen[-2:] = [np.sort(np.concatenate(seen[-2:]))]
                 if sum(map(len, seen)) > 4_000_000:
                     seen = [np.zeros(0, dtype=np.uint64)]
-                yield pa.RecordBatch.from_arrays([pa.array(rows, pa.string())], ["segment"])
+                yield pa.RecordBatch.from_arrays([pa.array(rows, pa.string()), pa.ListArray.from_arrays(pa.array(past.astype(np.int32)), pa.array(flat))], ["segment", "singles"])
 
-    return docs.select(F.coalesce(F.col(text), F.lit("")).alias("t")).mapInArrow(run, "segment string").distinct()
+    found = docs.select(F.coalesce(F.col(text), F.lit("")).alias("t")).mapInArrow(run, "segment string, singles array<int>")
+    return found.groupBy("segment").agg(F.first("singles").alias("singles"))
 
 
 def _merged(edges: str) -> str:
@@ -197,40 +209,42 @@ def _best_path(edges: str) -> str:
 
 
 def encoded_segments(found: DataFrame, model: PieceModel) -> DataFrame:
-    """``(segment, ids)``, the ids as array<int>, of a table of distinct segments."""
+    """``(segment, ids)``, the ids as array<int>, of the table that ``segments`` gives."""
     spark = found.sparkSession
-    table = spark.createDataFrame([("", -1, 0.0), *model.rows()], "piece string, id int, score double")
-    n = F.length("segment")
-    spans = f"flatten(transform(sequence(0, length(segment) - 1), i -> transform(sequence(1, least({model.longest}, length(segment) - i)), m -> struct(i as s, i + m as e, substring(segment, i + 1, m) as piece))))"
+    levels = {v: k for k, v in enumerate(sorted({s for *_, s in model.rows()}, reverse=True))}
+    least = 2 if model.bpe else 1  # merges start from characters, which have their ids already
+    table = spark.createDataFrame([("", 0, -1, 0.0), *((p, levels[s], i, s) for p, i, s in model.rows() if len(p) >= least)], "piece string, level int, id int, score double")
+    spans = f"flatten(transform(sequence(0, length(segment) - {least}), i -> transform(sequence({least}, least({model.longest}, length(segment) - i)), m -> struct(i as s, i + m as e, substring(segment, i + 1, m) as piece))))"
     nothing = "array(struct(0 as s, 0 as e, '' as piece))"  # so that a segment without edges stays
-    parts = found.select("segment", F.explode(F.expr(f"concat({spans}, {nothing})")).alias("x")).select("segment", "x.s", "x.e", "x.piece")
-    edges = parts.join(F.broadcast(table), "piece").groupBy("segment").agg(F.sort_array(F.collect_list(F.struct((-F.col("score")).alias("cost"), "s", "e", "id", "score"))).alias("all"))
-    sized = edges.withColumn("n", n).withColumn("wide", F.expr("filter(all, w -> w.e > w.s + 1)"))
+    parts = found.select("segment", "singles", F.explode(F.expr(f"if(length(segment) < {least}, {nothing}, concat({spans}, {nothing}))")).alias("x")).select("segment", "singles", "x.s", "x.e", "x.piece")
+    kept = ["level", "s", "e", "id"] if model.bpe else ["level", "s", "e", "id", "score"]
+    edges = parts.join(F.broadcast(table), "piece").groupBy("segment").agg(F.first("singles").alias("singles"), F.sort_array(F.collect_list(F.when(F.col("e") > 0, F.struct(*kept)))).alias("wide"))
+    sized = edges.withColumn("n", F.length("segment"))
     byte = f"transform(sequence(1, octet_length(substring(segment, q.s + 1, 1))), k -> cast(conv(substring(hex(encode(substring(segment, q.s + 1, 1), 'utf-8')), 2 * k - 1, 2), 16, 10) as int) + {model.first_byte})"
-    part = f"transform(array(get(filter(if(q.e = q.s + 1, all, wide), w -> w.s = q.s and w.e = q.e), 0)), y -> if(y is null, {byte}, array(y.id)))[0]"
+    part = f"if(q.e = q.s + 1, if(singles[q.s] >= 0, array(singles[q.s]), {byte}), array(filter(wide, w -> w.s = q.s and w.e = q.e)[0].id))"
     if model.bpe:
-        short = sized.where(F.col("n") <= LONG).withColumn("b", F.when(F.size("wide") == 0, F.expr("transform(sequence(0, n), i -> if(i < n, i + 1, 0))")).when(F.col("n") > 1, F.expr(_merged("wide"))).otherwise(F.array(F.lit(1), F.lit(0))))
+        alone = F.expr("transform(sequence(0, n), i -> if(i < n, i + 1, 0))")
+        short = sized.where(F.col("n") <= LONG).withColumn("b", F.when(F.size("wide") == 0, alone).otherwise(F.expr(_merged("wide"))))
         places = "filter(transform(b, (e, s) -> struct(s as s, e as e)), x -> x.e > 0)"
     else:
-        short = sized.withColumn("b", F.expr(_best_path("filter(all, w -> w.e > w.s)")))
+        short = sized.withColumn("b", F.expr(_best_path("wide")))
         places = "transform(sequence(0, size(b) - 2), i -> struct(b[i] as s, b[i + 1] as e))"
-    ids = f"flatten(transform({places}, q -> {part}))"
-    folded = short.select("segment", F.expr(ids).alias("ids"))
+    folded = short.select("segment", F.expr(f"flatten(transform({places}, q -> {part}))").alias("ids"))
     if not model.bpe:
         return folded
 
     def heap(batches):
         for frame in batches:
-            frame["ids"] = [_merge_long(t, x, model) for t, x in zip(frame["segment"], frame["all"], strict=True)]
+            frame["ids"] = [_merge_long(t, x, one, model) for t, x, one in zip(frame["segment"], frame["wide"], frame["singles"], strict=True)]
             yield frame[["segment", "ids"]]
 
-    long_ = sized.where(F.col("n") > LONG).select("segment", "all").mapInPandas(heap, "segment string, ids array<int>")
+    long_ = sized.where(F.col("n") > LONG).select("segment", "wide", "singles").mapInPandas(heap, "segment string, ids array<int>")
     return folded.unionByName(long_)
 
 
-def _merge_long(text: str, edges: list, model: PieceModel) -> list[int]:
+def _merge_long(text: str, edges: list, singles: list, model: PieceModel) -> list[int]:
     """The same merges as the fold's, for long segments: neighbours in a linked list, candidates in a heap."""
-    known = {(r["s"], r["e"]): (r["cost"], r["id"]) for r in edges if r["e"] > r["s"]}
+    known = {(r["s"], r["e"]): (r["level"], r["id"]) for r in edges}
     after = list(range(1, len(text) + 2))
     before = list(range(-1, len(text) + 1))
     alive, queue = [True] * (len(text) + 1), []
@@ -252,8 +266,10 @@ def _merge_long(text: str, edges: list, model: PieceModel) -> list[int]:
         offer(before[s])
     out, s = [], 0
     while s < len(text):
-        own = known.get((s, after[s]))
-        out += [own[1]] if own else [model.first_byte + x for x in text[s].encode("utf-8", "surrogatepass")]
+        if after[s] > s + 1:
+            out.append(known[s, after[s]][1])
+        else:
+            out += [int(singles[s])] if singles[s] >= 0 else [model.first_byte + x for x in text[s].encode("utf-8", "surrogatepass")]
         s = after[s]
     return out
 
@@ -265,7 +281,8 @@ def encode(docs: DataFrame, doc_id: str = "doc_id", text: str = "text", path: st
     segments of each text meet the dictionary in a shuffled join. Both ways give the same ids.
     """
     model = PieceModel.load(path or default_path())
-    known = encoded_segments(segments(docs, text, model), model)
+    with_checkpoints(docs.sparkSession)
+    known = encoded_segments(segments(docs, text, model).checkpoint(), model)
     slim = docs.select(F.col(doc_id).alias("doc_id"), F.coalesce(F.col(text), F.lit("")).alias("t"))
     if most_segments > 0:
         top = known.limit(most_segments + 1).toArrow()
@@ -288,7 +305,7 @@ def _laid_out(slim: DataFrame, known: pa.Table, model: PieceModel) -> DataFrame:
     def run(batches):
         sorted_, at_, sizes_, pool = held.value
         own = Cutter(model)
-        for b in batches:
+        for b in (whole.slice(i, ROWS) for whole in batches for i in range(0, len(whole), ROWS)):
             texts, n_ids, flats = b.column(1).to_pylist(), [], []
             for s, e in _groups(texts):
                 _, _, hashes, borders = own.cut(texts[s:e])
@@ -314,7 +331,6 @@ def _hashes(cutter: Cutter, words: list[str]) -> np.ndarray:
 
 
 def _joined(slim: DataFrame, known: DataFrame, model: PieceModel) -> DataFrame:
-    with_checkpoints(slim.sparkSession)
     rows = slim.withColumn("row", F.monotonically_increasing_id()).checkpoint()
 
     def run(batches):
@@ -334,16 +350,22 @@ def decode(rows: DataFrame, ids: str = "ids", out: str = "decoded", path: str |
     """``rows`` with the text of ``ids`` in ``out``: pieces in order, byte pieces as UTF-8, without the leading space."""
     model = PieceModel.load(path or default_path())
     data = [bytes([i - model.first_byte]) if model.first_byte <= i < model.first_byte + 256 else p.replace(SPACE, " ").encode() if ok else b"" for i, (p, ok) in enumerate(zip(model.pieces, model.normal, strict=True))]
+    sizes = np.array([len(x) for x in data], dtype=np.int64)
+    begins, pool, start = np.cumsum(sizes) - sizes, np.frombuffer(b"".join(data), dtype=np.uint8), b" " if model.prefix else b""
 
     @F.pandas_udf("string")
     def run(column: pd.Series) -> pd.Series:
-        get, start = data.__getitem__, b" " if model.prefix else b""
-        return pd.Series([b"".join(map(get, x.tolist())).removeprefix(start).decode("utf-8", "replace") if x is not None else "" for x in column], dtype=object)
+        made = []
+        for x in column:
+            flat = np.asarray(x if x is not None else (), dtype=np.int64)
+            n = sizes[flat]
+            past = np.cumsum(n)
+            made.append(pool[np.repeat(begins[flat] - (past - n), n) + np.arange(past[-1] if len(n) else 0)].tobytes().removeprefix(start).decode("utf-8", "replace"))
+        return pd.Series(made, dtype=object)
 
     return rows.withColumn(out, run(ids))
 
 
 def op2_sentencepiece(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Ids of every document, their number, and the digest of the text that they read back as."""
-    encoded = encode(read_table(spark, sf_dir, "documents"))
-    return decode(encoded).select("doc_id", F.size("ids").cast("long").alias("n_pieces"), "ids", F.sha2("decoded", 256).alias("decoded_sha256"))
+    return decode(encode(read_table(spark, sf_dir, "documents"))).select("doc_id", F.size("ids").cast("long").alias("n_pieces"), "ids", F.sha2("decoded", 256).alias("decoded_sha256"))
