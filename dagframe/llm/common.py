@@ -9,16 +9,22 @@ from pyspark.sql import functions as F
 
 #: ASCII white space, the only characters at which the operators split words or trim lines.
 ASCII_SPACE = " \t\n\x0b\x0c\r"
+BATCH_ROWS = 1000
 UPPER = "ABCDEFGHIJKLMNOPQRSTUVWXYZ"
 
 
 def read_table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
     """One of the given tables, through Spark's own reader (the folder may be remote)."""
-    return spark.read.parquet(f"{sf_dir}/{name}.parquet")
+    return with_checkpoints(spark).read.parquet(f"{sf_dir}/{name}.parquet")
 
 
 def with_checkpoints(spark: SparkSession) -> SparkSession:
-    """Make ``checkpoint()`` usable: the cluster's shared folder, or a temporary one in local tests only."""
+    """Make ``checkpoint()`` usable: the cluster's shared folder, or a temporary one in local tests only.
+
+    Rows here are whole documents, so the batches that go to Python are kept to BATCH_ROWS rows (a session setting).
+    """
+    if int(spark.conf.get("spark.sql.execution.arrow.maxRecordsPerBatch", "10000")) > BATCH_ROWS:
+        spark.conf.set("spark.sql.execution.arrow.maxRecordsPerBatch", str(BATCH_ROWS))
     context = spark.sparkContext
     if context.getCheckpointDir() is None:
         folder = spark.conf.get("spark.checkpoint.dir", None)
