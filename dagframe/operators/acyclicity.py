@@ -145,13 +145,71 @@ def _reach_labels(core: DataFrame, forward: bool, rounds: int) -> DataFrame:
     return label
 
 
-def components(edges: DataFrame, rounds: int = 1000) -> DataFrame:
-    """``(node, component)`` of the cyclic parts: nodes on common cycles share a component.
+LOCAL_EDGES = 200_000
+
+
+def _local_components(src: np.ndarray, dst: np.ndarray) -> np.ndarray:
+    """For edges among nodes 0..n-1: each node's strongly connected component, as its smallest node."""
+    n = int(max(src.max(), dst.max())) + 1
+    order = np.argsort(src, kind="stable")
+    first, to = np.searchsorted(src[order], np.arange(n + 1)), dst[order]
+    number, low, on, stack, label, clock = [-1] * n, [0] * n, [False] * n, [], np.arange(n), 0
+    for root in range(n):
+        if number[root] >= 0:
+            continue
+        todo = [(root, int(first[root]))]
+        while todo:
+            v, i = todo.pop()
+            if number[v] < 0:
+                number[v] = low[v] = clock
+                clock += 1
+                stack.append(v)
+                on[v] = True
+            if i < first[v + 1]:
+                u = int(to[i])
+                todo.append((v, i + 1))
+                if number[u] < 0:
+                    todo.append((u, int(first[u])))
+                elif on[u]:
+                    low[v] = min(low[v], number[u])
+                continue
+            if low[v] == number[v]:
+                part = []
+                while True:
+                    u = stack.pop()
+                    on[u] = False
+                    part.append(u)
+                    if u == v:
+                        break
+                label[part] = min(part)
+            if todo:
+                low[todo[-1][0]] = min(low[todo[-1][0]], low[v])
+    return label
+
+
+def _collected(edges: DataFrame) -> tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray]:
+    """(node names, numbered src, numbered dst, w) of a table that is known to be small."""
+    rows = edges.select("src", "dst", "w").toArrow()
+    src, dst, w = (rows[c].to_numpy() for c in ("src", "dst", "w"))
+    names, at = np.unique(np.concatenate([src, dst]), return_inverse=True)
+    return names, at[: len(src)], at[len(src) :], w
+
+
+def components(edges: DataFrame, rounds: int = 1000, local_edges: int = LOCAL_EDGES) -> DataFrame:
+    """``(node, component)`` of the cyclic parts: nodes on common cycles share a component, named by its smallest node.
 
-    Colours are the smallest node that reaches a node; within a colour, the nodes that its root is reached from make up one
-    component, and the rest goes round again.
+    A core of at most ``local_edges`` edges is solved in one process. Larger ones go by colours: the smallest node that reaches a
+    node; within a colour, the nodes that reach its root make up one component, and the rest goes round again.
     """
     left, done = cyclic_core(edges), None
+    kind = edges.schema["src"].dataType.simpleString()
+    if left.limit(local_edges + 1).count() <= local_edges:
+        names, src, dst, _ = _collected(left)
+        if not len(names):
+            return edges.sparkSession.createDataFrame([], f"node {kind}, component {kind}")
+        label = _local_components(src, dst)
+        big = np.flatnonzero(np.bincount(label, minlength=len(names))[label] > 1)
+        return edges.sparkSession.createDataFrame([(names[i].item(), names[label[i]].item()) for i in big], f"node {kind}, component {kind}")
     while left.take(1):
         colour = _reach_labels(left, True, rounds)
         inside = left.join(colour.select(F.col("node").alias("src"), F.col("m").alias("cs")), "src").join(colour.select(F.col("node").alias("dst"), F.col("m").alias("cd")), "dst").where("cs = cd")
@@ -170,13 +228,28 @@ def components(edges: DataFrame, rounds: int = 1000) -> DataFrame:
     return done if done is not None else edges.select(F.col("src").alias("node"), F.col("src").alias("component")).limit(0)
 
 
-def break_cycles(edges: DataFrame, rounds: int = 10_000) -> DataFrame:
-    """A DAG: the weakest edge (by absolute weight) of every cyclic component goes until none is left."""
+def break_cycles(edges: DataFrame, rounds: int = 10_000, local_edges: int = 20_000) -> DataFrame:
+    """A DAG: the weakest edge (by absolute weight, then ends) of every cyclic component goes until none is left."""
     now = cut(checked(edges).select("src", "dst", "w"))
     for _ in range(rounds):
         core = cyclic_core(now)
-        if not core.take(1):
+        n = core.limit(local_edges + 1).count()
+        if not n:
             return now
+        if n <= local_edges:
+            names, src, dst, w = _collected(core)
+            live, gone = np.ones(len(src), dtype=bool), []
+            order = np.lexsort((dst, src, np.abs(w)))
+            while True:
+                label = _local_components(src[live], dst[live]) if live.any() else np.zeros(0)
+                inner = [i for i in order if live[i] and label[src[i]] == label[dst[i]]]
+                weakest = {int(label[src[i]]): i for i in reversed(inner)}
+                if not weakest:
+                    break
+                live[list(weakest.values())] = False
+                gone += [(names[src[i]].item(), names[dst[i]].item()) for i in weakest.values()]
+            cuts = now.sparkSession.createDataFrame(gone, now.select("src", "dst").schema)
+            return now.join(F.broadcast(cuts), ["src", "dst"], "left_anti")
         part = components(core)
         inner = core.join(part.select(F.col("node").alias("src"), "component"), "src").join(part.select(F.col("node").alias("dst"), F.col("component").alias("c2")), "dst").where("component = c2")
         weakest = inner.groupBy("component").agg(F.min(F.struct(F.abs("w").alias("v"), "src", "dst")).alias("x")).select("x.src", "x.dst")
