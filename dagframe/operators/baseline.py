@@ -35,7 +35,7 @@ def _node_score(c: np.ndarray, j: int, parents: tuple[int, ...], n: int) -> floa
     if parents:
         m, t = c[np.ix_(parents, parents)], c[list(parents), j]
         left -= float(t @ np.linalg.lstsq(m, t, rcond=None)[0])
-    return n * np.log(max(left, 1e-12)) + len(parents) * np.log(n)
+    return float(n * np.log(max(left, 1e-12)) + len(parents) * np.log(n))
 
 
 def parent_scores(moments: DataFrame, d: int, n: int, most: int | None = None) -> DataFrame:

@@ -1,2 +1,273 @@
-def queries(): return {}
-def oracle_sql(): return {}
+"""Queries on sample matrices, losses, learning steps, whole learning runs and recommendation."""
+
+from __future__ import annotations
+
+import numpy as np
+from pyspark.sql import DataFrame
+from pyspark.sql import functions as F
+
+from dagframe.functions.columns import stable
+from dagframe.operators import baseline, batches, bound, grid, learner, loss, matrices, moments, optim, recommend
+from dagframe.operators import workload_frames as base
+from dagframe.plans import sqlgen
+from dagframe.plans.lineage import cut
+from dagframe.sources.tables import table
+
+LAM, N_STEPS, RHO, ETA = 0.1, 3, 1.0, 1.0
+
+
+def _moments(s, d) -> DataFrame:
+    return cut(moments.from_wide(base.numerics(s, d), base.NUMERIC))
+
+
+def _long_numerics(s, d) -> tuple[DataFrame, int]:
+    wide = cut(base.numerics(s, d).withColumn("sample_id", F.monotonically_increasing_id()))
+    return matrices.long_of(wide, "sample_id", base.NUMERIC), wide.count()
+
+
+def _loss_samples(s, d):
+    cells, n = _long_numerics(s, d)
+    return loss.from_samples(cells, base.probe(s), n, LAM).select(*[stable(c).alias(c) for c in ("fit", "penalty", "loss")])
+
+
+def _loss_moments(s, d):
+    return loss.from_moments(_moments(s, d), base.probe(s), LAM).select(*[stable(c).alias(c) for c in ("fit", "penalty", "loss")])
+
+
+def _gradient_samples(s, d):
+    cells, n = _long_numerics(s, d)
+    return loss.gradient_from_samples(cells, base.probe(s), n, LAM).select("src", "dst", stable("g").alias("g"))
+
+
+def _augmented(s, d):
+    m, e = _moments(s, d), base.probe(s)
+    row = loss.from_moments(m, e, LAM).select("loss").crossJoin(bound.spectral_bound(e, 1))  # one row each
+    both = loss.gradient_from_moments(m, e, LAM).select("src", "dst", F.col("g").alias("gl")).join(bound.bound_gradient(e, 1).select("src", "dst", F.col("g").alias("gb")), ["src", "dst"])
+    return learner.augmented(both.crossJoin(F.broadcast(row)), RHO, ETA).select("src", "dst", stable("objective").alias("objective"), stable("g").alias("g"))
+
+
+def _adam(s, d):
+    e = base.probe(s)
+    g = loss.gradient_from_moments(_moments(s, d), e, LAM)
+    return optim.adam(optim.start(e), g, 1).select("src", "dst", *[stable(c).alias(c) for c in ("w", "m1", "m2")])
+
+
+def _three_steps(s, d):
+    p = learner.LearnerParams(lam=LAM, k=1)
+    return learner.inner(base.probe(s), _moments(s, d), p, RHO, ETA, N_STEPS).select("src", "dst", stable("w").alias("w"))
+
+
+def _proximal(s, d):
+    g = loss.gradient_from_moments(_moments(s, d), base.probe(s), 0.0)
+    return optim.proximal(base.probe(s), g, 0.01, LAM).select("src", "dst", stable("w").alias("w"))
+
+
+def _nll(s, d):
+    m, e = _moments(s, d), base.probe(s)
+    each = loss.neg_log_likelihood(m, e, 1000).select(F.lit("each").alias("variance"), stable("nll", 4).alias("nll"))
+    return each.unionByName(loss.neg_log_likelihood(m, e, 1000, True).select(F.lit("equal").alias("variance"), stable("nll", 4).alias("nll")))
+
+
+def _ratings(s, d) -> DataFrame:
+    return cut(base.ratings(s, d))
+
+
+def _rating_moments(s, d) -> DataFrame:
+    return moments.from_cells(_ratings(s, d))
+
+
+def _links(s, d) -> DataFrame:
+    """Links of brands for recommendation: the moments of centred ratings, from the smaller to the larger number."""
+    return cut(_rating_moments(s, d).where("a <> b").select(F.col("a").alias("src"), F.col("b").alias("dst"), F.col("c").alias("w")))
+
+
+def _brand_nodes(s, d) -> DataFrame:
+    return table(s, d, "part").select(base.brand().alias("node_id"), F.col("p_brand").alias("label")).distinct()
+
+
+def _popularity(s, d) -> DataFrame:
+    return _ratings(s, d).groupBy("node_id").agg(F.countDistinct("sample_id").alias("popularity"))
+
+
+def _batch(s, d):
+    cells = base.ratings(s, d)
+    chosen = batches.draw_exact(cells, 20, 7, 0)
+    return cells.join(chosen, "sample_id", "left_semi").groupBy("sample_id").agg(F.count("*").alias("n"))
+
+
+def _indicators_documents(s, d):
+    docs = table(s, d, "documents").select("doc_id", "lang", "source", F.concat(F.lit("z"), F.floor(F.log10(F.greatest("n_chars", F.lit(1)))).cast("string")).alias("size"))
+    cells, nodes = matrices.indicators(docs, "doc_id", {"lang": "lang", "source": "source", "size": "size"})
+    return cells.join(nodes.select("node_id", "label"), "node_id").groupBy("node_id", "label").agg(F.count("*").alias("n"))
+
+
+def _mixed(s, d):
+    lang = matrices.indicators(table(s, d, "documents"), "doc_id", {"lang": "lang"})
+    lab = matrices.indicators(table(s, d, "labels"), "doc_id", {"quality": "quality", "toxic": "toxic"})
+    cells, nodes = matrices.union_nodes(lang, lab)
+    return cells.join(nodes, "node_id").groupBy("node_id", "label").agg(F.count("*").alias("n"))
+
+
+def _tokens(s, d):
+    labels = matrices.tokens(table(s, d, "documents"))
+    return matrices.dictionary(labels, "token", 20, 200).agg(F.count("*").alias("n_nodes"), F.sum("support").alias("cells"), F.max("support").alias("top"))
+
+
+def _embedding_moments(s, d):
+    return moments.from_vectors(table(s, d, "embeddings"), "embedding").where("a < 4 and b < 8").select("a", "b", stable("c").alias("c"))
+
+
+def _refit(s, d):
+    e = s.createDataFrame([(0, 1), (6, 1), (5, 6), (1, 4)], "src int, dst int")
+    return learner.refit(_moments(s, d), e).select("src", "dst", stable("w").alias("w"), stable("variance").alias("variance"))
+
+
+def _fit_planted(s, d):
+    """Bound against the exact measure on planted graphs: F1 and correlation by method."""
+    cells = [(g, n, 10, seed, m) for g in ("er", "sf") for n in ("gauss", "gumbel") for seed in (1, 2) for m in ("bound", "trexp")]
+    p = learner.LearnerParams(t_outer=25, lam=0.1, eps=1e-4)
+    best = grid.best_cell(cut(baseline.planted_runs(s, cells, p)), "graph", "noise", "d", "seed", "method")
+    return grid.summarise(best, "graph", "noise", "d", "method", measures=("f1", "shd", "corr", "seconds"))
+
+
+def _baseline_planted(s, d):
+    cells = [("er", "gauss", 10, seed, m) for seed in (1, 2) for m in ("trpow", "radius", "climb", "correlation")]
+    best = grid.best_cell(cut(baseline.planted_runs(s, cells, learner.LearnerParams(t_outer=20))), "graph", "noise", "d", "seed", "method")
+    return grid.summarise(best, "graph", "noise", "d", "method")
+
+
+def _fit_brand(s, d):
+    e, _ = learner.fit(_rating_moments(s, d), 56, learner.LearnerParams(t_outer=4, t_inner=100), "dense")
+    return learner.extract_graph(e, 0.01)
+
+
+def _fit_trace(s, d):
+    """Trace of a screened sparse run on brand ratings."""
+    m = _rating_moments(s, d)
+    top = baseline.correlation_graph(m, 120).select(F.col("a").alias("src"), F.col("b").alias("dst"), (F.col("r") / 2).alias("w"))
+    start = top.unionByName(top.select(F.col("dst").alias("src"), F.col("src").alias("dst"), "w"))
+    return learner.fit(m, 56, learner.LearnerParams(t_outer=4, t_inner=60, theta=1e-3), "local_sparse", start)[1]
+
+
+def _gene(s, d):
+    """Embedding dimensions as variables with planted effects: what the learner and the correlation graph recover."""
+    n_dims = 16
+    wide = table(s, d, "embeddings").select(*[F.col("embedding")[i].cast("double").alias(f"x{i}") for i in range(n_dims)])
+    std = matrices.standardise(wide, [f"x{i}" for i in range(n_dims)])
+    effects = [(f"x{i}", f"x{i + k}", 0.8 if (i + k) % 2 else -0.7) for i in range(n_dims) for k in (1, 5) if i + k < n_dims]
+    from dagframe.operators import metrics, simulate
+
+    truth = s.createDataFrame([(int(a[1:]), int(b[1:])) for a, b, _ in effects], "src int, dst int")
+    m = cut(moments.from_wide(simulate.plant(std, effects), [f"x{i}" for i in range(n_dims)]))
+    got = learner.extract_graph(learner.fit(m, n_dims, learner.LearnerParams(t_outer=20), "dense")[0], 0.3)
+    cor = baseline.correlation_graph(m, truth.count()).select(F.col("a").alias("src"), F.col("b").alias("dst"), F.col("r").alias("w"))
+    one = lambda g, name: metrics.measures(metrics.edge_confusion(truth, g).withColumn("d", F.lit(n_dims))).withColumn("method", F.lit(name))
+    return one(got, "bound").unionByName(one(cor, "correlation"))
+
+
+def _scaling(s, d):
+    """Seconds of the bound and its gradient in one process, for growing edge numbers among 160,000 nodes."""
+    import time
+
+    from dagframe.operators.bound_local import value_and_grad
+
+    rows, r = [], np.random.default_rng(3)
+    for n in (10_000, 100_000, 1_000_000):
+        src, dst = r.integers(160_000, size=n), r.integers(160_000, size=n)
+        w = r.uniform(-0.1, 0.1, n)
+        t = time.perf_counter()
+        value, _ = value_and_grad(src, dst, w, 160_000)
+        rows.append((n, float(value), time.perf_counter() - t))
+    return s.createDataFrame(rows, "edges long, bound double, seconds double")
+
+
+def queries() -> dict:
+    return {
+        "moments_numeric": lambda s, d: moments.from_wide(base.numerics(s, d), base.NUMERIC).select("a", "b", stable("c").alias("c")),
+        "moments_sparse": lambda s, d: _rating_moments(s, d).select("a", "b", stable("c").alias("c")),
+        "moments_vectors": _embedding_moments,
+        "standardised_columns": lambda s, d: base.numerics(s, d).agg(*[stable(F.sum(F.abs(c)), 3).alias(c) for c in base.NUMERIC]),
+        "loss_samples": _loss_samples, "loss_moments": _loss_moments,
+        "loss_per_node": lambda s, d: loss.per_node(_moments(s, d), base.probe(s)).select("node", stable("fit").alias("fit")),
+        "loss_gradient": lambda s, d: loss.gradient_from_moments(_moments(s, d), base.probe(s), LAM).select("src", "dst", stable("g").alias("g")),
+        "loss_gradient_samples": _gradient_samples,
+        "nll_loss": _nll,
+        "augmented_objective": _augmented,
+        "adam_one_step": _adam, "inner_three_steps": _three_steps, "proximal_step": _proximal,
+        "threshold_theta": lambda s, d: learner.threshold(base.order_sequence(s, d), 0.4).select("src", "dst", stable("w").alias("w")),
+        "minibatch_draw": _batch,
+        "ratings_centred": lambda s, d: base.ratings(s, d).select("sample_id", "node_id", stable("x").alias("x")),
+        "indicators_documents": _indicators_documents,
+        "tokens_dictionary": _tokens,
+        "mixed_nodes": _mixed,
+        "embeddings_long": lambda s, d: matrices.from_arrays(table(s, d, "embeddings"), "vec_id", "embedding").groupBy("node_id").agg(stable(F.sum("x"), 4).alias("total"), F.count("*").alias("n")),
+        "correlation_graph": lambda s, d: baseline.correlation_graph(_rating_moments(s, d), 15).select("a", "b", stable("r").alias("r")),
+        "refit_two_parents": _refit,
+        "top_links": lambda s, d: recommend.top_links(_links(s, d), _brand_nodes(s, d)).select("src", "src_label", "dst", "dst_label", stable("w").alias("w")),
+        "propagate_scores": lambda s, d: recommend.score(_ratings(s, d), _links(s, d)).select("sample_id", "node_id", stable("score", 4).alias("score")),
+        "explain_scores": lambda s, d: recommend.explain(_ratings(s, d).where("sample_id % 10 = 0"), _links(s, d), 2).select("sample_id", "node_id", "nth", "via", stable("part", 4).alias("part")),
+        "ego_graph": lambda s, d: recommend.ego_graph(_links(s, d).where("w > 0"), 11, 1).select("src", "dst", stable("w").alias("w"), "sign"),
+        "degree_profile": lambda s, d: recommend.degree_profile(_links(s, d).where("w > 0"), _popularity(s, d)),
+        "fit_planted": _fit_planted, "baseline_planted": _baseline_planted, "fit_brand_graph": _fit_brand, "fit_sparse_trace": _fit_trace, "fit_gene_stand_in": _gene,
+        "hill_climb": lambda s, d: baseline.hill_climb(_moments(s, d), 8, 1000, 3),
+        "exhaustive_three": lambda s, d: baseline.exhaustive(_moments(s, d).where("a < 3 and b < 3"), 3),
+        "bound_scaling": _scaling,
+    }
+
+
+def oracle_sql() -> dict[str, str]:
+    num = base.numerics_sql
+    r6 = lambda c, n=6: f"round({c}, {n}) + 0.0 AS {c}"
+    probe = lambda: num().add("probe", base.PROBE_SQL)
+    step = lambda lam=LAM: sqlgen.moment_loss(probe(), "moments", "probe", lam)
+    total = f"SELECT round(f, 6) + 0.0 AS fit, round(p, 6) + 0.0 AS penalty, round(f + p, 6) + 0.0 AS loss FROM (SELECT (SELECT sum(fit) FROM fit) AS f, {LAM} * (SELECT sum(abs(w)) FROM probe) AS p)"
+    aug = sqlgen.gradient(sqlgen.forward(step(), "probe", 1, 0.9), 1, 0.9)
+    three = probe().add("e0", "SELECT src, dst, w, 0.0::DOUBLE AS m1, 0.0::DOUBLE AS m2 FROM probe")
+    for t in range(1, N_STEPS + 1):
+        three.add(f"w{t - 1}", f"SELECT src, dst, w FROM e{t - 1}")
+        sqlgen.moment_loss(three, "moments", f"w{t - 1}", LAM, f"l{t}")
+        sqlgen.gradient(sqlgen.forward(three, f"w{t - 1}", 1, 0.9, f"b{t}"), 1, 0.9, f"b{t}")
+        three.add(f"g{t}", f"SELECT e.src, e.dst, e.w, e.m1, e.m2, a.g + ({ETA} + {RHO} * (SELECT sum(scale) FROM b{t}st1)) * b.g AS g FROM e{t - 1} e JOIN l{t}gl a USING (src, dst) JOIN b{t}grad b USING (src, dst)")
+        three.add(f"n{t}", f"SELECT src, dst, w, 0.9 * m1 + 0.1 * g AS m1, 0.999 * m2 + 0.001 * g * g AS m2 FROM g{t}")
+        three.add(f"e{t}", f"SELECT src, dst, w - 0.01 * (m1 / (1 - pow(0.9, {t}))) / (sqrt(m2 / (1 - pow(0.999, {t}))) + 1e-8) AS w, m1, m2 FROM n{t}")
+    rat = base.ratings_sql
+    rm = lambda: rat().add("m", "SELECT a, b, s / (SELECT count(DISTINCT sample_id) FROM cells) AS c FROM (SELECT x.node_id AS a, y.node_id AS b, sum(x.x * y.x) AS s FROM cells x JOIN cells y ON x.sample_id = y.sample_id WHERE x.node_id <= y.node_id GROUP BY 1, 2)")
+    links = lambda: rm().add("links", "SELECT a AS src, b AS dst, c AS w FROM m WHERE a <> b")
+    nodes = f"SELECT DISTINCT {base.BRAND_SQL} AS node_id, p_brand AS label FROM part"
+    const = 1 + 1.8378770664093453
+    docs_ind = "SELECT doc_id, 'lang=' || lang AS label FROM documents UNION SELECT doc_id, 'source=' || source FROM documents UNION SELECT doc_id, 'size=z' || floor(log10(greatest(n_chars, 1)))::INTEGER FROM documents"
+    mixed = "SELECT doc_id, 'lang=lang=' || lang AS label FROM documents UNION SELECT doc_id, 'quality=quality=' || quality FROM labels UNION SELECT doc_id, 'toxic=toxic=' || toxic FROM labels"
+    numbered = lambda rows: f"SELECT (row_number() OVER (ORDER BY label) - 1)::INTEGER AS node_id, label, n FROM (SELECT label, count(*)::BIGINT AS n FROM ({rows}) WHERE label IS NOT NULL GROUP BY label)"
+    return {
+        "moments_numeric": num().then(f"SELECT a, b, {r6('c')} FROM moments"),
+        "moments_sparse": rm().then(f"SELECT a, b, {r6('c')} FROM m"),
+        "moments_vectors": "SELECT i AS a, j AS b, round(avg(embedding[i + 1]::DOUBLE * embedding[j + 1]::DOUBLE), 6) + 0.0 AS c FROM embeddings, (SELECT a.range::INTEGER AS i, b.range::INTEGER AS j FROM range(4) a, range(8) b WHERE a.range <= b.range) GROUP BY 1, 2",
+        "standardised_columns": num().then("SELECT " + ", ".join(f"round(sum(abs(x{i})), 3) + 0.0 AS {c}" for i, c in enumerate(base.NUMERIC)) + " FROM std_"),
+        "loss_samples": step().then(total), "loss_moments": step().then(total),
+        "loss_per_node": step().then(f"SELECT node, {r6('fit')} FROM fit"),
+        "loss_gradient": step().then(f"SELECT src, dst, {r6('g')} FROM gl"),
+        "loss_gradient_samples": step().then(f"SELECT src, dst, {r6('g')} FROM gl"),
+        "nll_loss": step().then(f"SELECT 'each' AS variance, round(500.0 * sum(ln(fit) + {const}), 4) + 0.0 AS nll FROM fit UNION ALL SELECT 'equal', round(500.0 * count(*) * (ln(sum(fit) / count(*)) + {const}), 4) + 0.0 FROM fit"),
+        "augmented_objective": aug.then(f"SELECT a.src, a.dst, round(l + {RHO} / 2 * b * b + {ETA} * b, 6) + 0.0 AS objective, round(a.g + ({ETA} + {RHO} * b) * x.g, 6) + 0.0 AS g FROM gl a JOIN grad x USING (src, dst), (SELECT (SELECT sum(fit) FROM fit) + {LAM} * (SELECT sum(abs(w)) FROM probe) AS l, (SELECT sum(scale) FROM st1) AS b)"),
+        "adam_one_step": step().then("SELECT src, dst, round(w - 0.01 * g / (abs(g) + 1e-8), 6) + 0.0 AS w, round(0.1 * g, 6) + 0.0 AS m1, round(0.001 * g * g, 6) + 0.0 AS m2 FROM gl"),
+        "inner_three_steps": three.then(f"SELECT src, dst, {r6('w')} FROM e{N_STEPS}"),
+        "proximal_step": step(0.0).then(f"SELECT src, dst, round(sign(v) * greatest(abs(v) - 0.01 * {LAM}, 0), 6) + 0.0 AS w FROM (SELECT src, dst, w - 0.01 * g AS v FROM gl) WHERE abs(v) > 0.01 * {LAM}"),
+        "threshold_theta": base.order_sequence_sql().then(f"SELECT src, dst, {r6('w')} FROM edges WHERE abs(w) >= 0.4"),
+        "minibatch_draw": rat().then("SELECT sample_id, count(*)::BIGINT AS n FROM cells WHERE sample_id IN (SELECT sample_id FROM (SELECT DISTINCT sample_id FROM cells) ORDER BY md5('7:0:' || sample_id) LIMIT 20) GROUP BY 1"),
+        "ratings_centred": rat().then(f"SELECT sample_id, node_id, {r6('x')} FROM cells"),
+        "indicators_documents": numbered(docs_ind),
+        "tokens_dictionary": r"SELECT count(*)::BIGINT AS n_nodes, sum(support)::BIGINT AS cells, max(support)::BIGINT AS top FROM (SELECT w, count(DISTINCT doc_id) AS support FROM (SELECT doc_id, unnest(string_split_regex(trim(text), '\s+')) AS w FROM documents) WHERE w <> '' GROUP BY w) WHERE support BETWEEN 20 AND 200",
+        "mixed_nodes": numbered(mixed),
+        "embeddings_long": "SELECT i AS node_id, round(sum(embedding[i + 1]::DOUBLE), 4) + 0.0 AS total, count(*)::BIGINT AS n FROM embeddings, (SELECT range::INTEGER AS i FROM range(64)) WHERE embedding[i + 1] <> 0 GROUP BY i",
+        "correlation_graph": rm().then("SELECT m.a, m.b, round(m.c / sqrt(x.c * y.c), 6) + 0.0 AS r FROM m JOIN m x ON x.a = m.a AND x.b = m.a JOIN m y ON y.a = m.b AND y.b = m.b WHERE m.a <> m.b ORDER BY abs(m.c / sqrt(x.c * y.c)) DESC, m.a, m.b LIMIT 15"),
+        "refit_two_parents": probe().then(
+            "SELECT 5 AS src, 6 AS dst, round(c56 / c55, 6) + 0.0 AS w, round(c66 - c56 * c56 / c55, 6) + 0.0 AS variance FROM (SELECT max(c) FILTER (a = 5 AND b = 6) AS c56, max(c) FILTER (a = 5 AND b = 5) AS c55, max(c) FILTER (a = 6 AND b = 6) AS c66 FROM moments)"
+            " UNION ALL SELECT 1, 4, round(c14 / c11, 6) + 0.0, round(c44 - c14 * c14 / c11, 6) + 0.0 FROM (SELECT max(c) FILTER (a = 1 AND b = 4) AS c14, max(c) FILTER (a = 1 AND b = 1) AS c11, max(c) FILTER (a = 4 AND b = 4) AS c44 FROM moments)"
+            " UNION ALL SELECT s, 1, round(CASE s WHEN 0 THEN w0 ELSE w6 END, 6) + 0.0, round(c11 - w0 * c01 - w6 * c16, 6) + 0.0 FROM (SELECT *, (c01 * c66 - c16 * c06) / (c00 * c66 - c06 * c06) AS w0, (c16 * c00 - c01 * c06) / (c00 * c66 - c06 * c06) AS w6 FROM (SELECT max(c) FILTER (a = 0 AND b = 0) AS c00, max(c) FILTER (a = 0 AND b = 1) AS c01, max(c) FILTER (a = 0 AND b = 6) AS c06, max(c) FILTER (a = 1 AND b = 6) AS c16, max(c) FILTER (a = 6 AND b = 6) AS c66, max(c) FILTER (a = 1 AND b = 1) AS c11 FROM moments)), (SELECT unnest([0, 6]) AS s)"
+        ),
+        "top_links": links().add("nodes_", nodes).then(f"SELECT src, x.label AS src_label, dst, y.label AS dst_label, {r6('w')} FROM (SELECT * FROM links ORDER BY w DESC, src, dst LIMIT 10) l LEFT JOIN nodes_ x ON x.node_id = src LEFT JOIN nodes_ y ON y.node_id = dst"),
+        "propagate_scores": links().then("SELECT s.sample_id, s.node_id, round(s.score, 4) + 0.0 AS score FROM (SELECT sample_id, dst AS node_id, sum(x * w) AS score FROM cells JOIN links ON node_id = src GROUP BY 1, 2) s LEFT JOIN cells c ON c.sample_id = s.sample_id AND c.node_id = s.node_id WHERE c.node_id IS NULL"),
+        "explain_scores": links().then("SELECT sample_id, node_id, nth::INTEGER AS nth, via, round(part, 4) + 0.0 AS part FROM (SELECT *, row_number() OVER (PARTITION BY sample_id, node_id ORDER BY abs(part) DESC, via) AS nth FROM (SELECT sample_id, dst AS node_id, src AS via, x * w AS part FROM cells JOIN links ON node_id = src WHERE sample_id % 10 = 0)) WHERE nth <= 2"),
+        "ego_graph": links().add("pos", "SELECT * FROM links WHERE w > 0").add("near_", "SELECT 11 AS n UNION SELECT dst FROM pos WHERE src = 11 UNION SELECT src FROM pos WHERE dst = 11").then(f"SELECT src, dst, {r6('w')}, sign(w)::INTEGER AS sign FROM pos WHERE src IN (SELECT n FROM near_) AND dst IN (SELECT n FROM near_)"),
+        "degree_profile": links().add("pos", "SELECT * FROM links WHERE w > 0").then("SELECT p.node_id, (SELECT count(*) FROM pos WHERE dst = p.node_id)::BIGINT AS in_degree, (SELECT count(*) FROM pos WHERE src = p.node_id)::BIGINT AS out_degree, popularity FROM (SELECT node_id, count(DISTINCT sample_id)::BIGINT AS popularity FROM cells GROUP BY 1) p"),
+    }
