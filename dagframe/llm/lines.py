@@ -20,7 +20,7 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from dagframe.llm.common import read_table, with_checkpoints
+from dagframe.llm.common import read_table, release, with_checkpoints
 from dagframe.llm.cuckoo import CuckooFilter
 
 MIN_CHARS = 40
@@ -53,6 +53,7 @@ def postings(docs: DataFrame, doc_id: str = "doc_id", text: str = "text", min_ch
                 keys += own
                 at += [i] * len(own)
             yield pa.RecordBatch.from_arrays([pa.array(keys, pa.binary()), b.column(0).take(pa.array(at, pa.int64()))], ["key", "doc_id"])
+        release()
 
     kind = docs.schema[doc_id].dataType.simpleString()
     each = docs.where(F.col(doc_id).isNotNull() & F.col(text).isNotNull()).select(F.col(doc_id).alias("doc_id"), F.col(text).alias("t"))
@@ -162,6 +163,7 @@ class LineIndex:
                     n_dropped.append(len(lines) - len(stays))
                 more = [pa.array([len(x) for x in split], pa.int64()), pa.array(n_dropped, pa.int64()), pa.array(kept, pa.binary()).cast(pa.string())]
                 yield pa.RecordBatch.from_arrays([*b.columns, *more], [*names, "n_lines", "n_dropped", "kept"])
+            release()
 
         renamed = docs.select(*[F.col(f"`{c}`").alias(n) for c, n in zip(docs.columns, names, strict=True)])
         kinds = ", ".join(f"`{f.name}` {f.dataType.simpleString()}" for f in renamed.schema.fields)

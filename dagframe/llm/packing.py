@@ -18,7 +18,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
-from dagframe.llm.common import partitions_of, read_table, with_checkpoints
+from dagframe.llm.common import partitions_of, read_table, release, with_checkpoints
 from dagframe.llm.wordbpe import table_of, default_path
 
 CAPACITY = 2048
@@ -167,6 +167,7 @@ def pieces(docs: DataFrame, doc_id: str = "doc_id", text: str = "text", path: st
                     for column, value in zip(rows, (own, k, at // 4, len(part) // 4, zlib.crc32(part)), strict=True):
                         column.append(value)
             yield pa.RecordBatch.from_arrays([pa.array(rows[0], b.schema.field(0).type), pa.array(rows[1], pa.int32()), *(pa.array(r, pa.int64()) for r in rows[2:])], ["doc_id", "piece", "start", "length", "ids_crc32"])
+        release()
 
     kind = docs.schema[doc_id].dataType.simpleString()
     slim = docs.select(F.col(doc_id).alias("doc_id"), F.coalesce(F.col(text), F.lit("")).alias("t"))

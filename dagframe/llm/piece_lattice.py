@@ -22,7 +22,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from dagframe.llm.common import read_table, with_checkpoints
+from dagframe.llm.common import read_table, release, with_checkpoints
 
 MODEL = "piece_bpe_32k.model"
 SPACE = "▁"
@@ -186,6 +186,7 @@ def segments(docs: DataFrame, text: str, model: PieceModel) -> DataFrame:
                 if sum(map(len, seen)) > 4_000_000:
                     seen = [np.zeros(0, dtype=np.uint64)]
                 yield pa.RecordBatch.from_arrays([pa.array(rows, pa.string()), pa.ListArray.from_arrays(pa.array(past.astype(np.int32)), pa.array(flat))], ["segment", "singles"])
+        release()
 
     found = docs.select(F.coalesce(F.col(text), F.lit("")).alias("t")).mapInArrow(run, "segment string, singles array<int>")
     return found.groupBy("segment").agg(F.first("singles").alias("singles"))
@@ -321,6 +322,7 @@ def _laid_out(slim: DataFrame, known: pa.Table, model: PieceModel) -> DataFrame:
             lengths = np.r_[0, np.cumsum(np.concatenate(n_ids))] if n_ids else np.zeros(1)
             flat = np.concatenate(flats) if flats else np.zeros(0)
             yield pa.RecordBatch.from_arrays([b.column(0), pa.ListArray.from_arrays(pa.array(lengths.astype(np.int32)), pa.array(flat.astype(np.int32)))], ["doc_id", "ids"])
+        release()
 
     return slim.mapInArrow(run, f"doc_id {slim.schema['doc_id'].dataType.simpleString()}, ids array<int>")
 

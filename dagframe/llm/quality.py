@@ -20,7 +20,7 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from dagframe.llm.common import read_table
+from dagframe.llm.common import read_table, release
 
 BITS = 20
 SAMPLE = 8000
@@ -150,6 +150,8 @@ def learnt(docs: DataFrame, labels: DataFrame, doc_id: str = "doc_id", text: str
         for b in batches:
             made = [features(t, bits) for t in b.column(0).to_pylist()]
             yield pa.RecordBatch.from_arrays([pa.array([k.astype("<u4").tobytes() for k, _ in made], pa.binary()), pa.array([s.astype("<f4").tobytes() for _, s in made], pa.binary()), b.column(1), b.column(2)], ["k", "s", "y", "h"])
+        _ids.clear()
+        release()
 
     found = rows.select("t_", F.col("y_").cast("int"), F.xxhash64("id_", F.lit(1)).alias("h")).mapInArrow(run, "k binary, s binary, y int, h long").toArrow()
     order = np.argsort(found["h"].to_numpy(), kind="stable")
@@ -170,6 +172,7 @@ def scores(docs: DataFrame, model: Model, text: str = "text", out: str = "score"
             got = [held.value.score(t) for t in b.column(len(kept)).to_pylist()]
             yield pa.RecordBatch.from_arrays([*b.columns[: len(kept)], pa.array(got, pa.float64())], [*names, "score_"])
         _ids.clear()
+        release()
 
     return slim.mapInArrow(run, f"{kinds}score_ double").select(*[F.col(n).alias(c) for c, n in zip(kept, names, strict=True)], F.col("score_").alias(out))
 
@@ -185,6 +188,7 @@ def keep_good(docs: DataFrame, labels: DataFrame, doc_id: str = "doc_id", text:
             good = [held.value.score(t or "") >= threshold for t in b.column(at).to_pylist()]
             yield b.filter(pa.array(good, pa.bool_()))
         _ids.clear()
+        release()
 
     return docs.mapInArrow(run, kinds)
 

@@ -21,7 +21,7 @@ import xxhash
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from dagframe.llm.common import fresh, partitions_of, read_table, with_checkpoints
+from dagframe.llm.common import fresh, partitions_of, read_table, release, with_checkpoints
 from dagframe.llm.components import components
 
 SEED = 42
@@ -56,6 +56,7 @@ def fingerprints(docs: DataFrame, text: str = "text", out: str = "fp", shingle:
         for b in batches:
             values = [fingerprint_bytes(x, shingle) for x in b.column(len(kept)).cast(pa.binary()).to_pylist()]
             yield pa.RecordBatch.from_arrays([*b.columns[: len(kept)], pa.array(np.array(values, dtype=np.uint64).view(np.int64))], [*names, "fp_"])
+        release()
 
     done = slim.mapInArrow(run, f"{kinds}{', ' if kinds else ''}fp_ long")
     return done.select(*[F.col(n).alias(c) for c, n in zip(kept, names, strict=True)], F.col("fp_").alias(out))
@@ -156,6 +157,7 @@ def links(nodes: DataFrame, fp: str = "fp", distance: int = DISTANCE, segments:
         for b in (whole.slice(i, 1024) for whole in batches for i in range(0, len(whole), 1024)):
             key, own, home = plan.rows(b.column(0).to_numpy(zero_copy_only=False).view(np.uint64))
             yield pa.RecordBatch.from_arrays([pa.array(key.view(np.int64)), pa.array(own.view(np.int64)), pa.array(home)], ["anchor", "fp", "home"])
+        release()
 
     placed = nodes.select(F.col(fp).alias("fp")).where("fp is not null").distinct().mapInArrow(send, "anchor long, fp long, home boolean")
     counts = placed.groupBy("anchor").agg(F.count("*").alias("n")).persist()
@@ -185,6 +187,7 @@ def links(nodes: DataFrame, fp: str = "fp", distance: int = DISTANCE, segments:
         if parts:
             for a, b in _links(*(np.concatenate(c) for c in zip(*parts, strict=True)), distance):
                 yield pa.RecordBatch.from_arrays([pa.array(a.view(np.int64)), pa.array(b.view(np.int64))], ["a", "b"])
+        release()
 
     return dealt.mapInArrow(compare, "a long, b long").where("a <> b").select(F.least("a", "b").alias("a"), F.greatest("a", "b").alias("b")).distinct()
 

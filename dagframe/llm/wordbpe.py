@@ -22,7 +22,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from dagframe.llm.common import read_table
+from dagframe.llm.common import read_table, release
 
 SLICE = 1 << 20
 KNOWN = 1_500_000
@@ -246,6 +246,7 @@ def frequent_chunks(docs: DataFrame, text: str = "text", most: int = FREQUENT) -
                 seen = Counter(dict(seen.most_common(4 * share)))
         top = seen.most_common(share)
         yield pa.RecordBatch.from_arrays([pa.array([w for w, _ in top], pa.binary()), pa.array([n for _, n in top], pa.int64())], ["chunk", "n"])
+        release()
 
     found = docs.select(F.coalesce(F.col(text), F.lit("")).alias("t")).mapInArrow(summary, "chunk binary, n long").where(F.length("chunk") <= 64)
     rows = found.groupBy("chunk").agg(F.sum("n").alias("n")).orderBy(F.desc("n"), "chunk").limit(most).select("chunk").collect()
@@ -271,6 +272,7 @@ def token_counts(docs: DataFrame, doc_id: str = "doc_id", text: str = "text", pa
             texts = b.column(1).cast(pa.binary()).to_pylist()
             n = pa.array(table.of(texts), pa.int64())
             yield pa.RecordBatch.from_arrays([b.column(0), pa.array([len(x) for x in texts], pa.int64()), n], ["doc_id", "n_bytes", "n_tokens"])
+        release()
 
     kind = docs.schema[doc_id].dataType.simpleString()
     slim = docs.select(F.col(doc_id).alias("doc_id"), F.coalesce(F.col(text), F.lit("")).alias("t"))
