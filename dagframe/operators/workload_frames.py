@@ -136,9 +136,9 @@ def with_active(records: DataFrame) -> DataFrame:
 def log_graph(records: DataFrame) -> DataFrame:
     """EDGES by shares: airline to fare source (share of the airline's records), fare source to error step."""
     pair = lambda a, b, low: records.where(f"{b} is not null").groupBy(F.col(a).alias("src"), F.col(b).alias("dst")).agg(F.count("*").alias("n")).join(records.groupBy(F.col(a).alias("src")).agg(F.count("*").alias("t")), "src").select("src", "dst", (F.col("n") / F.col("t")).alias("w")).where(F.col("w") > low)
-    return pair("airline", "fare", 0.2).unionByName(pair("fare", "step", 0.05))
+    return pair("airline", "fare", 0.25).unionByName(pair("fare", "step", 0.05))
 
 
 def log_graph_sql(log_name: str = "log") -> str:
     pair = lambda a, b, low: f"SELECT src, dst, w FROM (SELECT p.src, p.dst, p.n::DOUBLE / t.t AS w FROM (SELECT {a} AS src, {b} AS dst, count(*) AS n FROM {log_name} WHERE {b} IS NOT NULL GROUP BY 1, 2) p JOIN (SELECT {a} AS src, count(*) AS t FROM {log_name} GROUP BY 1) t ON p.src = t.src) WHERE w > {low}"
-    return pair("airline", "fare", 0.2) + " UNION ALL " + pair("fare", "step", 0.05)
+    return pair("airline", "fare", 0.25) + " UNION ALL " + pair("fare", "step", 0.05)
