@@ -27,7 +27,7 @@ from dagframe.llm.common import read_table, release, with_checkpoints
 MODEL = "piece_bpe_32k.model"
 SPACE = "▁"
 LONG = 40
-SEGMENTS = 6_000_000
+SEGMENTS = 4_000_000
 GROUP = 1 << 19
 ROWS = 500
 
@@ -225,22 +225,22 @@ def encoded_segments(found: DataFrame, model: PieceModel) -> DataFrame:
     part = f"if(q.e = q.s + 1, if(singles[q.s] >= 0, array(singles[q.s]), {byte}), array(filter(wide, w -> w.s = q.s and w.e = q.e)[0].id))"
     if model.bpe:
         alone = F.expr("transform(sequence(0, n), i -> if(i < n, i + 1, 0))")
-        short = sized.where(F.col("n") <= LONG).withColumn("b", F.when(F.size("wide") == 0, alone).otherwise(F.expr(_merged("wide"))))
+        boundaries = F.when(F.size("wide") == 0, alone).otherwise(F.expr(_merged("wide")))
         places = "filter(transform(b, (e, s) -> struct(s as s, e as e)), x -> x.e > 0)"
     else:
-        short = sized.withColumn("b", F.expr(_best_path("wide")))
+        boundaries = F.expr(_best_path("wide"))
         places = "transform(sequence(0, size(b) - 2), i -> struct(b[i] as s, b[i + 1] as e))"
-    folded = short.select("segment", F.expr(f"flatten(transform({places}, q -> {part}))").alias("ids"))
+    laid = F.expr(f"flatten(transform({places}, q -> {part}))")
     if not model.bpe:
-        return folded
+        return sized.withColumn("b", boundaries).select("segment", laid.alias("ids"))
 
-    def heap(batches):
-        for frame in batches:
-            frame["ids"] = [_merge_long(t, x, one, model) for t, x, one in zip(frame["segment"], frame["wide"], frame["singles"], strict=True)]
-            yield frame[["segment", "ids"]]
+    @F.pandas_udf("array<int>")
+    def heap(text: pd.Series, wide: pd.Series, singles: pd.Series) -> pd.Series:
+        return pd.Series([None if t is None else _merge_long(t, x, one, model) for t, x, one in zip(text, wide, singles, strict=True)], dtype=object)
 
-    long_ = sized.where(F.col("n") > LONG).select("segment", "wide", "singles").mapInPandas(heap, "segment string, ids array<int>")
-    return folded.unionByName(long_)
+    own = lambda c: F.when(F.col("n") > LONG, F.col(c))
+    both = sized.withColumn("b", F.when(F.col("n") <= LONG, boundaries)).withColumn("folded", F.when(F.col("n") <= LONG, laid))
+    return both.select("segment", F.coalesce("folded", heap(own("segment"), own("wide"), own("singles"))).alias("ids"))
 
 
 def _merge_long(text: str, edges: list, singles: list, model: PieceModel) -> list[int]:
@@ -283,7 +283,7 @@ def encode(docs: DataFrame, doc_id: str = "doc_id", text: str = "text", path: st
     """
     model = PieceModel.load(path or default_path())
     with_checkpoints(docs.sparkSession)
-    known = encoded_segments(segments(docs, text, model).checkpoint(), model)
+    known = encoded_segments(segments(docs, text, model), model)
     slim = docs.select(F.col(doc_id).alias("doc_id"), F.coalesce(F.col(text), F.lit("")).alias("t"))
     if most_segments > 0:
         top = known.limit(most_segments + 1).toArrow()
@@ -301,6 +301,7 @@ def _laid_out(slim: DataFrame, known: pa.Table, model: PieceModel) -> DataFrame:
     ids = ids.combine_chunks() if isinstance(ids, pa.ChunkedArray) else ids
     offsets, values = ids.offsets.to_numpy().astype(np.int64), ids.values.to_numpy(zero_copy_only=False).astype(np.uint16 if len(model.pieces) <= 1 << 16 else np.int32)
     order = np.argsort(hashes)
+    del known, words
     held = slim.sparkSession.sparkContext.broadcast((hashes[order], offsets[:-1][order].astype(np.int32 if len(values) < 1 << 31 else np.int64), np.diff(offsets)[order].astype(np.int32), values))
 
     def run(batches):

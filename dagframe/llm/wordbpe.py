@@ -24,9 +24,9 @@ from pyspark.sql import functions as F
 
 from dagframe.llm.common import read_table, release
 
-SLICE = 1 << 20
-KNOWN = 1_500_000
-ROW = 4096
+SLICE = 1 << 19
+KNOWN = 600_000
+ROW = 2048
 FREQUENT = 65_536
 VOCABULARY = "word_bpe_49k.json"
 
@@ -95,7 +95,7 @@ class ChunkTable:
     """From chunk to ids or, with ``counts``, to their number."""
 
     def __init__(self, path: str, counts: bool, first: tuple[np.ndarray, np.ndarray] | None = None, most: int = KNOWN):
-        self.library, self.counts, self.most = library(path), counts, most
+        self.library, self.counts, self.most, self.groups = library(path), counts, most, 0
         self.first = first or (np.zeros(0, dtype=np.uint64), np.zeros(0, dtype=np.int32))
         words = self.library.get_vocab()
         self.closing = np.zeros(1 + max(words.values()), dtype=bool)
@@ -127,8 +127,10 @@ class ChunkTable:
             for i, end in zip(row, ends, strict=True):
                 out[i] = data[start:end] if cores[i] is texts[i] else data[start:end] + marks[texts[i][-1]]
                 start = end
-        for i, e in zip(rest, self.library.encode_batch_fast([texts[i] for i in rest], add_special_tokens=False), strict=True):
-            out[i] = array("I", e.ids).tobytes()
+        for at in range(0, len(rest), ROW):
+            row = rest[at : at + ROW]
+            for i, e in zip(row, self.library.encode_batch_fast([texts[i] for i in row], add_special_tokens=False), strict=True):
+                out[i] = array("I", e.ids).tobytes()
         return out
 
     def _learn(self, hashes: np.ndarray, chunks: list[bytes]) -> None:
@@ -188,6 +190,9 @@ class ChunkTable:
         size = 0
 
         def flush() -> None:
+            self.groups += 1
+            if self.groups % 32 == 0:
+                release()
             for i, value in zip(owners, self._group(parts), strict=True):
                 out[i] += value
             parts.clear()
