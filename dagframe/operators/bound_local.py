@@ -33,7 +33,7 @@ def value_and_grad(src: np.ndarray, dst: np.ndarray, w: np.ndarray, d: int, k: i
         if t < k:
             a = a * _over(scale[dst], scale[src])
     value = float(kept[-1][1].sum())
-    if not np.isfinite(value):
+    if not np.isfinite(value) or not np.isfinite(kept[0][0]).all():
         raise ArithmeticError("the bound isn't finite")
     if not gradient:
         return value, None

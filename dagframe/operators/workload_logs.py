@@ -49,13 +49,18 @@ def _support(records, s) -> DataFrame:
     return monitor.path_support(_paths(records, s), *_periods(records))
 
 
-_TEXT = F.concat_ws(">", F.col("path").cast("array<string>")).alias("path")
+
+def _text():
+    """A path as text; a function, since columns need a session."""
+    return F.concat_ws(">", F.col("path").cast("array<string>")).alias("path")
+
+
 _COUNTS = ["n_now", "n_prev", "total_now", "total_prev"]
 
 
 def _tested(test, made=lambda r: r):
     def query(s, d):
-        return monitor.path_test(_support(made(_log(s, d)), s), test).select("target", _TEXT, *_COUNTS, stable("p").alias("p"))
+        return monitor.path_test(_support(made(_log(s, d)), s), test).select("target", _text(), *_COUNTS, stable("p").alias("p"))
 
     return query
 
@@ -63,7 +68,7 @@ def _tested(test, made=lambda r: r):
 def _report(made, correction=None, p_max=0.05):
     def query(s, d):
         got = monitor.report(monitor.path_test(_support(made(_log(s, d)), s)), p_max, correction)
-        return got.select("target", "root", _TEXT, "n_now", "n_prev", stable("p").alias("p"))
+        return got.select("target", "root", _text(), "n_now", "n_prev", stable("p").alias("p"))
 
     return query
 
@@ -160,8 +165,8 @@ def queries() -> dict:
         "moments_panes": _pane_moments,
         "moments_windows": _window_moments,
         "log_graph": lambda s, d: base.log_graph(_log(s, d)).select("src", "dst", stable("w").alias("w")),
-        "root_paths": lambda s, d: _paths(_log(s, d), s).select("target", _TEXT, "ended", stable(F.aggregate("edge_w", F.lit(1.0), lambda a, x: a * x)).alias("weight")),
-        "path_support": lambda s, d: _support(_log(s, d), s).select("target", _TEXT, *_COUNTS),
+        "root_paths": lambda s, d: _paths(_log(s, d), s).select("target", _text(), "ended", stable(F.aggregate("edge_w", F.lit(1.0), lambda a, x: a * x)).alias("weight")),
+        "path_support": lambda s, d: _support(_log(s, d), s).select("target", _text(), *_COUNTS),
         "path_ztest": _tested("two_prop_z"), "path_chi2": _tested("chi2"), "path_fisher": _tested("fisher"),
         "anomaly_report": _report(lambda r: r),
         "anomaly_report_burst": _report(lambda r: cut(base.burst(r)), None, 1e-4),
