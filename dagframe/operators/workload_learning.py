@@ -181,6 +181,68 @@ def _scaling(s, d):
     return s.createDataFrame(rows, "edges long, bound double, seconds double")
 
 
+def _nodes_scaling(s, d):
+    """Seconds of a value and gradient by the number of nodes, two edges a node: the bound against the exponential trace."""
+    import time
+
+    from dagframe.operators.bound_local import value_and_grad
+
+    rows, r = [], np.random.default_rng(1)
+    for n in (10, 20, 50, 100, 200, 500):
+        src, dst, w = r.integers(n, size=2 * n), r.integers(n, size=2 * n), r.uniform(-0.5, 0.5, 2 * n)
+        full = np.zeros((n, n))
+        full[src, dst] = w
+        took = []
+        for f in (lambda src=src, dst=dst, w=w, n=n: value_and_grad(src, dst, w, n), lambda full=full: learner.trexp_dense(full)):
+            f()
+            t = time.perf_counter()
+            for _ in range(5):
+                f()
+            took.append((time.perf_counter() - t) / 5)
+        rows.append((n, took[0], took[1], took[1] / took[0]))
+    return s.createDataFrame(rows, "d int, bound_seconds double, trexp_seconds double, speedup double")
+
+
+def _token_graph(s, d):
+    """Bound and trace along a sparse run on frequent words of documents, from moments of words that occur together."""
+    labels = matrices.tokens(table(s, d, "documents"))
+    nodes = cut(matrices.dictionary(labels, "token", 100, 250))
+    n = nodes.count()
+    cells = cut(labels.join(F.broadcast(nodes.select("label", "node_id")), "label").select("sample_id", "node_id", F.lit(1.0).alias("x")))
+    m = cut(moments.from_cells(cells, table(s, d, "documents").count()))
+    top = m.where("a <> b").orderBy(F.desc("c"), "a", "b").limit(3000).select(F.col("a").alias("src"), F.col("b").alias("dst"), (F.col("c") * 0.5).alias("w"))
+    start = top.unionByName(top.select(F.col("dst").alias("src"), F.col("src").alias("dst"), "w"))
+    return learner.fit(m, n, learner.LearnerParams(t_outer=5, t_inner=40, lam=0.01, theta=1e-3, eps=1e-8), "local_sparse", start)[1]
+
+
+def _distributed(s, d):
+    """Trace of a short run whose edges and state stay tables."""
+    return learner.fit(_moments(s, d), 8, learner.LearnerParams(t_outer=1, t_inner=2, k=1), "distributed", base.probe(s))[1].drop("trexp")
+
+
+def _paradigms(s, d):
+    """Edges on three columns by search, by the exact measure and by the bound."""
+    m = cut(_moments(s, d).where("a < 3 and b < 3"))
+    out = None
+    for name in ("search", "exact", "bound"):
+        one = learner.threshold(learner.solve(m, 3, name, learner.LearnerParams(t_outer=10)), 0.1).agg(F.count("*").alias("edges")).select(F.lit(name).alias("paradigm"), "edges")
+        out = one if out is None else out.unionByName(one)
+    return out
+
+
+def _density(s, d):
+    """Log density of the first thousand customers' ratings under a two-parent network of brands."""
+    m, cells = _rating_moments(s, d), _ratings(s, d).where("sample_id <= 1000")
+    e = _links(s, d).where("src <= 12 and dst between 13 and 15").select("src", "dst")
+    fitted = cut(learner.refit(m, e))
+    variance = fitted.select(F.col("dst").alias("node_id"), "variance").distinct()
+    return learner.log_density(cells, fitted.select("src", "dst", "w"), variance)
+
+
+def _alphas(s, d):
+    return s.createDataFrame([(name, float(bound.suggest_alpha(g))) for name, g in (("sequence", base.order_sequence(s, d)), ("flow", base.net_flow(s, d)))], "graph string, alpha double")
+
+
 def queries() -> dict:
     return {
         "moments_numeric": lambda s, d: moments.from_wide(base.numerics(s, d), base.NUMERIC).select("a", "b", stable("c").alias("c")),
@@ -211,7 +273,9 @@ def queries() -> dict:
         "fit_planted": _fit_planted, "baseline_planted": _baseline_planted, "fit_brand_graph": _fit_brand, "fit_sparse_trace": _fit_trace, "fit_gene_stand_in": _gene,
         "hill_climb": lambda s, d: baseline.hill_climb(_moments(s, d), 8, 1000, 3),
         "exhaustive_three": lambda s, d: baseline.exhaustive(_moments(s, d).where("a < 3 and b < 3"), 3),
-        "bound_scaling": _scaling,
+        "bound_scaling": _scaling, "nodes_scaling": _nodes_scaling, "token_graph_trace": _token_graph, "fit_distributed": _distributed, "solve_paradigms": _paradigms, "log_density": _density,
+        "suggest_alpha": _alphas,
+        "init_edges": lambda s, d: learner.init_edges(s, 2000, 1e-3, 7),
     }
 
 
