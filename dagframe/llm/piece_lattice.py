@@ -28,7 +28,7 @@ MODEL = "piece_bpe_32k.model"
 SPACE = "▁"
 LONG = 40
 SEGMENTS = 4_000_000
-GROUP = 1 << 19
+GROUP = 1 << 18
 ROWS = 500
 
 _FACTOR = 0xD6E8FEB86659FD93
@@ -118,7 +118,7 @@ class Cutter:
         for a, b in pairs:
             self.joined[self.left[ord(a)], self.right[ord(b)]] = True
         self.powers = np.zeros(0, dtype=np.uint64)
-        self.downs = self.powers
+        self.downs, self.cuts = self.powers, 0
 
     def _grown(self, n: int) -> None:
         if len(self.powers) < n:
@@ -127,7 +127,10 @@ class Cutter:
 
     def cut(self, texts: list[str]) -> tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray]:
         """(code points of all texts, segments' starts with a last end, hashes, each text's first segment with a last end)."""
-        start = f"{SPACE}" if self.prefix else ""
+        self.cuts += 1
+        if self.cuts % 32 == 0:
+            release()
+        start = SPACE if self.prefix else ""
         whole = [start + t.replace(" ", SPACE) if t else "" for t in texts]
         points = np.frombuffer("".join(whole).encode("utf-32-le", "surrogatepass"), dtype=np.uint32)
         borders = np.r_[0, np.cumsum([len(w) for w in whole])].astype(np.int64)
