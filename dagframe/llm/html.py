@@ -31,7 +31,7 @@ CLOSES_P = frozenset("address article aside blockquote details div dl fieldset f
 BOILER = frozenset("nav header footer aside form menu head button select dialog".split())
 CONTAINERS = frozenset("article main section div body td center".split())
 _BOILER_WORD = re.compile(
-    r"(?:^|[-_ ])(?:ads?|advert\w*|adsense|sponsor\w*|promo\w*|banner\w*|nav\w*|menu\w*|breadcrumb\w*|sidebar\w*|side|aside|widget\w*|footer\w*|foot|masthead|site-?header|page-?header|comments?|commentlist|disqus\w*|replies|respond|cookie\w*|consent|gdpr|notice\w*|alert\w*|popup\w*|modal\w*|overlay|subscribe\w*|newsletter\w*|signup|login|share\w*|sharing|social\w*|related\w*|recommend\w*|pagination|pager|toolbar|skip-?link\w*|search\w*|tags?|tagcloud|copyright|legal|disclaimer|contentinfo|navigation|complementary)(?=$|[-_ ])"
+    r"(?:^|[-_ ])(?<!no[-_])(?<!has[-_])(?<!with[-_])(?<!without[-_])(?:ads?|advert\w*|adsense|sponsor\w*|promo\w*|banner\w*|nav\w*|menu\w*|breadcrumb\w*|sidebar\w*|side|aside|widget\w*|footer\w*|foot|masthead|site-?header|page-?header|comments?|commentlist|disqus\w*|replies|respond|cookie\w*|consent|gdpr|notice\w*|alert\w*|popup\w*|modal\w*|overlay|subscribe\w*|newsletter\w*|signup|login|share\w*|sharing|social\w*|related\w*|recommend\w*|pagination|pager|toolbar|skip-?link\w*|search\w*|tags?|tagcloud|copyright|legal|disclaimer|contentinfo|navigation|complementary)(?=$|[-_ ])"
 )
 _TOKEN = re.compile(r"<!--.*?(?:-->|\Z)|<!\[CDATA\[.*?(?:\]\]>|\Z)|<[!?][^>]*(?:>|\Z)|<(/?)([a-zA-Z][^\s/>]*)((?:[^>\"']|\"[^\"]*\"|'[^']*')*)(>|\Z)", re.S)
 _ATTRIBUTE = re.compile(r"\b(class|id|role|hidden|aria-hidden)\s*(?:=\s*(?:\"([^\"]*)\"|'([^']*)'|([^\s\"'>]+)))?", re.I)
@@ -46,9 +46,9 @@ class _Node:
         self.tag, self.path, self.skip, self.own, self.kids, self.links, self.block = tag, path, skip, 0, [], 0, tag in BLOCKS
 
 
-def _described(tag: str, attributes: str) -> tuple[str, bool]:
-    """The element's place in a generalised path, and whether it is no text of the page's own."""
-    skip = tag in BOILER
+def _described(tag: str, attributes: str, inside: bool = False) -> tuple[str, bool]:
+    """The element's place in a generalised path, and whether it is no text of the page's own; an article's own header is."""
+    skip = tag in BOILER and not inside
     if not attributes:
         return tag, skip
     words = ""
@@ -103,7 +103,7 @@ def parse(page: str) -> _Node:
                     break
                 if stack[k].block:
                     break
-        place, skip = _described(tag, m[3] or "")
+        place, skip = _described(tag, m[3] or "", tag == "header" and any(n.tag == "article" for n in stack))
         node = _Node(tag, place, skip)
         if tag in RAW:
             end = _RAW_END[tag].search(low, at)

@@ -60,6 +60,8 @@ def test_html():
     assert html.extract("", []) == "" and html.extract("plain &lt;b&gt;\n text", []) == "plain <b> text"
     assert html.extract("<div><p>a<p>b<br>c</div", []) == "a b c"
     assert html.extract("<!-- <p>x</p> --><p>kept</p><script>never ends <p>x", []) == "kept"
+    assert html.extract("<header>Site</header><article><header><h1>Head</h1></header><p>Text of it.</p><footer>by x</footer></article>", []) == "Head Text of it."
+    assert html.extract("<div class='main no-sidebar'><p>Text beside nothing.</p></div><div class='left sidebar'><p>Text of the side, which is longer.</p></div>", []) == "Text beside nothing."
     deep = "<div>" * 3000 + "deep" + "</div>" * 3000
     assert html.extract(deep, []) == "deep"
 
