@@ -26,7 +26,7 @@ from dagframe.llm.cuckoo import CuckooFilter
 MIN_CHARS = 40
 MIN_DOCS = 5
 SHARDS = 64
-BROADCAST_BYTES = 64 << 20
+BROADCAST_BYTES = 16 << 20
 KEY_BYTES = 16
 
 
