@@ -8,9 +8,10 @@ from pyspark.sql import functions as F
 from dagframe.functions.columns import normal_tail_sql, stable
 from dagframe.operators import learner, matrices, moments, monitor
 from dagframe.operators import workload_frames as base
-from dagframe.plans.lineage import cut
+from dagframe.plans.lineage import cut, ready
 from dagframe.plans.sqlgen import Ctes
-from dagframe.sources.tables import events, table
+from dagframe.sources.tables import event_stream, events, table
+from dagframe.streaming import monitoring
 from dagframe.streaming.monitoring import interval_causes, user_sessions
 
 
@@ -157,6 +158,18 @@ def _sources(s, d):
     return out
 
 
+def _stream_panes(s, d):
+    """Pane counts of the log read as a stream, through the sink that replaces a repeated batch."""
+    from uuid import uuid4
+
+    home = f"{ready(s).sparkContext.getCheckpointDir()}/stream-{uuid4().hex}"
+    counts = monitoring.pane_counts(event_stream(s, d, 10, "events.parquet"), "event_type")
+    monitoring.run(counts, monitoring.idempotent(f"{home}/out"), f"{home}/state", mode="complete", once=True).awaitTermination()
+    out = s.read.parquet(f"{home}/out")
+    last = out.agg(F.max("batch").alias("last"))
+    return out.crossJoin(F.broadcast(last)).where("batch = last").select(F.date_format("window.start", "yyyy-MM-dd HH:mm:ss").alias("pane_start"), "event_type", "n")
+
+
 def queries() -> dict:
     return {
         "indicators_events": lambda s, d: base.with_active(base.log(s, d)).select(F.explode("active").alias("node_id")).groupBy("node_id").agg(F.count("*").alias("n")),
@@ -183,6 +196,7 @@ def queries() -> dict:
         "weight_quantiles": lambda s, d: base.order_sequence(s, d).agg(*[stable(F.percentile("w", F.lit(q))).alias(f"q{int(q * 100)}") for q in (0.1, 0.5, 0.9)], F.count_distinct("src").alias("nodes")),
         "pivot_steps": lambda s, d: base.log(s, d).where("step is not null").groupBy("fare").pivot("step", [0, 1, 2, 3]).agg(F.count("event_id")).select("fare", *[F.coalesce(F.col(str(i)), F.lit(0)).alias(f"step{i}") for i in range(4)]),
         "rank_links": lambda s, d: base.net_flow(s, d).select("src", "dst", F.rank().over(Window.partitionBy("src").orderBy(F.desc(F.round("w", 9)))).alias("nth"), F.ntile(4).over(Window.partitionBy("src").orderBy(F.desc(F.round("w", 9)), "dst")).alias("quarter")).where("nth <= 3"),
+        "stream_panes": _stream_panes,
         "fit_windows": _fit_windows,
     }
 
@@ -218,6 +232,7 @@ def oracle_sql() -> dict[str, str]:
     return {
         "indicators_events": log().add("act", active).then("SELECT node_id, count(*)::BIGINT AS n FROM act GROUP BY 1"),
         "windows_24h": "SELECT strftime(e, '%Y-%m-%d %H:%M:%S') AS window_end, count(*)::BIGINT AS n FROM (SELECT make_timestamp(((floor(epoch(ts) / 1800)::BIGINT + 1 + range) * 1800 * 1000000)::BIGINT) AS e FROM events, range(48) WHERE event_type = 'error') GROUP BY e",
+        "stream_panes": "SELECT strftime(make_timestamp((floor(epoch(ts) / 1800) * 1800 * 1000000)::BIGINT), '%Y-%m-%d %H:%M:%S') AS pane_start, event_type, count(*)::BIGINT AS n FROM events GROUP BY 1, 2",
         "windows_panes": steps().then("SELECT pane, step, n, sum(n) OVER (PARTITION BY step ORDER BY pane RANGE BETWEEN 47 PRECEDING AND CURRENT ROW)::BIGINT AS now, coalesce(sum(n) OVER (PARTITION BY step ORDER BY pane RANGE BETWEEN 95 PRECEDING AND 48 PRECEDING), 0)::BIGINT AS prev FROM steps"),
         "moments_panes": pairs().then("SELECT a, b, round(sum(s), 6) + 0.0 AS s, count(*)::BIGINT AS panes FROM pane_m GROUP BY 1, 2"),
         "moments_windows": pairs().then('SELECT e.pane AS "end", m.a, m.b, round(sum(m.s), 6) + 0.0 AS s FROM pane_m m JOIN (SELECT DISTINCT pane FROM log WHERE pane % 480 = 0) e ON m.pane BETWEEN e.pane - 47 AND e.pane GROUP BY 1, 2, 3'),

@@ -29,10 +29,10 @@ def events(spark: SparkSession, sf_dir: str) -> DataFrame:
     return raw.withColumns({"ts": F.col("ts").cast("timestamp"), "k": F.get_json_object("props", "$.k").cast("int")})
 
 
-def event_stream(spark: SparkSession, folder: str, files_per_trigger: int = 1) -> DataFrame:
-    """The log as a stream of Parquet files of a folder."""
+def event_stream(spark: SparkSession, folder: str, files_per_trigger: int = 1, pattern: str = "*.parquet") -> DataFrame:
+    """The log as a stream of the Parquet files of a folder whose names match ``pattern``."""
     schema = "event_id long, ts timestamp_ntz, user_id long, event_type string, value double, props string"
-    raw = spark.readStream.schema(schema).option("maxFilesPerTrigger", files_per_trigger).parquet(folder)
+    raw = spark.readStream.schema(schema).option("maxFilesPerTrigger", files_per_trigger).option("pathGlobFilter", pattern).parquet(folder)
     return raw.withColumns({"ts": F.col("ts").cast("timestamp"), "k": F.get_json_object("props", "$.k").cast("int")})
 
 
