@@ -1,11 +1,11 @@
 """Embedding near-dedup by a forest of random-projection trees.
 
 Every tree splits the unit vectors by random directions at the median, again and again; a vector close to a split goes to
-both sides (spill), so near vectors seldom part, and a pair that parts in one tree meets in another. The upper levels of
-all trees are fitted on a bounded sample of rows (``sample``, 20,000) and sent to all tasks; every vector is dealt to its
-branches, and each branch is split on in its task with the same rule until leaves are small. Vectors are compared within
-leaves, in double precision, and a pair counts if its cosine reaches the threshold; nothing else links. Pairs found in
-several leaves count once. Vectors that are exactly equal are one class from the start and take no part in the search.
+both sides (spill), so near vectors seldom part, and a pair that parts in one tree meets in another. The trees are fitted on
+a bounded sample of rows (``sample``, 20,000) and sent to all tasks; every vector is dealt to all its leaves. Vectors are
+compared within leaves, in double precision, and a pair counts if its cosine reaches the threshold; nothing else links.
+Each row carries the list of its leaves, so a pair counts in the first leaf only that it shares: a leaf gives sums and a
+spanning forest, never pairs. Vectors that are exactly equal are one class from the start and take no part in the search.
 """
 
 from __future__ import annotations
@@ -19,10 +19,9 @@ from dagframe.llm.common import partitions_of, read_table, with_checkpoints
 from dagframe.llm.components import components
 
 THRESHOLD = 0.95
-TREES = 10
+TREES = 6
 SPILL = 0.2
-LEAF = 256
-BRANCH = 2048
+LEAF = 512
 SAMPLE = 20_000
 DEPTH = 12
 SEED = 11
@@ -73,34 +72,80 @@ def route(x: np.ndarray, tree: list, at: np.ndarray, number: int = 1):
     yield from route(x, tree[2], at[right], 2 * number + 1)
 
 
-def leaf_pairs(x: np.ndarray, random: np.random.Generator, threshold: float, spill: float, leaf: int, depth: int = 24, block: int = 1024):
-    """Pairs of rows of ``x``, first below second, found by splitting it on to leaves; a leaf that no split shrinks is compared whole, in blocks."""
-    todo = [(np.arange(len(x)), 0)]
-    while todo:
-        at, level = todo.pop()
-        if len(at) > leaf and level < depth:
-            split = Split(x[at], random, spill)
-            left, right = split.sides(x[at])
-            if left.sum() + right.sum() < 1.6 * len(at) and left.sum() < 0.9 * len(at) and right.sum() < 0.9 * len(at):
-                todo += [(at[left], level + 1), (at[right], level + 1)]
-                continue
-        for i in range(0, len(at), block):
-            for j in range(i, len(at), block):
-                a, b = np.nonzero(x[at[i : i + block]] @ x[at[j : j + block]].T >= threshold)
-                a, b = at[i + a], at[j + b]
-                low = a < b if i == j else a != b
-                yield np.minimum(a, b)[low], np.maximum(a, b)[low]
+class Places:
+    """The leaves of every row of a leaf, as sorted numbers: tells whether two rows met in an earlier leaf."""
 
+    def __init__(self, lists: list[bytes], leaf: int):
+        each = [np.frombuffer(x, dtype=np.int32) for x in lists]
+        sizes = np.array([np.searchsorted(x, leaf) for x in each], dtype=np.int64)  # those before this leaf
+        self.sizes, self.start = sizes, np.cumsum(sizes) - sizes
+        values = np.concatenate([x[:n] for x, n in zip(each, sizes, strict=True)]).astype(np.int64) if len(each) else np.zeros(0, dtype=np.int64)
+        self.values, self.keys = values, np.repeat(np.arange(len(each), dtype=np.int64), sizes) << 32 | values
 
-def _matrix(column) -> np.ndarray:
-    return np.frombuffer(b"".join(column.to_pylist()), dtype=np.float64).reshape(len(column), -1)
+    def met(self, a: np.ndarray, b: np.ndarray) -> np.ndarray:
+        n = self.sizes[a]
+        if not len(self.keys) or not n.sum():
+            return np.zeros(len(a), dtype=bool)
+        pair = np.repeat(np.arange(len(a)), n)
+        value = self.values[np.repeat(self.start[a] - (np.cumsum(n) - n), n) + np.arange(n.sum())]
+        key = b[pair] << 32 | value
+        at = np.minimum(np.searchsorted(self.keys, key), len(self.keys) - 1)
+        return np.bincount(pair[self.keys[at] == key], minlength=len(a)) > 0
 
 
-def near_pairs(classes: DataFrame, vector: str = "vector", node: str = "node", threshold: float = THRESHOLD, trees: int = TREES, spill: float = SPILL, leaf: int = LEAF, branch: int = BRANCH, sample: int = SAMPLE) -> DataFrame:
-    """Distinct pairs ``(a, b)``, a below b, of nodes whose vectors (all of one dimension, one row per node) were found close."""
-    spark, n = classes.sparkSession, partitions_of(classes.sparkSession)
+def _joined(label: np.ndarray, a: np.ndarray, b: np.ndarray) -> list[int]:
+    """Positions of links that join two parts of ``label``, which is updated; no more than parts joined."""
+    differ = np.flatnonzero(label[a] != label[b])
+    if not len(differ):
+        return []
+    low, high = np.minimum(label[a[differ]], label[b[differ]]), np.maximum(label[a[differ]], label[b[differ]])
+    _, first = np.unique(low * len(label) + high, return_index=True)
+    root: dict[int, int] = {}
+
+    def find(i: int) -> int:
+        while root.get(i, i) != i:
+            i = root[i]
+        return i
+
+    out = []
+    for k in first.tolist():
+        x, y = find(int(low[k])), find(int(high[k]))
+        if x != y:
+            root[max(x, y)] = min(x, y)
+            out.append(int(differ[k]))
+    move = np.arange(len(label))
+    for i in root:
+        move[i] = find(i)
+    label[:] = move[label]
+    return out
+
+
+def leaf_links(x: np.ndarray, n: np.ndarray, places: Places, threshold: float, block: int = 512) -> tuple[np.ndarray, list[tuple[int, int]]]:
+    """(for each row the copies that it links with for the first time here, links that span the parts)."""
+    counts, label, edges = np.zeros(len(x)), np.arange(len(x)), []
+    for i in range(0, len(x), block):
+        for j in range(i, len(x), block):
+            a, b = np.nonzero(x[i : i + block] @ x[j : j + block].T >= threshold)
+            a, b = a + i, b + j
+            if i == j:
+                a, b = a[a < b], b[a < b]
+            if len(a):
+                new = ~places.met(a, b)
+                a, b = a[new], b[new]
+                counts += np.bincount(a, weights=n[b], minlength=len(x)) + np.bincount(b, weights=n[a], minlength=len(x))
+                edges += [(int(a[k]), int(b[k])) for k in _joined(label, a, b)]
+    return counts, edges
+
+
+def near_links(classes: DataFrame, vector: str = "vector", node: str = "node", size: str = "n", threshold: float = THRESHOLD, trees: int = TREES, spill: float = SPILL, leaf: int = LEAF, sample: int = SAMPLE) -> DataFrame:
+    """``(a, b, n)`` over nodes with vectors of one dimension, one row each.
+
+    Rows without b: n rows (by ``size``) link with node a, each counted in the first leaf only that the two share. Rows with b:
+    links that span the components. Pairs themselves never leave their leaf.
+    """
+    spark, parts = classes.sparkSession, partitions_of(classes.sparkSession)
     count = classes.count()
-    levels = min(DEPTH, max(0, int(np.ceil(np.log2(max(1, count) / branch)))))
+    levels = min(DEPTH, max(0, int(np.ceil(np.log2(max(1, count) / leaf)))))
     some = classes.orderBy(F.xxhash64(node)).limit(sample).select(vector).toArrow() if levels else None
     random = np.random.default_rng(SEED)
     fitted = unit(np.array(some.column(0).to_pylist(), dtype=np.float64)) if levels and some.num_rows else None
@@ -109,48 +154,48 @@ def near_pairs(classes: DataFrame, vector: str = "vector", node: str = "node", t
     def deal(batches):
         for b in batches:
             x = unit(np.array(b.column(1).to_pylist(), dtype=np.float64))
-            for t, tree in enumerate(forest.value):
-                for number, at in route(x, tree, np.arange(len(x))):
-                    packed = x[at].tobytes()
-                    step = len(packed) // len(at)
-                    yield pa.RecordBatch.from_arrays(
-                        [pa.array(np.full(len(at), t << 40 | number)), b.column(0).take(pa.array(at)), pa.array([packed[i : i + step] for i in range(0, len(packed), step)], pa.binary())], ["branch", "node", "x"]
-                    )
-
-    dealt = classes.select(F.col(node).cast("long").alias("node"), vector).mapInArrow(deal, "branch long, node long, x binary")
-    grouped = dealt.repartition(n, "branch").sortWithinPartitions("branch")
+            reached = [(t << DEPTH + 1 | number, at) for t, tree in enumerate(forest.value) for number, at in route(x, tree, np.arange(len(x)))]
+            rows, leaves = np.concatenate([at for _, at in reached]), np.concatenate([np.full(len(at), k) for k, at in reached]).astype(np.int32)
+            order = np.lexsort((leaves, rows))
+            cuts = np.searchsorted(rows[order], np.arange(len(x) + 1))
+            lists = [leaves[order][i:j].tobytes() for i, j in zip(cuts[:-1], cuts[1:], strict=True)]
+            data = [r.tobytes() for r in x]
+            for k, at in reached:
+                own = pa.array(at)
+                yield pa.RecordBatch.from_arrays(
+                    [pa.array(np.full(len(at), k, dtype=np.int32)), b.column(0).take(own), b.column(2).take(own), pa.array([data[i] for i in at], pa.binary()), pa.array([lists[i] for i in at], pa.binary())], ["leaf", "node", "n", "x", "leaves"]
+                )
+
+    dealt = classes.select(F.col(node).cast("long").alias("node"), vector, F.col(size).cast("long").alias("n")).mapInArrow(deal, "leaf int, node long, n long, x binary, leaves binary")
+    grouped = dealt.repartition(parts, "leaf").sortWithinPartitions("leaf")
 
     def compare(batches):
         held: list = []
 
         def finish():
-            node, x = np.concatenate([h[0] for h in held]), np.concatenate([h[1] for h in held])
-            order = np.argsort(node)
-            node, x = node[order], x[order]
-            seed = held[0][2]
+            node, n, x = (np.concatenate([h[c] for h in held]) for c in (1, 2, 3))
+            places = Places([v for h in held for v in h[4]], held[0][0])
             held.clear()
-            seen: list = []
-            for a, b in leaf_pairs(x, np.random.default_rng([SEED, seed]), threshold, spill, leaf):
-                seen.append(a.astype(np.int64) * len(node) + b)
-                if sum(map(len, seen)) > 2_000_000:
-                    seen = [np.unique(np.concatenate(seen))]
-            both = np.unique(np.concatenate(seen)) if seen else np.zeros(0, dtype=np.int64)
-            for i in range(0, len(both), 100_000):
-                part = both[i : i + 100_000]
-                yield pa.RecordBatch.from_arrays([pa.array(node[part // len(node)]), pa.array(node[part % len(node)])], ["a", "b"])
+            counts, edges = leaf_links(x, n, places, threshold)
+            some = np.flatnonzero(counts)
+            a = np.concatenate([node[some], node[[e[0] for e in edges]]])
+            b = pa.array([None] * len(some) + node[[e[1] for e in edges]].tolist(), pa.int64())
+            yield pa.RecordBatch.from_arrays([pa.array(a), b, pa.array(np.concatenate([counts[some], np.zeros(len(edges))]).astype(np.int64))], ["a", "b", "n"])
 
         for b in batches:
-            branch = b.column(0).to_numpy()
-            x, node = _matrix(b.column(2)), b.column(1).to_numpy()
-            for s, e in zip(*(lambda c: (np.r_[0, c], np.r_[c, len(branch)]))(np.flatnonzero(np.diff(branch)) + 1), strict=True):
-                if e > s:
-                    if held and held[0][2] != int(branch[s]):
-                        yield from finish()
-                    held.append((node[s:e], x[s:e], int(branch[s])))
+            leaf_ = b.column(0).to_numpy()
+            if not len(leaf_):
+                continue
+            node, n, x, lists = b.column(1).to_numpy(), b.column(2).to_numpy(), np.frombuffer(b"".join(b.column(3).to_pylist()), dtype=np.float64).reshape(len(b), -1), b.column(4).to_pylist()
+            edge = np.r_[0, np.flatnonzero(np.diff(leaf_)) + 1, len(leaf_)]
+            for s, e in zip(edge[:-1], edge[1:], strict=True):
+                if held and held[0][0] != int(leaf_[s]):
+                    yield from finish()
+                held.append((int(leaf_[s]), node[s:e], n[s:e], x[s:e], lists[s:e]))
         if held:
             yield from finish()
 
-    return grouped.mapInArrow(compare, "a long, b long").distinct()
+    return grouped.mapInArrow(compare, "a long, b long, n long")
 
 
 def near_duplicates(rows: DataFrame, vec_id: str = "vec_id", vector: str = "embedding", **options) -> DataFrame:
@@ -169,15 +214,13 @@ def near_duplicates(rows: DataFrame, vec_id: str = "vec_id", vector: str = "embe
     if classes.groupBy("node").count().where("count > 1").limit(1).count():
         raise RuntimeError("two different vectors have the same 64-bit hash; scale one of them")
     sizes = [r["d"] for r in classes.select(F.size("vector").alias("d")).distinct().collect()]
-    pairs = None
+    found = spark.createDataFrame([], "a long, b long, n long")
     for d in sizes:
-        found = near_pairs(classes.where(F.size("vector") == d), **options)
-        pairs = found if pairs is None else pairs.unionByName(found)
-    pairs = (pairs if pairs is not None else spark.createDataFrame([], "a long, b long")).checkpoint()
+        found = found.unionByName(near_links(classes.where(F.size("vector") == d), **options))
+    found = found.checkpoint()
     sized = classes.select("node", "n", "least")
-    both = pairs.unionByName(pairs.select(F.col("b").alias("a"), F.col("a").alias("b")))
-    links = both.join(sized.select(F.col("node").alias("b"), F.col("n").alias("m")), "b").groupBy("a").agg(F.sum("m").alias("others"))
-    rooted = sized.join(components(pairs).withColumnRenamed("id", "node"), "node", "left").withColumn("root", F.coalesce("component", "node"))
+    links = found.where("b is null").groupBy("a").agg(F.sum("n").alias("others"))
+    rooted = sized.join(components(found.where("b is not null")).withColumnRenamed("id", "node"), "node", "left").withColumn("root", F.coalesce("component", "node"))
     named = rooted.join(rooted.groupBy("root").agg(F.min("least").alias("component_id")), "root")
     each = named.join(links.withColumnRenamed("a", "node"), "node", "left").select("node", (F.coalesce("others", F.lit(0)) + F.col("n") - 1).alias("n_links"), "component_id")
     joined = own.withColumn("node", F.when(F.col("sound"), F.xxhash64("vector"))).join(each, "node", "left")

@@ -34,7 +34,7 @@ def test_embeddings_against_brute_force(spark):
     x = np.concatenate([base, near, near[:40], np.repeat(base[:1], 60, 0) + 0.02 * r.standard_normal((60, 16))]).astype(np.float32)
     odd = [None, [], [0.0] * 16, [float("nan")] + [1.0] * 15, [None] + [1.0] * 15, [float("inf")] + [1.0] * 15, [1.0, 2.0]]
     rows = [(i, v.tolist()) for i, v in enumerate(x)] + [(1000 + i, v) for i, v in enumerate(odd)] + [(None, base[5].astype(np.float32).tolist())]
-    for options in ({}, {"branch": 64, "leaf": 32}):
+    for options in ({}, {"leaf": 32}):
         got = embeddings.near_duplicates(spark.createDataFrame(rows, "vec_id long, embedding array<float>"), **options).toPandas()
         u = embeddings.unit(np.concatenate([x, base[5:6].astype(np.float32)]))
         close = u @ u.T >= 0.95
