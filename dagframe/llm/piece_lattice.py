@@ -197,11 +197,12 @@ def segments(docs: DataFrame, text: str, model: PieceModel) -> DataFrame:
 
 def _merged(edges: str) -> str:
     """Fold for BPE. State: at each boundary the next boundary, elsewhere 0. A step merges the first edge, best ones coming
-    first, that spans just two of the present parts."""
+    first, that spans just two of the present parts; once there is none, the last place is -1 and steps do nothing."""
     fits = "x -> b[x.s] > 0 and b[b[x.s]] = x.e"
-    merge = "if(y is null, b, transform(b, (z, i) -> if(i = y.s, y.e, if(i = b[y.s], 0, z))))"
+    merge = "transform(b, (z, i) -> if(y is null, if(i = n, -1, z), if(i = y.s, y.e, if(i = b[y.s], 0, z))))"
     last = "transform(sequence(0, n), i -> if(i < n, i + 1, 0))"
-    return f"aggregate(sequence(1, n - 1), {last}, (b, k) -> transform(array(get(filter({edges}, {fits}), 0)), y -> {merge})[0])"
+    step = f"if(b[n] < 0, b, transform(array(get(filter({edges}, {fits}), 0)), y -> {merge})[0])"
+    return f"aggregate(sequence(1, n - 1), {last}, (b, k) -> {step})"
 
 
 def _best_path(edges: str) -> str:
@@ -303,12 +304,20 @@ def _laid_out(slim: DataFrame, known: pa.Table, model: PieceModel) -> DataFrame:
     ids = known["ids"].combine_chunks()
     ids = ids.combine_chunks() if isinstance(ids, pa.ChunkedArray) else ids
     offsets, values = ids.offsets.to_numpy().astype(np.int64), ids.values.to_numpy(zero_copy_only=False).astype(np.uint16 if len(model.pieces) <= 1 << 16 else np.int32)
-    order = np.argsort(hashes)
-    del known, words
-    held = slim.sparkSession.sparkContext.broadcast((hashes[order], offsets[:-1][order].astype(np.int32 if len(values) < 1 << 31 else np.int64), np.diff(offsets)[order].astype(np.int32), values))
+    sizes, order = np.diff(offsets), np.argsort(hashes)
+    parts = []  # the ids in the order of hashes, so that no places need sending
+    for i in range(0, len(order), 200_000):
+        some = order[i : i + 200_000]
+        past = np.cumsum(sizes[some])
+        parts.append(values[np.repeat(offsets[some] - (past - sizes[some]), sizes[some]) + np.arange(past[-1] if len(past) else 0)])
+    narrow = np.uint8 if len(sizes) == 0 or sizes.max() < 256 else np.int32
+    sent = (hashes[order], sizes[order].astype(narrow), np.concatenate(parts) if parts else values[:0])
+    del known, words, ids, values, offsets, parts
+    held = slim.sparkSession.sparkContext.broadcast(sent)
 
     def run(batches):
-        sorted_, at_, sizes_, pool = held.value
+        sorted_, sizes_, pool = held.value
+        at_ = np.cumsum(sizes_, dtype=np.int64) - sizes_
         own = Cutter(model)
         for b in (whole.slice(i, ROWS) for whole in batches for i in range(0, len(whole), ROWS)):
             texts, n_ids, flats = b.column(1).to_pylist(), [], []
