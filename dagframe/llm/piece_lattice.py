@@ -279,8 +279,8 @@ def _merge_long(text: str, edges: list, singles: list, model: PieceModel) -> lis
     return out
 
 
-def encode(docs: DataFrame, doc_id: str = "doc_id", text: str = "text", path: str | None = None, most_segments: int = SEGMENTS) -> DataFrame:
-    """``(doc_id, ids)`` of every row, without begin and end marks; null and empty texts have no ids; repeated rows stay.
+def encode(docs: DataFrame, doc_id: str = "doc_id", text: str = "text", path: str | None = None, most_segments: int = SEGMENTS, decoded: bool = False) -> DataFrame:
+    """``(doc_id, ids)``, with ``decoded`` also the text that the ids read back as, of every row, without begin and end marks; null and empty texts have no ids; repeated rows stay.
 
     The dictionary of segments goes to all tasks, as arrays, if it has at most ``most_segments`` entries. Beyond that the
     segments of each text meet the dictionary in a shuffled join. Both ways give the same ids.
@@ -292,11 +292,12 @@ def encode(docs: DataFrame, doc_id: str = "doc_id", text: str = "text", path: st
     if most_segments > 0:
         top = known.limit(most_segments + 1).toArrow()
         if top.num_rows <= most_segments:
-            return _laid_out(slim, top, model)
-    return _joined(slim, known, model)
+            return _laid_out(slim, top, model, decoded)
+    joined = _joined(slim, known, model)
+    return decode(joined, path=path) if decoded else joined
 
 
-def _laid_out(slim: DataFrame, known: pa.Table, model: PieceModel) -> DataFrame:
+def _laid_out(slim: DataFrame, known: pa.Table, model: PieceModel, decoded: bool = False) -> DataFrame:
     words = known["segment"].combine_chunks()
     words = words.combine_chunks() if isinstance(words, pa.ChunkedArray) else words
     cutter = Cutter(model)
@@ -318,7 +319,7 @@ def _laid_out(slim: DataFrame, known: pa.Table, model: PieceModel) -> DataFrame:
     def run(batches):
         sorted_, sizes_, pool = held.value
         at_ = np.cumsum(sizes_, dtype=np.int64) - sizes_
-        own = Cutter(model)
+        own, text = Cutter(model), _decoder(model)
         for b in (whole.slice(i, ROWS) for whole in batches for i in range(0, len(whole), ROWS)):
             texts, n_ids, flats = b.column(1).to_pylist(), [], []
             for s, e in _groups(texts):
@@ -332,12 +333,15 @@ def _laid_out(slim: DataFrame, known: pa.Table, model: PieceModel) -> DataFrame:
                 past = np.r_[0, np.cumsum(sizes)]
                 flats.append(pool[np.repeat(at_[which] - past[:-1], sizes) + np.arange(past[-1])] if len(which) else pool[:0])
                 n_ids.append(np.diff(past[borders]))
-            lengths = np.r_[0, np.cumsum(np.concatenate(n_ids))] if n_ids else np.zeros(1)
-            flat = np.concatenate(flats) if flats else np.zeros(0)
-            yield pa.RecordBatch.from_arrays([b.column(0), pa.ListArray.from_arrays(pa.array(lengths.astype(np.int32)), pa.array(flat.astype(np.int32)))], ["doc_id", "ids"])
+            lengths = np.r_[0, np.cumsum(np.concatenate(n_ids))] if n_ids else np.zeros(1, dtype=np.int64)
+            flat = np.concatenate(flats) if flats else pool[:0]
+            out = [b.column(0), pa.ListArray.from_arrays(pa.array(lengths.astype(np.int32)), pa.array(flat.astype(np.int32)))]
+            if decoded:
+                out.append(pa.array([text(flat[i:j]) for i, j in zip(lengths[:-1].tolist(), lengths[1:].tolist(), strict=True)], pa.string()))
+            yield pa.RecordBatch.from_arrays(out, ["doc_id", "ids", "decoded"][: len(out)])
         release()
 
-    return slim.mapInArrow(run, f"doc_id {slim.schema['doc_id'].dataType.simpleString()}, ids array<int>")
+    return slim.mapInArrow(run, f"doc_id {slim.schema['doc_id'].dataType.simpleString()}, ids array<int>{', decoded string' if decoded else ''}")
 
 
 def _hashes(cutter: Cutter, words: list[str]) -> np.ndarray:
@@ -361,26 +365,31 @@ def _joined(slim: DataFrame, known: DataFrame, model: PieceModel) -> DataFrame:
     return rows.join(got, "row", "left").select("doc_id", F.coalesce(F.flatten("p.ids"), F.array().cast("array<int>")).alias("ids"))
 
 
-def decode(rows: DataFrame, ids: str = "ids", out: str = "decoded", path: str | None = None) -> DataFrame:
-    """``rows`` with the text of ``ids`` in ``out``: pieces in order, byte pieces as UTF-8, without the leading space."""
-    model = PieceModel.load(path or default_path())
+def _decoder(model: PieceModel):
+    """A function from an array of ids to their text."""
     data = [bytes([i - model.first_byte]) if model.first_byte <= i < model.first_byte + 256 else p.replace(SPACE, " ").encode() if ok else b"" for i, (p, ok) in enumerate(zip(model.pieces, model.normal, strict=True))]
     sizes = np.array([len(x) for x in data], dtype=np.int64)
     begins, pool, start = np.cumsum(sizes) - sizes, np.frombuffer(b"".join(data), dtype=np.uint8), b" " if model.prefix else b""
 
+    def text(ids: np.ndarray) -> str:
+        n = sizes[ids]
+        past = np.cumsum(n)
+        return pool[np.repeat(begins[ids] - (past - n), n) + np.arange(past[-1] if len(n) else 0)].tobytes().removeprefix(start).decode("utf-8", "replace")
+
+    return text
+
+
+def decode(rows: DataFrame, ids: str = "ids", out: str = "decoded", path: str | None = None) -> DataFrame:
+    """``rows`` with the text of ``ids`` in ``out``: pieces in order, byte pieces as UTF-8, without the leading space."""
+    text = _decoder(PieceModel.load(path or default_path()))
+
     @F.pandas_udf("string")
     def run(column: pd.Series) -> pd.Series:
-        made = []
-        for x in column:
-            flat = np.asarray(x if x is not None else (), dtype=np.int64)
-            n = sizes[flat]
-            past = np.cumsum(n)
-            made.append(pool[np.repeat(begins[flat] - (past - n), n) + np.arange(past[-1] if len(n) else 0)].tobytes().removeprefix(start).decode("utf-8", "replace"))
-        return pd.Series(made, dtype=object)
+        return pd.Series([text(np.asarray(x if x is not None else (), dtype=np.int64)) for x in column], dtype=object)
 
     return rows.withColumn(out, run(ids))
 
 
 def op2_sentencepiece(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Ids of every document, their number, and the digest of the text that they read back as."""
-    return decode(encode(read_table(spark, sf_dir, "documents"))).select("doc_id", F.size("ids").cast("long").alias("n_pieces"), "ids", F.sha2("decoded", 256).alias("decoded_sha256"))
+    return encode(read_table(spark, sf_dir, "documents"), decoded=True).select("doc_id", F.size("ids").cast("long").alias("n_pieces"), "ids", F.sha2("decoded", 256).alias("decoded_sha256"))
