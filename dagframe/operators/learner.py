@@ -363,5 +363,6 @@ def refit(moments: DataFrame, edges: DataFrame) -> DataFrame:
 
 def log_density(cells: DataFrame, edges: DataFrame, variance: DataFrame) -> DataFrame:
     """``(sample_id, log_density)`` of samples under the network: each node's residual under its own variance (``node_id, variance``)."""
-    r = loss.residuals(cells, edges).join(variance, "node_id")
+    every = cells.select("sample_id").distinct().crossJoin(variance)  # a node without a residual has zero, not no density
+    r = every.join(loss.residuals(cells, edges), ["sample_id", "node_id"], "left").withColumn("r", F.coalesce("r", F.lit(0.0)))
     return r.groupBy("sample_id").agg(F.sum(-0.5 * (F.log(2 * np.pi * F.col("variance")) + F.col("r") * F.col("r") / F.col("variance"))).alias("log_density"))
