@@ -41,7 +41,8 @@ def combine_panes(moments: DataFrame, ends: DataFrame, panes: int = PANES) -> Da
 def learn_windows(moments: DataFrame, totals: DataFrame, d: int, p: LearnerParams, tau: float = 0.1) -> DataFrame:
     """EDGES of each window, from ``(end, a, b, s)`` and ``(end, n)``; models are learnt in parallel tasks."""
     scaled = moments.join(totals, "end").select("end", "a", "b", (F.col("s") / F.col("n")).alias("c"))
-    return fit_many(scaled, d, p, "end", tau)
+    tasks = 2 * scaled.sparkSession.sparkContext.defaultParallelism  # a model costs far more than its rows, by which tasks would be merged
+    return fit_many(scaled.repartition(tasks, "end"), d, p, "end", tau)
 
 
 def root_paths(edges: DataFrame, targets: DataFrame, max_len: int = 8, max_paths: int = 1_000_000) -> DataFrame:

@@ -89,18 +89,18 @@ def _pane_moments(s, d):
 
 def _window_moments(s, d):
     m = cut(moments.by_pane(base.with_active(base.log(s, d))))
-    ends = m.select("pane").distinct().where("pane % 480 = 0").select(F.col("pane").alias("end"))
+    ends = m.select("pane").distinct().select(F.col("pane").alias("end"))
     return monitor.combine_panes(m, ends).select("end", "a", "b", stable("s").alias("s"))
 
 
 def _fit_windows(s, d):
-    """Graphs of a window each ten days, learnt from pane moments."""
+    """Graphs of a window each half hour, learnt from pane moments until the stop rule holds."""
     records = _log(s, d)
     m = cut(moments.by_pane(base.with_active(records)))
-    ends = m.select("pane").distinct().where("pane % 480 = 0").select(F.col("pane").alias("end"))
+    ends = m.select("pane").distinct().select(F.col("pane").alias("end"))
     per = records.groupBy("pane").agg(F.count("*").alias("n"))
     totals = per.join(ends.select("end", F.explode(F.sequence(F.col("end") - 47, F.col("end"))).alias("pane")), "pane").groupBy("end").agg(F.sum("n").alias("n"))
-    return monitor.learn_windows(monitor.combine_panes(m, ends), totals, base.LOG_NODES, learner.LearnerParams(t_outer=2, t_inner=60, lam=0.02), 0.05)
+    return monitor.learn_windows(monitor.combine_panes(m, ends), totals, base.LOG_NODES, learner.LearnerParams(lam=0.02), 0.05)
 
 
 def _drift(s, d):

@@ -1,5 +1,7 @@
 """Queries give the whole result: every sample, window, pair and page part, against brute force."""
 
+import datetime as dt
+
 import numpy as np
 
 from dagframe import workloads
@@ -32,3 +34,26 @@ def test_density_of_samples_without_the_nodes(spark):
     e = spark.createDataFrame([(0, 1, 0.5)], "src int, dst int, w double")
     got = dict(map(tuple, learner.log_density(cells, e, spark.createDataFrame([(1, 1.0)], "node_id int, variance double")).collect()))
     assert np.allclose([got[1], got[2]], [-0.5 * (np.log(2 * np.pi) + 1), -0.5 * np.log(2 * np.pi)])
+
+
+def test_every_half_hour_ends_a_window(spark, tmp_path):
+    r, start = np.random.default_rng(5), dt.datetime(2024, 1, 1)
+    halves = [0, 1, 2, 30, 49, 50, 97]
+    rows = [(i, start + dt.timedelta(minutes=30 * halves[i % 7] + 5), int(r.integers(70)), "error" if i % 3 == 0 else "view", 1.0, f'{{"k": {r.integers(100)}}}') for i in range(140)]
+    spark.createDataFrame(rows, "event_id long, ts timestamp_ntz, user_id long, event_type string, value double, props string").coalesce(1).write.parquet(str(tmp_path / "events.parquet"))
+    x = np.zeros((140, 31))
+    for i, (_, _, user, kind, _, props) in enumerate(rows):
+        k = int(props[6:-1])
+        x[i, [4 + user % 10, 14 + k // 10, 24 + user % 7] + ([k // 25] if kind == "error" else [])] = 1
+    at, first = np.array([halves[i % 7] for i in range(140)]), int(dt.datetime(2024, 1, 1, tzinfo=dt.UTC).timestamp()) // 1800
+    sums = {h: x[(at > h - 48) & (at <= h)] for h in halves}
+    want = {(first + h, a, b): (m.T @ m)[a, b] for h, m in sums.items() for a in range(31) for b in range(a, 31) if (m.T @ m)[a, b]}
+    assert {(q["end"], q["a"], q["b"]): q["s"] for q in workloads.queries()["moments_windows"](spark, str(tmp_path)).collect()} == want
+
+    got = {(q["end"], q["src"], q["dst"]): q["w"] for q in workloads.queries()["fit_windows"](spark, str(tmp_path)).collect()}
+    assert {k[0] for k in got} == {first + h for h in halves}
+    p = learner.LearnerParams(lam=0.02)
+    for h, m in sums.items():
+        w, trace, _ = learner.fit_dense(m.T @ m / len(m), p)
+        assert min(trace[-1]["bound"], trace[-1]["trexp"]) <= p.eps
+        assert {k[1:] for k in got if k[0] == first + h} == set(zip(*np.nonzero(np.abs(w) >= 0.05), strict=True))
