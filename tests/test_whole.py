@@ -57,3 +57,15 @@ def test_every_half_hour_ends_a_window(spark, tmp_path):
         w, trace, _ = learner.fit_dense(m.T @ m / len(m), p)
         assert min(trace[-1]["bound"], trace[-1]["trexp"]) <= p.eps
         assert {k[1:] for k in got if k[0] == first + h} == set(zip(*np.nonzero(np.abs(w) >= 0.05), strict=True))
+
+
+def test_all_embedding_dimensions(spark, sf):
+    x = np.array([r["embedding"] for r in spark.read.parquet(f"{sf}/embeddings.parquet").select("embedding").collect()], dtype=float)
+    got = {(r["a"], r["b"]): r["c"] for r in workloads.queries()["moments_vectors"](spark, sf).collect()}
+    assert got.keys() == {(a, b) for a in range(64) for b in range(a, 64)}
+    c = x.T @ x / len(x)
+    assert all(abs(v - c[k]) < 1e-5 for k, v in got.items())
+
+
+def test_all_dimensions_are_planted_and_learnt(spark, sf):
+    assert {(r["d"], r["true"]) for r in workloads.queries()["fit_gene_stand_in"](spark, sf).collect()} == {(64, 122)}
