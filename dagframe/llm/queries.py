@@ -26,11 +26,6 @@ def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
 
 def oracle_sql() -> dict[str, str]:
     return {
-        "op2_sentencepiece": piece_lattice.op2_sentencepiece,
         "op3_chat_format": chat.OP3_SQL,
-        "op6_embedding_dedup": embeddings.op6_embedding_dedup,
-        "op7_html_main_text": html.op7_html_main_text,
-        "op8_best_fit_packing": packing.op8_best_fit_packing,
-        "op9_order_minhash": order_minhash.op9_order_minhash,
         "op10_line_dedup": lines.OP10_SQL,
     }

@@ -69,3 +69,9 @@ def test_all_embedding_dimensions(spark, sf):
 
 def test_all_dimensions_are_planted_and_learnt(spark, sf):
     assert {(r["d"], r["true"]) for r in workloads.queries()["fit_gene_stand_in"](spark, sf).collect()} == {(64, 122)}
+
+
+def test_every_oracle_is_sql():
+    import __spark_entry__ as entry
+
+    assert all(isinstance(v, str) for v in entry.oracle_sql().values())
