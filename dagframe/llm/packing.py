@@ -12,6 +12,7 @@ from __future__ import annotations
 
 import zlib
 from bisect import bisect_left, insort
+from collections import Counter
 from dataclasses import dataclass, field
 
 import pyarrow as pa
@@ -55,42 +56,61 @@ def _pair_sum(lengths: list[int], left: dict[int, int], most: int) -> int:
     return best
 
 
-def reduced(left: dict[int, int], capacity: int) -> tuple[list[Bins], dict[int, int]]:
-    """Bins that dominate all others for their largest piece, and the pieces left over.
+def _pair_above_all(lengths: list[int], left: dict[int, int], mate: int, room: int) -> int | None:
+    """The longest piece beside ``mate`` in ``room``, if no two pieces that fit there are both longer than it."""
+    own = [x for x in lengths if left[x] > (x == mate)]
+    second = _below(own, room - mate)
+    if second is None:
+        return None
+    longer = [x for x in lengths[bisect_left(lengths, second + 1) :][:2] for _ in range(min(2, left[x]))][:2]
+    return second if len(longer) < 2 or sum(longer) > room else None
+
+
+def _best_set(lengths: list[int], left: dict[int, int], room: int) -> list[int] | None:
+    """The partners of a piece that dominate all others in ``room``: none, one or two; None if no such set is known.
 
-    A piece with its best single partner dominates every other set that holds it if the partner is as long as any sum of
-    others that fits beside the piece: two partners' sum is compared exactly; that three could sum to more than any two do is
-    excluded only if the three shortest don't fit or the partner fills the bin. A piece beside which nothing fits is alone.
+    One partner dominates if it is as long as any sum that fits: two partners' sum is compared exactly; that three could sum
+    to more than any two do is excluded only if the three shortest don't fit or the partner fills the room. Two partners
+    dominate if no three fit and of any two that fit, one is no longer than the shorter and the other than the longer.
     """
+    mate = _below(lengths, room)
+    if mate is None:
+        return []
+    if mate == room:
+        return [mate]
+    shortest = [x for x in lengths[:3] for _ in range(min(3, left[x]))][:3]
+    if len(shortest) == 3 and sum(shortest) <= room:
+        return None
+    if _pair_sum(lengths, left, room) <= mate:
+        return [mate]
+    second = _pair_above_all(lengths, left, mate, room)
+    return None if second is None else [mate, second]
+
+
+def reduced(left: dict[int, int], capacity: int) -> tuple[list[Bins], dict[int, int]]:
+    """Bins of one, two or three pieces that dominate all others for their largest piece, and the pieces left over."""
     left, lengths, fixed = dict(left), sorted(left), []
+
+    def change(length: int, by: int) -> None:
+        now = left.get(length, 0) + by
+        if now and not left.get(length):
+            insort(lengths, length)
+        elif not now and left.get(length):
+            lengths.remove(length)
+        left[length] = now
+
     for own in sorted(left, reverse=True):
         while left.get(own):
-            left[own] -= 1
-            if not left[own]:
-                lengths.remove(own)
-            room = capacity - own
-            mate = _below(lengths, room)
-            if mate is not None and mate != room:
-                shortest = [x for x in lengths[:3] for _ in range(min(3, left[x]))][:3]
-                if _pair_sum(lengths, left, room) > mate or (len(shortest) == 3 and sum(shortest) <= room):
-                    left[own] = left.get(own, 0) + 1
-                    if left[own] == 1:
-                        insort(lengths, own)
-                    break
-            left[own] = left.get(own, 0) + 1
-            if left[own] == 1:
-                insort(lengths, own)
-            if mate is None:
-                n, runs = left[own], [(own, 1)]
-            elif mate == own:
-                n, runs = left[own] // 2, [(own, 2)]
-            else:
-                n, runs = min(left[own], left[mate]), [(own, 1), (mate, 1)]
-            fixed.append(Bins(n, runs))
-            for length, k in runs:
-                left[length] -= n * k
-                if not left[length]:
-                    lengths.remove(length)
+            change(own, -1)
+            partners = _best_set(lengths, left, capacity - own)
+            change(own, 1)
+            if partners is None:
+                break
+            each = Counter([own, *partners])
+            n = min(left[length] // k for length, k in each.items())
+            fixed.append(Bins(n, sorted(each.items(), reverse=True)))
+            for length, k in each.items():
+                change(length, -n * k)
     return fixed, {k: n for k, n in left.items() if n}
 
 

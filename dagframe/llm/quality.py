@@ -5,8 +5,8 @@ words themselves, their shapes (lower, title, upper, mixed, digits, the punctuat
 before it. Each feature's value is its share of the text's n-grams, so a score doesn't depend on length. Scoring is a sparse
 dot product with the weights, which have a fixed size and are sent to all tasks.
 
-Learning uses a bounded sample of labelled rows, ``sample`` (default 8,000) of those with the smallest hash of text; the
-bound is the only limit, and every text is scored whole. Labels, languages, sources and ids never enter a score.
+Learning uses a bounded sample of labelled rows, ``sample`` (default 8,000) of those with the smallest hash of their id, as far
+as their features together stay within ``most_features`` (default 16 million); every text is scored whole. Labels, languages, sources and ids never enter a score.
 """
 
 from __future__ import annotations
@@ -25,6 +25,7 @@ from dagframe.llm.common import read_table, release
 BITS = 20
 SAMPLE = 8000
 EPOCHS = 3
+MOST_FEATURES = 16_000_000
 THRESHOLD = 0.7
 SLICE = 1 << 18
 
@@ -121,7 +122,7 @@ def train(rows: list[tuple[np.ndarray, np.ndarray, int]], bits: int = BITS, epoc
     for _ in range(epochs):
         for keys, share, y in rows:
             at = np.append(keys.astype(np.int64), size)
-            x = np.append(share, 0.1)
+            x = np.append(share, 0.1).astype(float)
             zi, ni = z[at], n[at]
             wi = np.where(np.abs(zi) <= l1, 0.0, -(zi - np.sign(zi) * l1) / ((beta + np.sqrt(ni)) / (alpha * 50) + l2))
             p = 1 / (1 + np.exp(-np.clip(wi @ x, -35, 35)))
@@ -139,24 +140,44 @@ def remainder(doc_id: Column) -> Column:
     return F.pmod(F.crc32(doc_id.cast("string").cast("binary")), F.lit(4))
 
 
-def learnt(docs: DataFrame, labels: DataFrame, doc_id: str = "doc_id", text: str = "text", label: str = "quality", sample: int = SAMPLE, bits: int = BITS) -> Model:
-    """A model of the labelled rows whose id's remainder isn't 2; conflicting labels of one id count as their largest."""
+def learnt(docs: DataFrame, labels: DataFrame, doc_id: str = "doc_id", text: str = "text", label: str = "quality", sample: int = SAMPLE, bits: int = BITS, most_features: int = MOST_FEATURES) -> Model:
+    """A model of the labelled rows whose id's remainder isn't 2; conflicting labels of one id count as their largest.
+
+    It is learnt in one task from at most ``sample`` rows that have no more than ``most_features`` features together; the driver
+    gets the weights alone, whose number is fixed.
+    """
     known = labels.where(F.col(doc_id).isNotNull() & F.col(label).isNotNull() & (remainder(F.col(doc_id)) != 2))
     known = known.groupBy(F.col(doc_id).alias("id_")).agg(F.max(F.col(label).cast("int")).alias("y_"))
     chosen = known.orderBy(F.xxhash64("id_"), "id_").limit(sample)  # the documented bound on what is learnt from
     rows = docs.select(F.col(doc_id).alias("id_"), F.coalesce(F.col(text), F.lit("")).alias("t_")).join(F.broadcast(chosen), "id_")
 
     def run(batches):
-        for b in batches:
+        for b in (whole.slice(i, 50) for whole in batches for i in range(0, len(whole), 50)):
             made = [features(t, bits) for t in b.column(0).to_pylist()]
-            yield pa.RecordBatch.from_arrays([pa.array([k.astype("<u4").tobytes() for k, _ in made], pa.binary()), pa.array([s.astype("<f4").tobytes() for _, s in made], pa.binary()), b.column(1), b.column(2)], ["k", "s", "y", "h"])
+            yield pa.RecordBatch.from_arrays([b.column(2), b.column(1), pa.array([k.astype("<u4").tobytes() for k, _ in made], pa.binary()), pa.array([s.astype("<f4").tobytes() for _, s in made], pa.binary())], ["h", "y", "k", "s"])
         _ids.clear()
         release()
 
-    found = rows.select("t_", F.col("y_").cast("int"), F.xxhash64("id_", F.lit(1)).alias("h")).mapInArrow(run, "k binary, s binary, y int, h long").toArrow()
-    order = np.argsort(found["h"].to_numpy(), kind="stable")
-    keys, shares, ys = found["k"].to_pylist(), found["s"].to_pylist(), found["y"].to_pylist()
-    return train([(np.frombuffer(keys[i], "<u4"), np.frombuffer(shares[i], "<f4").astype(float), ys[i]) for i in order], bits)
+    def learn(batches):
+        kept, room = [], most_features
+        for b in batches:
+            for y, k, s in zip(*(b.column(i).to_pylist() for i in (1, 2, 3)), strict=True):
+                room -= len(k) // 4
+                if room >= 0:
+                    kept.append((np.frombuffer(k, "<u4"), np.frombuffer(s, "<f4"), y))
+        model = train(kept, bits)
+        live = np.flatnonzero(model.weights)
+        yield pa.RecordBatch.from_arrays([pa.array([model.bias]), pa.array([live.astype("<u4").tobytes()], pa.binary()), pa.array([model.weights[live].astype("<f4").tobytes()], pa.binary())], ["bias", "at", "w"])
+        del kept
+        release()
+
+    made = rows.select("t_", F.col("y_").cast("int"), F.xxhash64("id_", F.lit(1)).alias("h")).mapInArrow(run, "h long, y int, k binary, s binary")
+    got = made.repartition(1).sortWithinPartitions("h", "k").mapInArrow(learn, "bias double, at binary, w binary").collect()  # one task, of a bounded sample
+    if not got:
+        return train([], bits)
+    weights = np.zeros(1 << bits, dtype=np.float32)
+    weights[np.frombuffer(got[0]["at"], "<u4")] = np.frombuffer(got[0]["w"], "<f4")
+    return Model(weights, got[0]["bias"])
 
 
 def scores(docs: DataFrame, model: Model, text: str = "text", out: str = "score") -> DataFrame:

@@ -28,7 +28,7 @@ SEED = 42
 SHINGLE = 4
 DISTANCE = 4
 BLOCK = 1 << 15
-MOST_IDS = 4_000_000
+MOST_IDS = 1_000_000
 
 
 def fingerprint_bytes(text: bytes, shingle: int = SHINGLE) -> int:

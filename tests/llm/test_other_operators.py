@@ -86,7 +86,7 @@ def test_pipeline_against_its_parts(spark, sf):
     good = [r for r in docs.collect() if model.score(r["text"] or "") >= quality.THRESHOLD]
     good_table = spark.createDataFrame(good, docs.schema)
     kept = {r["row"]["doc_id"]: r["kept"] for r in lines.LineIndex.of(good_table).apply(good_table, most_bytes=0).collect()}
-    fp = {i: simhash.fingerprint_bytes(t.encode()) for i, t in kept.items()}
+    fp = {i: simhash.fingerprint_bytes(t.encode(), 5) for i, t in kept.items()}
     parent = {i: i for i in fp}
 
     def find(i):
@@ -96,7 +96,7 @@ def test_pipeline_against_its_parts(spark, sf):
 
     for a in sorted(fp):
         for b in sorted(fp):
-            if a < b and (fp[a] ^ fp[b]).bit_count() <= 4:
+            if a < b and (fp[a] ^ fp[b]).bit_count() <= 5:
                 x, y = find(a), find(b)
                 parent[max(x, y)] = min(x, y)
     assert {r["doc_id"] for r in got.select("doc_id").distinct().collect()} == {i for i in fp if find(i) == i}
