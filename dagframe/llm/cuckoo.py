@@ -35,15 +35,12 @@ class CuckooFilter:
         return self.table.tobytes()
 
     def places(self, keys: list[bytes]) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
-        raw = np.frombuffer(b"".join(k[:10] for k in keys), dtype=np.uint8).reshape(-1, 10)
-        mark = raw[:, 8:10].copy().view("<u2").ravel()
-        mark = np.where(mark == 0, 1, mark).astype(np.uint16)  # zero means empty
-        one = raw[:, :8].copy().view("<u8").ravel() & np.uint64(len(self.table) - 1)
+        mark, low = marks(np.frombuffer(b"".join(k[:10] for k in keys), dtype=np.uint8).reshape(-1, 10))
+        one = low & np.uint64(len(self.table) - 1)
         return mark, one, self._other(one, mark)
 
     def _other(self, bucket, mark):
-        step = (np.asarray(mark, dtype=np.uint64) * np.uint64(0x5BD1E995)) >> np.uint64(7)
-        return (bucket ^ step) & np.uint64(len(self.table) - 1)
+        return (bucket ^ step_of(mark)) & np.uint64(len(self.table) - 1)
 
     def insert(self, key: bytes) -> bool:
         """False if there is no room."""
@@ -76,3 +73,47 @@ class CuckooFilter:
         mark, one, two = self.places(keys)
         hit = lambda b: (self.table[b.astype(np.int64)] == mark[:, None]).any(axis=1)
         return hit(one) | hit(two)
+
+
+class ShardedFilters:
+    """The filters of all shards; a key asks its own shard's only."""
+
+    def __init__(self, dumps: dict[int, bytes], shards: int):
+        self.shards, sizes = shards, np.zeros(shards, dtype=np.int64)
+        tables = {k: np.frombuffer(v, dtype=np.uint16).reshape(-1, SLOTS) for k, v in dumps.items()}
+        for k, t in tables.items():
+            sizes[k] = len(t)
+        self.sizes, self.start = sizes, np.cumsum(sizes) - sizes
+        self.table = np.concatenate([np.zeros((0, SLOTS), dtype=np.uint16), *(tables[k] for k in sorted(tables))])
+
+    def contains(self, keys: list[bytes]) -> np.ndarray:
+        if not keys or not len(self.table):
+            return np.zeros(len(keys), dtype=bool)
+        raw = np.frombuffer(b"".join(keys), dtype=np.uint8).reshape(len(keys), -1)
+        shard = shard_numbers(raw, self.shards)
+        mark, low = marks(raw)
+        size, start = self.sizes[shard], self.start[shard]
+        last = np.maximum(size - 1, 0).astype(np.uint64)
+        one = low & last
+        two = (one ^ step_of(mark)) & last
+        found = np.zeros(len(keys), dtype=bool)
+        live = np.flatnonzero(size)
+        for bucket in (one, two):
+            found[live] |= (self.table[start[live] + bucket[live].astype(np.int64)] == mark[live, None]).any(axis=1)
+        return found
+
+
+def shard_numbers(raw: np.ndarray, shards: int) -> np.ndarray:
+    """Shards of keys, the rows of ``raw``: their last four bytes modulo the number of shards."""
+    return (raw[:, 12:16].copy().view(">u4").ravel().astype(np.int64)) % shards
+
+
+def marks(raw: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """(fingerprint, first eight bytes as a number) of keys."""
+    mark = raw[:, 8:10].copy().view("<u2").ravel()
+    return np.where(mark == 0, 1, mark).astype(np.uint16), raw[:, :8].copy().view("<u8").ravel()  # zero means empty
+
+
+def step_of(mark: np.ndarray) -> np.ndarray:
+    """From a fingerprint's bucket to its other one, by exclusive or."""
+    return (np.asarray(mark, dtype=np.uint64) * np.uint64(0x5BD1E995)) >> np.uint64(7)

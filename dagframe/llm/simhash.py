@@ -199,7 +199,7 @@ def near_duplicates(docs: DataFrame, doc_id: str = "doc_id", text: str = "text",
     doc_id is null belongs to its class too but never names it. No rows give an empty table.
     """
     with_checkpoints(docs.sparkSession)
-    own = fingerprints(docs.select(F.col(doc_id).cast("long").alias("doc_id"), F.col(text).alias("text"))).checkpoint()
+    own = fingerprints(docs.select(F.col(doc_id).cast("long").alias("doc_id"), F.col(text).alias("text")), shingle=shingle).checkpoint()
     classes = own.groupBy("fp").agg(F.min("doc_id").alias("least"))
     joined = components(links(classes, "fp", distance, segments))
     rooted = classes.join(joined.withColumnRenamed("id", "fp"), "fp", "left").select("fp", "least", F.coalesce("component", "fp").alias("root"))

@@ -208,7 +208,7 @@ def test_line_dedup_and_its_undoing(spark, none):
     table = spark.createDataFrame([(i, t, 1.0, "k", 1, 2) for i, t in rows], SCHEMA)
     read = lambda f: sorted((r["row"]["doc_id"] if r["row"]["doc_id"] is not None else -1, r["n_lines"], r["n_dropped"], r["kept"]) for r in f.collect())
     index = lines.LineIndex.of(table)
-    assert read(index.apply(table)) == _slow_lines(rows) == read(index.apply(table, most_bytes=0))
+    assert read(index.apply(table)) == _slow_lines(rows) == read(index.apply(table, most_bytes=0)) == read(index.apply(table, most_bytes=0, most_filter_bytes=60))
     early, late = table.where("doc_id < 4"), table.where("doc_id >= 4")
     grown = lines.LineIndex.of(early).insert(late)
     assert read(grown.apply(table)) == _slow_lines(rows)
