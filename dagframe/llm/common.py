@@ -7,6 +7,7 @@ import ctypes
 import gc
 import tempfile
 
+import numpy as np
 import pyarrow as pa
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
@@ -50,6 +51,19 @@ def ascii_lower(text: Column) -> Column:
     return F.translate(text, UPPER, UPPER.lower())
 
 
+def same_spans(x: np.ndarray, at: np.ndarray, y: np.ndarray, there: np.ndarray, size: np.ndarray) -> np.ndarray:
+    """Whether ``x[at : at + size]`` equals ``y[there : there + size]``, for each of many spans."""
+    total, whole = int(size.sum()), np.ones(len(size), dtype=bool)
+    if not total:
+        return whole
+    past = np.cumsum(size) - size
+    step = np.arange(total) - np.repeat(past, size)
+    differ = x[np.repeat(at, size) + step] != y[np.repeat(there, size) + step]
+    if differ.any():
+        whole[np.repeat(np.arange(len(size)), size)[differ]] = False
+    return whole
+
+
 def release() -> None:
     """Hand a Python worker's unused memory back to its executor, at the end of a task: workers stay, and share a limit."""
     gc.collect()

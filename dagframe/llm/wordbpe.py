@@ -6,8 +6,9 @@ chunks that it lacks, many at once. Chunks are lower-cased first (A-Z, which the
 split at ASCII white space only. A text that holds ``<|`` could hold a special token, whose place the library decides: such
 a text goes to the library whole.
 
-The table is arrays: 64-bit polynomial hashes of chunks in rising order, and what they stand for. The chunks of some
-megabytes of text are cut, hashed, looked up and laid out by array operations, without an object per chunk.
+The table is arrays: 64-bit polynomial hashes of chunks in rising order, the chunks' bytes, and what they stand for. The
+chunks of some megabytes of text are cut, hashed, looked up and laid out by array operations, without an object per chunk.
+A hash only proposes: bytes are compared, and texts in which two chunks share a hash go to the library whole.
 """
 
 from __future__ import annotations
@@ -22,12 +23,13 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from dagframe.llm.common import read_table, release
+from dagframe.llm.common import read_table, release, same_spans
 
 SLICE = 1 << 19
 KNOWN = 600_000
 ROW = 2048
 FREQUENT = 65_536
+SAMPLE = 10_000
 VOCABULARY = "word_bpe_49k.json"
 
 _FACTOR = 0x9E3779B97F4A7C15 * 2 + 1 & (1 << 64) - 1
@@ -91,20 +93,47 @@ def chunk_places(data: bytes) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
     return start, end, (sums[end] - sums[start]) * down[start]
 
 
+def _appended(pool: np.ndarray, used: int, new: np.ndarray) -> tuple[np.ndarray, int]:
+    """``pool`` with ``new`` after its first ``used`` places, and how many are used then; it grows by doubling."""
+    if used + len(new) > len(pool):
+        pool = np.concatenate([pool[:used], np.zeros(used + 2 * len(new), dtype=pool.dtype)])
+    pool[used : used + len(new)] = new
+    return pool, used + len(new)
+
+
 class ChunkTable:
     """From chunk to ids or, with ``counts``, to their number."""
 
-    def __init__(self, path: str, counts: bool, first: tuple[np.ndarray, np.ndarray] | None = None, most: int = KNOWN):
+    def __init__(self, path: str, counts: bool, first: tuple[list[bytes], np.ndarray] | None = None, most: int = KNOWN):
+        """``first``: chunks and their numbers of ids, of which a table of counts is never without."""
         self.library, self.counts, self.most, self.groups = library(path), counts, most, 0
-        self.first = first or (np.zeros(0, dtype=np.uint64), np.zeros(0, dtype=np.int32))
         words = self.library.get_vocab()
         self.closing = np.zeros(1 + max(words.values()), dtype=bool)
         self.closing[[i for token, i in words.items() if token.endswith("</w>")]] = True
+        self.first = None
         self._begin()
+        if first and counts:
+            self._add(*first)
+            self.first = {k: v.copy() for k, v in self._columns().items()}, self.used, self.text_used
+
+    def _columns(self) -> dict[str, np.ndarray]:
+        return {k: getattr(self, k) for k in ("hashes", "sizes", "at", "text_at", "text_size", "pool", "text")}
 
     def _begin(self) -> None:
-        self.hashes, self.sizes = self.first
-        self.at, self.pool, self.used = np.zeros(len(self.hashes), dtype=np.int64), np.zeros(1 << 16, dtype=np.uint32), 0
+        none = np.zeros(0, dtype=np.int64)
+        self.hashes, self.sizes, self.at, self.text_at, self.text_size = none.astype(np.uint64), none.astype(np.int32), none, none, none
+        self.pool, self.used, self.text, self.text_used = np.zeros(1 << 16, dtype=np.uint32), 0, np.zeros(1 << 16, dtype=np.uint8), 0
+        if self.first:
+            self.__dict__ |= {k: v.copy() for k, v in self.first[0].items()}
+            self.used, self.text_used = self.first[1:]
+
+    def _add(self, chunks: list[bytes], sizes: np.ndarray) -> None:
+        """Take in chunks and their sizes; of two with one hash the first only."""
+        data = b"\n".join(chunks)
+        _, _, hashes = chunk_places(data)
+        if len(hashes) == len(chunks):
+            own, first = np.unique(hashes, return_index=True)
+            self._learn(own, [chunks[i] for i in first], sizes[first])
 
     def ask(self, chunks: list[bytes]) -> list[bytes]:
         """Each chunk's ids as little-endian unsigned 32-bit integers.
@@ -133,43 +162,52 @@ class ChunkTable:
                 out[i] = array("I", e.ids).tobytes()
         return out
 
-    def _learn(self, hashes: np.ndarray, chunks: list[bytes]) -> None:
-        if len(self.hashes) + len(hashes) > self.most:
-            self._begin()
-        values = self.ask(chunks)
-        sizes = np.array([len(v) for v in values], dtype=np.int32) // 4
+    def _learn(self, hashes: np.ndarray, chunks: list[bytes], sizes: np.ndarray | None = None) -> None:
+        values = self.ask(chunks) if sizes is None else []
+        sizes = np.array([len(v) for v in values], dtype=np.int32) // 4 if sizes is None else sizes
         at = self.used + np.cumsum(sizes, dtype=np.int64) - sizes
         if not self.counts:
-            new = np.frombuffer(b"".join(values), dtype="<u4")
-            if self.used + len(new) > len(self.pool):
-                self.pool = np.concatenate([self.pool[: self.used], np.zeros(self.used + 2 * len(new), dtype=np.uint32)])
-            self.pool[self.used : self.used + len(new)] = new
-            self.used += len(new)
+            self.pool, self.used = _appended(self.pool, self.used, np.frombuffer(b"".join(values), dtype="<u4"))
+        text_size = np.array([len(c) for c in chunks], dtype=np.int64)
+        text_at = self.text_used + np.cumsum(text_size) - text_size
+        self.text, self.text_used = _appended(self.text, self.text_used, np.frombuffer(b"".join(chunks), dtype=np.uint8))
         every = np.concatenate([self.hashes, hashes])
         order = np.argsort(every, kind="stable")
-        self.hashes, self.sizes, self.at = every[order], np.concatenate([self.sizes, sizes])[order], np.concatenate([self.at, at])[order]
+        merged = lambda old, new: np.concatenate([old, new])[order]
+        self.hashes, self.sizes, self.at = every[order], merged(self.sizes, sizes), merged(self.at, at)
+        self.text_at, self.text_size = merged(self.text_at, text_at), merged(self.text_size, text_size)
 
     def _found(self, hashes: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
         at = np.minimum(np.searchsorted(self.hashes, hashes), max(0, len(self.hashes) - 1))
         return at, self.hashes[at] == hashes if len(self.hashes) else np.zeros(len(hashes), dtype=bool)
 
+    def _by_library(self, parts: list[bytes]) -> list:
+        ids = [self.library.encode(p.decode(), add_special_tokens=False).ids for p in parts]
+        return [len(x) if self.counts else array("I", x).tobytes() for x in ids]
+
     def _group(self, parts: list[bytes]) -> list:
         """Values of texts that together have some megabytes."""
         data = b"\n".join(parts).lower()
         start, end, hashes = chunk_places(data)
+        raw = np.frombuffer(data, dtype=np.uint8)
         codes, distinct = pd.factorize(hashes)
+        first = np.empty(len(distinct), dtype=np.int64)
+        first[codes[::-1]] = np.arange(len(codes) - 1, -1, -1)
+        size = end - start
+        if len(codes) and not ((size == size[first][codes]).all() and same_spans(raw, start, raw, start[first][codes], size).all()):
+            return self._by_library(parts)
         order = np.argsort(distinct)
-        asked = distinct[order]
+        asked, places = distinct[order], first[order]
         at, known = self._found(asked)
         if not known.all():
-            first = np.empty(len(distinct), dtype=np.int64)
-            first[codes[::-1]] = np.arange(len(codes) - 1, -1, -1)
             if len(self.hashes) + int((~known).sum()) > self.most:  # the table begins anew
                 self._begin()
                 at, known = self._found(asked)
-            places = first[order][~known]
-            self._learn(asked[~known], [data[s:e] for s, e in zip(start[places].tolist(), end[places].tolist(), strict=True)])
+            new = places[~known]
+            self._learn(asked[~known], [data[s:e] for s, e in zip(start[new].tolist(), end[new].tolist(), strict=True)])
             at, known = self._found(asked)
+        if len(at) and not ((self.text_size[at] == size[places]).all() and same_spans(raw, start[places], self.text, self.text_at[at], size[places]).all()):
+            return self._by_library(parts)
         own = np.empty(len(distinct), dtype=np.int64)
         own[order] = at
         which = own[codes]
@@ -200,8 +238,7 @@ class ChunkTable:
 
         for i, text in enumerate(texts):
             if b"<|" in text:
-                ids = self.library.encode(text.decode(), add_special_tokens=False).ids
-                out[i] = len(ids) if self.counts else array("I", ids).tobytes()
+                out[i] = self._by_library([text])[0]
                 continue
             for part in slices(text):
                 parts.append(part)
@@ -215,61 +252,49 @@ class ChunkTable:
         return out
 
 
-def table_of(path: str, counts: bool, first: tuple[np.ndarray, np.ndarray] | None = None) -> ChunkTable:
+def table_of(path: str, counts: bool, first: tuple[list[bytes], np.ndarray] | None = None) -> ChunkTable:
     """This worker's table, kept between tasks."""
-    key = (path, counts, None if first is None else (len(first[0]), first[0][:1].tobytes(), first[0][-1:].tobytes()))
+    key = (path, counts, None if first is None else hash(tuple(first[0])))
     if key not in _tables:
         _tables.clear()
         _tables[key] = ChunkTable(path, counts, first)
     return _tables[key]
 
 
-def frequent_chunks(docs: DataFrame, text: str = "text", most: int = FREQUENT) -> list[bytes]:
-    """About the most frequent chunks of all texts, at most ``most``.
+def frequent_chunks(docs: DataFrame, text: str = "text", most: int = FREQUENT, sample: int = SAMPLE) -> list[bytes]:
+    """At most ``most`` of the most frequent chunks of about ``sample`` rows drawn at random; chunks of over 64 bytes are left out.
 
-    Each task reads all its texts and keeps a bounded summary of their chunks (rare ones go when it is full), so what is
-    shuffled doesn't grow with the texts. Which chunks come out changes speed, never a result.
+    One task reads the drawn rows, whose number is bounded, and keeps a bounded summary (rare chunks go when it is full), so no
+    chunk is shuffled. Which chunks come out changes speed, never a result: counts themselves cover every row.
     """
-    share = most // 4
 
     def summary(batches):
         seen: Counter = Counter()
         for b in batches:
-            parts = [p for x in b.column(0).cast(pa.binary()).to_pylist() for p in slices(x)]
-            sizes = np.cumsum([len(p) for p in parts])
-            for k in np.unique(sizes // SLICE):
-                data = b"\n".join([parts[i] for i in np.flatnonzero(sizes // SLICE == k)]).lower()
-                start, end, hashes = chunk_places(data)
-                codes, distinct = pd.factorize(hashes)
-                n = np.bincount(codes, minlength=len(distinct))
-                first = np.empty(len(distinct), dtype=np.int64)
-                first[codes[::-1]] = np.arange(len(codes) - 1, -1, -1)
-                top = np.argsort(-n, kind="stable")[:share]
-                for i in top[n[top] > 1]:
-                    seen[data[start[first[i]] : end[first[i]]]] += int(n[i])
-            if len(seen) > 16 * share:
-                seen = Counter(dict(seen.most_common(4 * share)))
-        top = seen.most_common(share)
-        yield pa.RecordBatch.from_arrays([pa.array([w for w, _ in top], pa.binary()), pa.array([n for _, n in top], pa.int64())], ["chunk", "n"])
+            for part in (p for x in b.column(0).cast(pa.binary()).to_pylist() for p in slices(x)):
+                seen.update(w for w in part.lower().split() if len(w) <= 64)
+                if len(seen) > 8 * most:
+                    seen = Counter(dict(seen.most_common(2 * most)))
+        top = [w for w, n in sorted(seen.most_common(most), key=lambda x: (-x[1], x[0])) if b"<|" not in w]
+        yield pa.RecordBatch.from_arrays([pa.array(top, pa.binary())], ["chunk"])
         release()
 
-    found = docs.select(F.coalesce(F.col(text), F.lit("")).alias("t")).mapInArrow(summary, "chunk binary, n long").where(F.length("chunk") <= 64)
-    rows = found.groupBy("chunk").agg(F.sum("n").alias("n")).orderBy(F.desc("n"), "chunk").limit(most).select("chunk").collect()
-    return [bytes(r["chunk"]) for r in rows if b"<|" not in r["chunk"]]
+    n = docs.count()
+    texts = docs.select(F.coalesce(F.col(text), F.lit("")).alias("t"))
+    drawn = texts.sample(min(1.0, sample / n), 7) if n > sample else texts
+    return [bytes(r["chunk"]) for r in drawn.repartition(1).mapInArrow(summary, "chunk binary").collect()]
 
 
-def token_counts(docs: DataFrame, doc_id: str = "doc_id", text: str = "text", path: str | None = None, frequent: int = FREQUENT, limit: int = 2048) -> DataFrame:
+def token_counts(docs: DataFrame, doc_id: str = "doc_id", text: str = "text", path: str | None = None, frequent: int = FREQUENT, limit: int = 2048, sample: int = SAMPLE) -> DataFrame:
     """``(doc_id, n_bytes, n_tokens, over_limit)`` of every row; null texts count as empty, repeated rows each.
 
-    Two tiers, both on the scan's side: a broadcast table with the lengths of at most ``frequent`` chunks (twelve bytes each),
-    and each worker's own table for the rest. No chunk is shuffled to be counted.
+    Two tiers, both on the scan's side: a broadcast table with the lengths of at most ``frequent`` chunks of at most 64 bytes each,
+    and what each worker adds to it for the rest. No chunk is shuffled.
     """
     path = path or default_path()
-    top = frequent_chunks(docs, text, frequent)
-    hashes = chunk_places(b"\n".join(top))[2] if top else np.zeros(0, dtype=np.uint64)
+    top = frequent_chunks(docs, text, frequent, sample)
     sizes = np.array([len(v) // 4 for v in ChunkTable(path, True).ask(top)], dtype=np.int32)
-    order = np.argsort(hashes)
-    first = docs.sparkSession.sparkContext.broadcast((hashes[order], sizes[order]))
+    first = docs.sparkSession.sparkContext.broadcast((top, sizes))
 
     def run(batches):
         table = table_of(path, True, first.value)
