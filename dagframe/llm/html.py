@@ -1,9 +1,11 @@
 """Main text of web pages by consensus of a host's pages.
 
-Each page's containers are scored by the prose that they hold themselves; every page votes, with its best containers, for
-their generalised paths (tags with classes, digits and identifiers taken out). The votes of a host are summed in Spark, and each page
-is read again: the best-voted path that the page has is the article, wherever its host's pages put it. A page without any
-of its host's paths, or on a host of its own, uses its own best container.
+Each page's containers are scored by the prose that they hold themselves; every page votes, with all its containers, for
+their generalised paths (tags with classes, digits and identifiers taken out). The votes of a host are summed in Spark, first
+within tasks; its winning paths are the ``best`` with most votes. Each page is read again where it lies: the first winning path
+that the page has is the article, wherever its host's pages put it, with the whole of an article element around it. A page
+without any of its host's paths, or on a host of its own, uses its own best container. No page moves: the winning paths go to
+all tasks, unless they exceed a size; beyond it pages are dealt by host and salt, so that a hot host has many tasks.
 
 Never text: scripts, styles, templates, navigation, headers, footers, sidebars, forms, menus, adverts, notices and reader
 comments, by element or by the words of class, id and role; HTML comments; whatever stands in the head.
@@ -18,7 +20,10 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from dagframe.llm.common import read_table
+from dagframe.llm.common import read_table, release, with_checkpoints
+
+SALTS = 32
+BROADCAST_BYTES = 16 << 20
 
 #: Fixed values of the HTML standard: elements without end tags, elements whose content is no markup, and blocks.
 VOID = frozenset("area base br col embed hr img input link meta param source track wbr".split())
@@ -40,10 +45,11 @@ _SPACE = " \t\n\x0b\x0c\r"
 
 
 class _Node:
-    __slots__ = ("tag", "path", "skip", "own", "kids", "links", "block")
+    __slots__ = ("tag", "path", "skip", "kids", "block", "article")
 
-    def __init__(self, tag: str, path: str, skip: bool):
-        self.tag, self.path, self.skip, self.own, self.kids, self.links, self.block = tag, path, skip, 0, [], 0, tag in BLOCKS
+    def __init__(self, tag: str, path: str, skip: bool, article: _Node | None = None):
+        self.tag, self.path, self.skip, self.kids, self.block = tag, path, skip, [], tag in BLOCKS
+        self.article = article or (self if tag == "article" else None)  # the outermost article element that holds the node
 
 
 def _described(tag: str, attributes: str, inside: bool = False) -> tuple[str, bool]:
@@ -104,7 +110,7 @@ def parse(page: str) -> _Node:
                 if stack[k].block:
                     break
         place, skip = _described(tag, m[3] or "", tag == "header" and any(n.tag == "article" for n in stack))
-        node = _Node(tag, place, skip)
+        node = _Node(tag, place, skip, stack[-1].article)
         if tag in RAW:
             end = _RAW_END[tag].search(low, at)
             at = end.end() if end else len(low)
@@ -178,16 +184,29 @@ def _prose(node: _Node) -> float:
     return total * (1.5 if node.tag in ("article", "main") else 1.0)
 
 
-def votes(page: str, best: int = 3) -> list[tuple[str, float]]:
-    """The page's votes: its ``best`` paths with their shares of its best score."""
+def votes(page: str) -> list[tuple[str, float]]:
+    """The page's votes: the paths of all containers with prose, best first, with their shares of its best score."""
     scored: dict[str, float] = {}
     for node, path in _walk(parse(page)):
         if (value := _prose(node)) > 0:
             scored[path] = max(scored.get(path, 0.0), value)
-    top = sorted(scored.items(), key=lambda x: (-x[1], x[0]))[:best]
+    top = sorted(scored.items(), key=lambda x: (-x[1], x[0]))
     return [(path, value / top[0][1]) for path, value in top]
 
 
+def _whole(nodes: list[_Node]) -> list[_Node]:
+    """Each node, or the article element around it, once and in page order; what lies in another of them is left out."""
+    risen = list(dict.fromkeys(n.article or n for n in nodes))
+    inner: set[_Node] = set()
+    for node in risen:
+        todo = [k for k in node.kids if not isinstance(k, str)]
+        while todo:
+            kid = todo.pop()
+            inner.add(kid)
+            todo += [k for k in kid.kids if not isinstance(k, str)]
+    return [n for n in risen if n not in inner]
+
+
 def extract(page: str, paths: list[str]) -> str:
     """The text under the first of ``paths`` that the page has with any text, else under its own best container."""
     root = parse(page)
@@ -195,10 +214,10 @@ def extract(page: str, paths: list[str]) -> str:
     for node, path in _walk(root):
         places.setdefault(path, []).append(node)
     for path in paths:
-        if path in places and (found := [b for node in places[path] for b in blocks(node)]):
+        if path in places and (found := [b for node in _whole(places[path]) for b in blocks(node)]):
             return " ".join(found)
     own = [(value, -i, node) for i, (node, _) in enumerate(_walk(root)) if (value := _prose(node)) > 0]
-    return " ".join(blocks(max(own)[2] if own else root))
+    return " ".join(b for node in _whole([max(own)[2] if own else root]) for b in blocks(node))
 
 
 def host_of(url):
@@ -207,36 +226,65 @@ def host_of(url):
 
 
 def host_paths(pages: DataFrame, url: str = "url", html: str = "html", best: int = 5) -> DataFrame:
-    """``(host, paths)``: the ``best`` generalised paths of each host, most votes first, ties by path."""
+    """``(host, paths)``: the ``best`` generalised paths of each host, most votes first, ties by path.
+
+    All containers of all pages vote; only sums by host and path are shuffled, a hot host's from each task once.
+    """
     slim = pages.where(F.col(html).isNotNull()).select(host_of(F.col(url)).alias("host"), F.col(html).alias("page")).where("host <> ''")
 
     def vote(batches):
-        for b in batches:
-            rows = [(h, path, share) for h, page in zip(b.column(0).to_pylist(), b.column(1).to_pylist(), strict=True) for path, share in votes(page)]
-            columns = list(zip(*rows, strict=True)) or [(), (), ()]
-            yield pa.RecordBatch.from_arrays([pa.array(columns[0], pa.string()), pa.array(columns[1], pa.string()), pa.array(columns[2], pa.float64())], ["host", "path", "share"])
-
-    cast = slim.mapInArrow(vote, "host string, path string, share double")
-    summed = cast.groupBy("host", "path").agg(F.sum(F.round(F.col("share") * 1000).cast("long")).alias("votes"))
-    return summed.groupBy("host").agg(F.slice(F.transform(F.sort_array(F.collect_list(F.struct((-F.col("votes")).alias("v"), "path"))), lambda x: x["path"]), 1, best).alias("paths"))
+        cast: dict[tuple[str, str], int] = {}
 
+        def sums():
+            columns = list(zip(*((h, p, n) for (h, p), n in cast.items()), strict=True)) or [(), (), ()]
+            return pa.RecordBatch.from_arrays([pa.array(columns[0], pa.string()), pa.array(columns[1], pa.string()), pa.array(columns[2], pa.int64())], ["host", "path", "n"])
 
-def main_text(pages: DataFrame, page_id: str = "page_id", url: str = "url", html: str = "html") -> DataFrame:
+        for b in batches:
+            for h, page in zip(b.column(0).to_pylist(), b.column(1).to_pylist(), strict=True):
+                for path, share in votes(page):
+                    if n := round(share * 1000):
+                        cast[h, path] = cast.get((h, path), 0) + n
+            if len(cast) > 100_000:
+                yield sums()
+                cast = {}
+        yield sums()
+        release()
+
+    summed = slim.mapInArrow(vote, "host string, path string, n long").groupBy("host", "path").agg(F.sum("n").alias("votes"))
+    salt = F.pmod(F.xxhash64("path"), F.lit(SALTS))
+    top = lambda c: F.slice(F.sort_array(c), 1, best)
+    some = summed.groupBy("host", salt.alias("salt")).agg(top(F.collect_list(F.struct((-F.col("votes")).alias("v"), "path"))).alias("top"))  # a host may have very many paths
+    return some.groupBy("host").agg(F.transform(top(F.flatten(F.collect_list("top"))), lambda x: x["path"]).alias("paths"))
+
+
+def main_text(pages: DataFrame, page_id: str = "page_id", url: str = "url", html: str = "html", best: int = 5, most_bytes: int = BROADCAST_BYTES) -> DataFrame:
     """``(page_id, url, text, n_chars)`` of every row: blocks in page order, joined by one space.
 
-    Null and empty pages give an empty text; repeated rows stay rows; a page without tags is its own text.
+    Null and empty pages give an empty text; repeated rows stay rows; a page without tags is its own text; other columns may
+    have any names. The result is the same on both sides of ``most_bytes``, the size up to which winning paths go to all tasks.
     """
-    rows = pages.select(F.col(page_id).alias("page_id"), F.col(url).alias("url"), F.coalesce(F.col(html), F.lit("")).alias("page"))
-    found = host_paths(pages, url, html)
-    joined = rows.withColumn("host", host_of(F.col("url"))).join(found, "host", "left").select("page_id", "url", "page", "paths")
+    spark = with_checkpoints(pages.sparkSession)
+    rows = pages.select(F.col(page_id).alias("page_id"), F.col(url).alias("url"), F.coalesce(F.col(html), F.lit("")).alias("page"), host_of(F.col(url)).alias("host"))
+    found = host_paths(pages, url, html, best).checkpoint()
+    size = found.agg(F.sum(F.length("host") + F.length(F.concat_ws("", "paths")) + 32)).first()[0] or 0
+    kind = rows.schema["page_id"].dataType.simpleString()
+    shape = f"page_id {kind}, url string, text string"
+    if size <= most_bytes:
+        held = spark.sparkContext.broadcast({r["host"]: r["paths"] for r in found.collect()})  # no more than ``most_bytes``
+        joined = rows
+        of = lambda column: [held.value.get(h, []) for h in column]
+    else:
+        salted = found.withColumn("salt", F.explode(F.sequence(F.lit(0), F.lit(SALTS - 1))))
+        joined = rows.withColumn("salt", F.pmod(F.xxhash64("page_id", "url"), F.lit(SALTS)).cast("int")).join(salted, ["host", "salt"], "left").select("page_id", "url", "page", "paths")
+        of = lambda column: [p or [] for p in column]
 
     def run(batches):
         for b in batches:
-            texts = [extract(page, paths or []) for page, paths in zip(b.column(2).to_pylist(), b.column(3).to_pylist(), strict=True)]
+            texts = [extract(page, paths) for page, paths in zip(b.column(2).to_pylist(), of(b.column(3).to_pylist()), strict=True)]
             yield pa.RecordBatch.from_arrays([b.column(0), b.column(1), pa.array(texts, pa.string())], ["page_id", "url", "text"])
+        release()
 
-    kind = rows.schema["page_id"].dataType.simpleString()
-    return joined.mapInArrow(run, f"page_id {kind}, url string, text string").withColumn("n_chars", F.length("text").cast("long"))
+    return joined.mapInArrow(run, shape).withColumn("n_chars", F.length("text").cast("long"))
 
 
 def op7_html_main_text(spark: SparkSession, sf_dir: str) -> DataFrame:

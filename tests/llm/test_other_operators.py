@@ -1,4 +1,5 @@
 from collections import Counter
+from html.parser import HTMLParser
 
 import numpy as np
 import pytest
@@ -66,6 +67,59 @@ def test_html():
     assert html.extract(deep, []) == "deep"
 
 
+class _Slow(HTMLParser):
+    """Text of the article element of a page, by the standard library's parser: blocks joined by one space."""
+
+    def __init__(self):
+        super().__init__()
+        self.depth, self.raw, self.parts = 0, 0, []
+
+    def handle_starttag(self, tag, attributes):
+        self.depth += tag == "article"
+        self.raw += tag in ("script", "style")
+        if tag in html.BLOCKS:
+            self.parts.append("\n")
+
+    def handle_endtag(self, tag):
+        self.depth -= tag == "article"
+        self.raw -= tag in ("script", "style")
+        if tag in html.BLOCKS:
+            self.parts.append("\n")
+
+    def handle_data(self, data):
+        if self.depth and not self.raw:
+            self.parts.append(" ".join(data.replace("\n", " ").split(" ")))
+
+    def text(self):
+        return " ".join(x for x in (" ".join(p.split()) for p in "".join(self.parts).split("\n")) if x)
+
+
+def test_html_against_the_article_element(spark):
+    pages = spark.read.parquet("/root/testdata/sf0.01/pages.parquet")
+    want = {}
+    for r in pages.collect():
+        slow = _Slow()
+        slow.feed(r["html"] or "")
+        want[r["page_id"]] = slow.text()
+    for most_bytes in (html.BROADCAST_BYTES, 0):
+        got = {r["page_id"]: r["text"] for r in html.main_text(pages, most_bytes=most_bytes).collect()}
+        assert len(got) == len(want)
+        assert sum(got[i].split() == want[i].split() for i in want) / len(want) >= 0.99, [(got[i][:200], want[i][:200]) for i in want if got[i] != want[i]][:2]
+
+
+def test_html_whole_article_and_odd_pages(spark):
+    body = "<article><header><h1>Head</h1><p>Lead.</p></header><div class=body>" + "<p>Long text of the body, sentence after sentence.</p>" * 30 + "</div><section class=more><p>More of it.</p></section></article><div class=x><p>Other.</p></div>"
+    got = html.extract(body, ["/article/div.body"])
+    assert got.startswith("Head Lead. Long text") and got.endswith("More of it.") and "Other" not in got
+    assert html.extract(body, []) == got and html.extract("<article><div class=a>x</div><div class=a>y</div></article>", ["/article/div.a"]) == "x y"
+    long_ = "<p>word word word</p>" * 100_000
+    rows = [(i, "http://hot.example/", body, "p", "h", 1) for i in range(40)] + [(50, "http://hot.example/", long_, "p", "h", 1), (51, None, "", None, None, None)]
+    table = spark.createDataFrame(rows, "page_id long, url string, html string, paths string, host string, salt int")
+    for most_bytes in (html.BROADCAST_BYTES, 0):
+        by = {r["page_id"]: r["text"] for r in html.main_text(table, most_bytes=most_bytes).collect()}
+        assert by[0] == got and len(by[50].split()) == 300_000 and by[51] == "" and len(by) == 42
+
+
 def test_html_consensus(spark):
     other = "<html><body><div class='promo-box'>x</div><div id=a class=story><p>Short.</p></div><div class=extra><p>A much longer piece of text that stands beside the story on this page only, and wins alone.</p></div></body></html>"
     usual = "<html><body><div class=story><p>The usual story of this host is found in this place on nearly all of its pages.</p></div></body></html>"
