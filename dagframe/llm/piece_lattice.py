@@ -5,7 +5,12 @@ across: between two characters that stand side by side in no piece. The distinct
 segment's substrings of bounded length are exploded and equi-joined with the piece table; the matches, its lattice edges, are
 grouped by segment, and a higher-order ``aggregate`` folds them into one path: for a unigram model Viterbi's best path by the sum of
 scores, for a BPE model the merges in order of score, leftmost first, as the library does it (a best path by BPE scores would
-be another result). Characters without a piece become byte pieces. Texts are then laid out from their segments' ids.
+be another result). Characters without a piece become byte pieces. The dictionary of segments is a written table.
+
+Texts are then laid out where they lie, from a compact table of the most frequent segments: no more than ``dictionary_bytes``,
+packed by tasks and passed on by the driver, whose memory it bounds. Texts that hold another segment leave as ids with gaps; their
+missing segments meet the dictionary in a join, and the answers fill the gaps. A segment is known by 96 bits of two hashes in
+the compact table, which takes segments of at most ``SHORT`` code points, and by its text in the join.
 
 Segments of more than ``LONG`` code points are merged from the same edges with a heap in Python: a fold's cost grows with
 the square of the length. U+2581 in a text reads back as a space, as with the library.
@@ -15,6 +20,7 @@ from __future__ import annotations
 
 import heapq
 from dataclasses import dataclass
+from uuid import uuid4
 
 import numpy as np
 import pandas as pd
@@ -26,12 +32,13 @@ from dagframe.llm.common import read_table, release, with_checkpoints
 
 MODEL = "piece_bpe_32k.model"
 SPACE = "▁"
-LONG = 40
-SEGMENTS = 4_000_000
+LONG = SHORT = 255
+DICTIONARY_BYTES = 64 << 20
+ENTRY_BYTES = 23
 GROUP = 1 << 18
 ROWS = 500
 
-_FACTOR = 0xD6E8FEB86659FD93
+_FACTOR, _OTHER = 0xD6E8FEB86659FD93, 0xA0761D6478BD642F
 _models: dict = {}
 
 
@@ -117,16 +124,17 @@ class Cutter:
         self.joined = np.zeros((self.left.max() + 1, self.right.max() + 1), dtype=bool)
         for a, b in pairs:
             self.joined[self.left[ord(a)], self.right[ord(b)]] = True
-        self.powers = np.zeros(0, dtype=np.uint64)
-        self.downs, self.cuts = self.powers, 0
+        self.powers: list[np.ndarray] = []
+        self.cuts = 0
 
     def _grown(self, n: int) -> None:
-        if len(self.powers) < n:
+        """Powers of both factors and of their inverses, modulo 2**64."""
+        if not self.powers or len(self.powers[0]) < n:
             size = max(n, 2 * GROUP)
-            self.powers, self.downs = (np.cumprod(np.r_[np.uint64(1), np.full(size - 1, np.uint64(f), dtype=np.uint64)], dtype=np.uint64) for f in (_FACTOR, pow(_FACTOR, -1, 1 << 64)))
+            self.powers = [np.cumprod(np.r_[np.uint64(1), np.full(size - 1, np.uint64(f), dtype=np.uint64)], dtype=np.uint64) for own in (_FACTOR, _OTHER) for f in (own, pow(own, -1, 1 << 64))]
 
-    def cut(self, texts: list[str]) -> tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray]:
-        """(code points of all texts, segments' starts with a last end, hashes, each text's first segment with a last end)."""
+    def cut(self, texts: list[str]) -> tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray, np.ndarray]:
+        """(code points of all texts, segments' starts with a last end, hashes, second hashes, each text's first segment with a last end)."""
         self.cuts += 1
         if self.cuts % 32 == 0:
             release()
@@ -138,12 +146,17 @@ class Cutter:
         edge[1:-1] = ~self.joined[self.left[points[:-1]], self.right[points[1:]]]
         edge[borders] = True
         at = np.flatnonzero(edge) if len(points) else np.zeros(1, dtype=np.int64)
-        return points, at, self.hashed(points, at), np.searchsorted(at, borders)
+        return points, at, *self.hashed(points, at), np.searchsorted(at, borders)
 
-    def hashed(self, points: np.ndarray, at: np.ndarray) -> np.ndarray:
+    def hashed(self, points: np.ndarray, at: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+        """64 bits and 32 bits of two hashes of each segment."""
         self._grown(len(points) + 1)
-        sums = np.r_[np.uint64(0), np.cumsum((points.astype(np.uint64) + np.uint64(1)) * self.powers[: len(points)], dtype=np.uint64)]
-        return (sums[at[1:]] - sums[at[:-1]]) * self.downs[at[:-1]]
+        wide, sums = points.astype(np.uint64), np.zeros(len(points) + 1, dtype=np.uint64)
+        np.cumsum((wide + np.uint64(1)) * self.powers[0][: len(points)], out=sums[1:])
+        first = (sums[at[1:]] - sums[at[:-1]]) * self.powers[1][at[:-1]]
+        np.cumsum((wide * np.uint64(0x9E3779B97F4A7C15) ^ np.uint64(0x2545F4914F6CDD1D)) * self.powers[2][: len(points)], out=sums[1:])
+        second = (sums[at[1:]] - sums[at[:-1]]) * self.powers[3][at[:-1]]
+        return first, (second >> np.uint64(32)).astype(np.uint32)
 
 
 def _groups(texts: list[str]):
@@ -158,41 +171,61 @@ def _groups(texts: list[str]):
         yield at, len(texts)
 
 
+class _Seen:
+    """Hashes that were handed on, as sorted runs, each far longer than the next; forgotten when there are very many."""
+
+    def __init__(self, most: int = 4_000_000):
+        self.runs: list[tuple[np.ndarray, np.ndarray]] = []
+        self.most = most
+
+    def new(self, hashes: np.ndarray, checks: np.ndarray) -> np.ndarray:
+        """Which of these, in rising order of hashes, are new; they are seen from now on."""
+        fresh = np.ones(len(hashes), dtype=bool)
+        for own, other in self.runs:
+            at = np.minimum(np.searchsorted(own, hashes), len(own) - 1)
+            fresh &= (own[at] != hashes) | (other[at] != checks)
+        if fresh.any():
+            self.runs.append((hashes[fresh], checks[fresh]))
+        while len(self.runs) > 1 and 4 * len(self.runs[-1][0]) > len(self.runs[-2][0]):
+            both = [np.concatenate(x) for x in zip(*self.runs[-2:], strict=True)]
+            order = np.argsort(both[0], kind="stable")
+            self.runs[-2:] = [(both[0][order], both[1][order])]
+        if sum(len(x) for x, _ in self.runs) > self.most:
+            self.runs = []
+        return fresh
+
+
 def segments(docs: DataFrame, text: str, model: PieceModel) -> DataFrame:
-    """The distinct segments of all texts, in ``segment``, with the ids of their characters (-1: none) in ``singles``.
+    """The distinct segments of all texts, in ``segment``, with the ids of their characters (-1: none) in ``singles`` and, in
+    ``n``, about how often they occur.
 
-    Each task hands on each of its own segments about once.
+    Each task hands on each of its own segments about once, with its number in the first texts that hold it.
     """
+    small = len(model.pieces) < 1 << 15
 
     def run(batches):
-        cutter, seen = Cutter(model), [np.zeros(0, dtype=np.uint64)]  # sorted runs of what was handed on, each far longer than the next
+        cutter, seen = Cutter(model), _Seen()
         for b in batches:
             texts = b.column(0).to_pylist()
             for s, e in _groups(texts):
-                points, at, hashes, _ = cutter.cut(texts[s:e])
+                points, at, hashes, checks, _ = cutter.cut(texts[s:e])
                 codes, own = pd.factorize(hashes)
                 first = np.empty(len(own), dtype=np.int64)
                 first[codes[::-1]] = np.arange(len(codes) - 1, -1, -1)
+                other = np.flatnonzero(checks != checks[first][codes]) if len(codes) else codes  # another segment with the same first hash
+                n = np.bincount(codes, minlength=len(own))
                 rank = np.argsort(own)
-                own, first = own[rank], first[rank]
-                for run_ in seen:
-                    if len(run_):
-                        new = run_[np.minimum(np.searchsorted(run_, own), len(run_) - 1)] != own
-                        own, first = own[new], first[new]
+                first = first[rank][seen.new(own[rank], checks[first[rank]])]
+                first, n = np.r_[first, other], np.r_[n[codes[first]], np.ones(len(other), dtype=np.int64)]
                 rows = [points[at[i] : at[i + 1]].tobytes().decode("utf-32-le", "surrogatepass") for i in first]
                 sizes = at[first + 1] - at[first]
                 past = np.r_[0, np.cumsum(sizes)]
-                flat = cutter.single[points[np.repeat(at[first] - past[:-1], sizes) + np.arange(past[-1])]]
-                seen.append(own)
-                while len(seen) > 1 and 4 * len(seen[-1]) > len(seen[-2]):
-                    seen[-2:] = [np.sort(np.concatenate(seen[-2:]))]
-                if sum(map(len, seen)) > 4_000_000:
-                    seen = [np.zeros(0, dtype=np.uint64)]
-                yield pa.RecordBatch.from_arrays([pa.array(rows, pa.string()), pa.ListArray.from_arrays(pa.array(past.astype(np.int32)), pa.array(flat))], ["segment", "singles"])
+                flat = cutter.single[points[np.repeat(at[first] - past[:-1], sizes) + np.arange(past[-1])]].astype(np.int16 if small else np.int32)
+                yield pa.RecordBatch.from_arrays([pa.array(rows, pa.string()), pa.ListArray.from_arrays(pa.array(past.astype(np.int32)), pa.array(flat)), pa.array(n, pa.int64())], ["segment", "singles", "n"])
         release()
 
-    found = docs.select(F.coalesce(F.col(text), F.lit("")).alias("t")).mapInArrow(run, "segment string, singles array<int>")
-    return found.groupBy("segment").agg(F.first("singles").alias("singles"))
+    found = docs.select(F.coalesce(F.col(text), F.lit("")).alias("t")).mapInArrow(run, f"segment string, singles array<{'smallint' if small else 'int'}>, n long")
+    return found.groupBy("segment").agg(F.first("singles").alias("singles"), F.sum("n").alias("n"))
 
 
 def _merged(edges: str) -> str:
@@ -214,19 +247,19 @@ def _best_path(edges: str) -> str:
 
 
 def encoded_segments(found: DataFrame, model: PieceModel) -> DataFrame:
-    """``(segment, ids)``, the ids as array<int>, of the table that ``segments`` gives."""
+    """``(segment, n, ids)``, the ids as array<int>, of the table that ``segments`` gives."""
     spark = found.sparkSession
     levels = {v: k for k, v in enumerate(sorted({s for *_, s in model.rows()}, reverse=True))}
     least = 2 if model.bpe else 1  # merges start from characters, which have their ids already
     table = spark.createDataFrame([("", 0, -1, 0.0), *((p, levels[s], i, s) for p, i, s in model.rows() if len(p) >= least)], "piece string, level int, id int, score double")
     spans = f"flatten(transform(sequence(0, length(segment) - {least}), i -> transform(sequence({least}, least({model.longest}, length(segment) - i)), m -> struct(i as s, i + m as e, substring(segment, i + 1, m) as piece))))"
     nothing = "array(struct(0 as s, 0 as e, '' as piece))"  # so that a segment without edges stays
-    parts = found.select("segment", "singles", F.explode(F.expr(f"if(length(segment) < {least}, {nothing}, concat({spans}, {nothing}))")).alias("x")).select("segment", "singles", "x.s", "x.e", "x.piece")
+    parts = found.select("segment", "singles", "n", F.explode(F.expr(f"if(length(segment) < {least}, {nothing}, concat({spans}, {nothing}))")).alias("x")).select("segment", "singles", "n", "x.s", "x.e", "x.piece")
     kept = ["level", "s", "e", "id"] if model.bpe else ["level", "s", "e", "id", "score"]
-    edges = parts.join(F.broadcast(table), "piece").groupBy("segment").agg(F.first("singles").alias("singles"), F.sort_array(F.collect_list(F.when(F.col("e") > 0, F.struct(*kept)))).alias("wide"))
+    edges = parts.join(F.broadcast(table), "piece").groupBy("segment").agg(F.first("singles").alias("singles"), F.first("n").alias("seen"), F.sort_array(F.collect_list(F.when(F.col("e") > 0, F.struct(*kept)))).alias("wide"))
     sized = edges.withColumn("n", F.length("segment"))
     byte = f"transform(sequence(1, octet_length(substring(segment, q.s + 1, 1))), k -> cast(conv(substring(hex(encode(substring(segment, q.s + 1, 1), 'utf-8')), 2 * k - 1, 2), 16, 10) as int) + {model.first_byte})"
-    part = f"if(q.e = q.s + 1, if(singles[q.s] >= 0, array(singles[q.s]), {byte}), array(filter(wide, w -> w.s = q.s and w.e = q.e)[0].id))"
+    part = f"if(q.e = q.s + 1, if(singles[q.s] >= 0, array(cast(singles[q.s] as int)), {byte}), array(filter(wide, w -> w.s = q.s and w.e = q.e)[0].id))"
     if model.bpe:
         alone = F.expr("transform(sequence(0, n), i -> if(i < n, i + 1, 0))")
         boundaries = F.when(F.size("wide") == 0, alone).otherwise(F.expr(_merged("wide")))
@@ -236,7 +269,7 @@ def encoded_segments(found: DataFrame, model: PieceModel) -> DataFrame:
         places = "transform(sequence(0, size(b) - 2), i -> struct(b[i] as s, b[i + 1] as e))"
     laid = F.expr(f"flatten(transform({places}, q -> {part}))")
     if not model.bpe:
-        return sized.withColumn("b", boundaries).select("segment", laid.alias("ids"))
+        return sized.withColumn("b", boundaries).select("segment", F.col("seen").alias("n"), laid.alias("ids"))
 
     @F.pandas_udf("array<int>")
     def heap(text: pd.Series, wide: pd.Series, singles: pd.Series) -> pd.Series:
@@ -244,7 +277,7 @@ def encoded_segments(found: DataFrame, model: PieceModel) -> DataFrame:
 
     own = lambda c: F.when(F.col("n") > LONG, F.col(c))
     both = sized.withColumn("b", F.when(F.col("n") <= LONG, boundaries)).withColumn("folded", F.when(F.col("n") <= LONG, laid))
-    return both.select("segment", F.coalesce("folded", heap(own("segment"), own("wide"), own("singles"))).alias("ids"))
+    return both.select("segment", F.col("seen").alias("n"), F.coalesce("folded", heap(own("segment"), own("wide"), own("singles"))).alias("ids"))
 
 
 def _merge_long(text: str, edges: list, singles: list, model: PieceModel) -> list[int]:
@@ -279,90 +312,184 @@ def _merge_long(text: str, edges: list, singles: list, model: PieceModel) -> lis
     return out
 
 
-def encode(docs: DataFrame, doc_id: str = "doc_id", text: str = "text", path: str | None = None, most_segments: int = SEGMENTS, decoded: bool = False) -> DataFrame:
+def encode(docs: DataFrame, doc_id: str = "doc_id", text: str = "text", path: str | None = None, dictionary_bytes: int = DICTIONARY_BYTES, decoded: bool = False) -> DataFrame:
     """``(doc_id, ids)``, with ``decoded`` also the text that the ids read back as, of every row, without begin and end marks; null and empty texts have no ids; repeated rows stay.
 
-    The dictionary of segments goes to all tasks, as arrays, if it has at most ``most_segments`` entries. Beyond that the
-    segments of each text meet the dictionary in a shuffled join. Both ways give the same ids.
+    Segments go to all tasks in a compact table up to ``dictionary_bytes``, frequent ones first; texts that hold others are
+    completed by a join. The ids are the same however many there are in the table.
     """
     model = PieceModel.load(path or default_path())
-    with_checkpoints(docs.sparkSession)
-    known = encoded_segments(segments(docs, text, model), model)
+    spark = with_checkpoints(docs.sparkSession)
+    known = _written(encoded_segments(segments(docs, text, model), model))
     slim = docs.select(F.col(doc_id).alias("doc_id"), F.coalesce(F.col(text), F.lit("")).alias("t"))
-    if most_segments > 0:
-        top = known.limit(most_segments + 1).toArrow()
-        if top.num_rows <= most_segments:
-            return _laid_out(slim, top, model, decoded)
-    joined = _joined(slim, known, model)
-    return decode(joined, path=path) if decoded else joined
-
-
-def _laid_out(slim: DataFrame, known: pa.Table, model: PieceModel, decoded: bool = False) -> DataFrame:
-    words = known["segment"].combine_chunks()
-    words = words.combine_chunks() if isinstance(words, pa.ChunkedArray) else words
-    cutter = Cutter(model)
-    hashes = np.concatenate([np.zeros(0, dtype=np.uint64), *(_hashes(cutter, words.slice(i, 100_000).to_pylist()) for i in range(0, len(words), 100_000))])
-    ids = known["ids"].combine_chunks()
-    ids = ids.combine_chunks() if isinstance(ids, pa.ChunkedArray) else ids
-    offsets, values = ids.offsets.to_numpy().astype(np.int64), ids.values.to_numpy(zero_copy_only=False).astype(np.uint16 if len(model.pieces) <= 1 << 16 else np.int32)
-    sizes, order = np.diff(offsets), np.argsort(hashes)
-    parts = []  # the ids in the order of hashes, so that no places need sending
-    for i in range(0, len(order), 200_000):
-        some = order[i : i + 200_000]
-        past = np.cumsum(sizes[some])
-        parts.append(values[np.repeat(offsets[some] - (past - sizes[some]), sizes[some]) + np.arange(past[-1] if len(past) else 0)])
-    narrow = np.uint8 if len(sizes) == 0 or sizes.max() < 256 else np.int32
-    sent = (hashes[order], sizes[order].astype(narrow), np.concatenate(parts) if parts else values[:0])
-    del known, words, ids, values, offsets, parts
-    held = slim.sparkSession.sparkContext.broadcast(sent)
+    frequent, all_ = _frequent(known, dictionary_bytes // ENTRY_BYTES)
+    held = spark.sparkContext.broadcast(_compact(frequent, model))
+    whole = _laid_out(slim, held, model, decoded)
+    return whole if all_ else whole.unionByName(_completed(slim, known, held, model, decoded))
+
+
+def _written(table: DataFrame) -> DataFrame:
+    """``table`` as a Parquet table in the shared folder of checkpoints, which is far smaller than a checkpoint."""
+    spark = table.sparkSession
+    place = f"{spark.sparkContext.getCheckpointDir()}/table-{uuid4().hex}"
+    table.write.parquet(place)
+    return spark.read.schema(table.schema).parquet(place)
+
+
+def _frequent(known: DataFrame, most: int) -> tuple[DataFrame, bool]:
+    """About the ``most`` most frequent of the segments that a compact table takes, never more, and whether these are all segments."""
+    level = F.floor(16 * F.log2(F.greatest("n", F.lit(1))))
+    short = known.where(F.length("segment") <= SHORT)
+    counts = {r["level"]: r["n"] for r in short.groupBy(level.alias("level")).agg(F.count("*").alias("n")).collect()}  # some hundreds of levels
+    if sum(counts.values()) <= most:
+        return short, short.count() == known.count()
+    room, least, share = most, 1 << 30, 0
+    for at in sorted(counts, reverse=True):
+        if counts[at] > room:
+            share = max(0, int(1000 * room / counts[at]) - 50)  # of a level that doesn't fit, by hash; a little less than fits
+            break
+        room, least = room - counts[at], at
+    some = (level < least) & (level >= at) & (F.pmod(F.xxhash64("segment"), F.lit(1000)) < share)
+    return short.where((level >= least) | some), False
+
+
+def _compact(frequent: DataFrame, model: PieceModel) -> tuple[np.ndarray, ...]:
+    """(hashes in rising order, second hashes, numbers of ids, places of the ids, ids); tasks pack them, the driver puts them in order."""
+    kind = np.uint16 if len(model.pieces) <= 1 << 16 else np.int32
+
+    def pack(batches):
+        cutter = Cutter(model)
+        for b in batches:
+            words, ids = b.column(0).to_pylist(), b.column(1)
+            points = np.frombuffer("".join(words).encode("utf-32-le", "surrogatepass"), dtype=np.uint32)
+            hashes, checks = cutter.hashed(points, np.r_[0, np.cumsum([len(w) for w in words])].astype(np.int64))
+            sizes, flat = np.diff(ids.offsets.to_numpy()), ids.flatten().to_numpy(zero_copy_only=False)
+            yield pa.RecordBatch.from_arrays([pa.array([x.tobytes()], pa.binary()) for x in (hashes, checks, sizes.astype(np.uint16), flat.astype(kind))], ["h", "c", "s", "i"])
+        release()
+
+    rows = frequent.select("segment", "ids").mapInArrow(pack, "h binary, c binary, s binary, i binary").toArrow()
+    columns = [np.frombuffer(b"".join(rows[k].to_pylist()), dtype=t) for k, t in (("h", np.uint64), ("c", np.uint32), ("s", np.uint16), ("i", kind))]
+    del rows
+    hashes, checks, sizes, pool = columns
+    order = np.argsort(hashes, kind="stable")
+    at = (np.cumsum(sizes, dtype=np.int64) - sizes).astype(np.uint32 if len(pool) < 1 << 32 else np.int64)
+    made = hashes[order], checks[order], sizes[order], at[order], pool
+    del columns, order
+    release()
+    return made
+
+
+def _looked_up(own: Cutter, table: tuple[np.ndarray, ...], texts: list[str]):
+    """(code points, starts, place of each segment in the compact table or -1, each text's first segment)."""
+    points, at, hashes, checks, borders = own.cut(texts)
+    codes, distinct = pd.factorize(hashes)
+    if not len(codes) or not len(table[0]):
+        return points, at, np.full(len(codes), -1), borders
+    rank = np.argsort(distinct)
+    place = np.empty(len(distinct), dtype=np.int64)
+    place[rank] = np.minimum(np.searchsorted(table[0], distinct[rank]), len(table[0]) - 1)
+    which = place[codes]
+    return points, at, np.where((table[0][which] == hashes) & (table[1][which] == checks), which, -1), borders
+
+
+def _lay(table: tuple[np.ndarray, ...], which: np.ndarray, gaps: np.ndarray | None = None) -> tuple[np.ndarray, np.ndarray]:
+    """(ids of all segments in a row, where each segment's begin with a last end); a gap is one id, its negative number."""
+    _, _, sizes_, at_, pool = table
+    if not len(which) or not len(at_):
+        flat = np.zeros(0, dtype=np.int32) if gaps is None else gaps.astype(np.int32)
+        return flat, np.arange(len(flat) + 1)
+    sizes = np.where(which >= 0, sizes_[which], 1).astype(np.int64)
+    past = np.r_[0, np.cumsum(sizes)]
+    start = np.where(which >= 0, at_[which].astype(np.int64), 0)
+    source = np.repeat(start - past[:-1], sizes) + np.arange(past[-1])
+    flat = pool[np.minimum(source, len(pool) - 1)].astype(np.int32)
+    if gaps is not None:
+        flat[past[:-1][which < 0]] = gaps[which < 0]
+    return flat, past
+
+
+def _laid_out(slim: DataFrame, held, model: PieceModel, decoded: bool) -> DataFrame:
+    """Rows all of whose segments are in the compact table."""
 
     def run(batches):
-        sorted_, sizes_, pool = held.value
-        at_ = np.cumsum(sizes_, dtype=np.int64) - sizes_
-        own, text = Cutter(model), _decoder(model)
+        own, text, table = Cutter(model), _decoder(model), held.value
         for b in (whole.slice(i, ROWS) for whole in batches for i in range(0, len(whole), ROWS)):
-            texts, n_ids, flats = b.column(1).to_pylist(), [], []
+            texts, kept, n_ids, flats = b.column(1).to_pylist(), [], [], []
             for s, e in _groups(texts):
-                _, _, hashes, borders = own.cut(texts[s:e])
-                codes, distinct = pd.factorize(hashes)
-                rank = np.argsort(distinct)
-                place = np.empty(len(distinct), dtype=np.int64)
-                place[rank] = np.searchsorted(sorted_, distinct[rank])
-                which = place[codes]
-                sizes = sizes_[which].astype(np.int64) if len(which) else np.zeros(0, dtype=np.int64)
-                past = np.r_[0, np.cumsum(sizes)]
-                flats.append(pool[np.repeat(at_[which] - past[:-1], sizes) + np.arange(past[-1])] if len(which) else pool[:0])
-                n_ids.append(np.diff(past[borders]))
+                _, _, which, borders = _looked_up(own, table, texts[s:e])
+                lost = np.r_[0, np.cumsum(which < 0)]
+                fits = lost[borders[1:]] == lost[borders[:-1]]
+                mine = np.repeat(fits, np.diff(borders))
+                flat, past = _lay(table, which[mine])
+                size = np.diff(np.r_[0, np.cumsum(np.diff(borders)[fits])])
+                n_ids.append(np.diff(past[np.r_[0, np.cumsum(size)]]))
+                flats.append(flat)
+                kept.append(np.flatnonzero(fits) + s)
+            rows = np.concatenate(kept) if kept else np.zeros(0, dtype=np.int64)
             lengths = np.r_[0, np.cumsum(np.concatenate(n_ids))] if n_ids else np.zeros(1, dtype=np.int64)
-            flat = np.concatenate(flats) if flats else pool[:0]
-            out = [b.column(0), pa.ListArray.from_arrays(pa.array(lengths.astype(np.int32)), pa.array(flat.astype(np.int32)))]
+            flat = np.concatenate(flats) if flats else np.zeros(0, dtype=np.int32)
+            out = [b.column(0).take(pa.array(rows)), pa.ListArray.from_arrays(pa.array(lengths.astype(np.int32)), pa.array(flat))]
             if decoded:
                 out.append(pa.array([text(flat[i:j]) for i, j in zip(lengths[:-1].tolist(), lengths[1:].tolist(), strict=True)], pa.string()))
             yield pa.RecordBatch.from_arrays(out, ["doc_id", "ids", "decoded"][: len(out)])
         release()
 
-    return slim.mapInArrow(run, f"doc_id {slim.schema['doc_id'].dataType.simpleString()}, ids array<int>{', decoded string' if decoded else ''}")
+    return slim.mapInArrow(run, _shape(slim, decoded))
 
 
-def _hashes(cutter: Cutter, words: list[str]) -> np.ndarray:
-    points = np.frombuffer("".join(words).encode("utf-32-le", "surrogatepass"), dtype=np.uint32)
-    return cutter.hashed(points, np.r_[0, np.cumsum([len(w) for w in words])].astype(np.int64))
+def _shape(slim: DataFrame, decoded: bool) -> str:
+    return f"doc_id {slim.schema['doc_id'].dataType.simpleString()}, ids array<int>{', decoded string' if decoded else ''}"
 
 
-def _joined(slim: DataFrame, known: DataFrame, model: PieceModel) -> DataFrame:
-    rows = slim.withColumn("row", F.monotonically_increasing_id()).checkpoint()
+def _completed(slim: DataFrame, known: DataFrame, held, model: PieceModel, decoded: bool) -> DataFrame:
+    """Rows with segments that the compact table lacks: ids with gaps, compressed, meet the ids of what is missing."""
+    import zstandard
 
-    def run(batches):
-        cutter = Cutter(model)
+    def mark(batches):
+        own, table, pack = Cutter(model), held.value, zstandard.ZstdCompressor(3)
         for b in batches:
-            for row, t in zip(b.column(0).to_pylist(), b.column(1).to_pylist(), strict=True):
-                points, at, _, _ = cutter.cut([t])
-                parts = [points[s:e].tobytes().decode("utf-32-le", "surrogatepass") for s, e in zip(at[:-1], at[1:], strict=True)]
-                yield pa.RecordBatch.from_arrays([pa.array([row] * len(parts), pa.int64()), pa.array(range(len(parts)), pa.int32()), pa.array(parts, pa.string())], ["row", "pos", "segment"])
-
-    each = rows.select("row", "t").mapInArrow(run, "row long, pos int, segment string")
-    got = each.join(known, "segment").groupBy("row").agg(F.sort_array(F.collect_list(F.struct("pos", "ids"))).alias("p"))
-    return rows.join(got, "row", "left").select("doc_id", F.coalesce(F.flatten("p.ids"), F.array().cast("array<int>")).alias("ids"))
+            ids, texts, rows = b.column(0), b.column(1).to_pylist(), ([], [], [])
+            for i, t in enumerate(texts):
+                points, at, which, _ = _looked_up(own, table, [t])
+                if (gone := np.flatnonzero(which < 0)).size:
+                    words = [points[at[k] : at[k + 1]].tobytes().decode("utf-32-le", "surrogatepass") for k in gone]
+                    number = {w: n for n, w in enumerate(dict.fromkeys(words))}
+                    gaps = np.zeros(len(which), dtype=np.int64)
+                    gaps[gone] = [-1 - number[w] for w in words]
+                    for column, value in zip(rows, (i, pack.compress(_lay(table, which, gaps)[0].astype("<i4").tobytes()), list(number)), strict=True):
+                        column.append(value)
+            yield pa.RecordBatch.from_arrays([ids.take(pa.array(rows[0], pa.int64())), pa.array(rows[1], pa.binary()), pa.array(rows[2], pa.list_(pa.string()))], ["doc_id", "packed", "lost"])
+        release()
+
+    kind = slim.schema["doc_id"].dataType.simpleString()
+    marked = _written(slim.mapInArrow(mark, f"doc_id {kind}, packed binary, lost array<string>").withColumn("row", F.monotonically_increasing_id()))
+    asked = marked.select("row", F.posexplode("lost").alias("pos", "segment")).join(known.select("segment", "ids"), "segment")
+    answers = asked.groupBy("row").agg(F.sort_array(F.collect_list(F.struct("pos", "ids"))).alias("found"))  # no more than a text's own segments
+    both = marked.select("row", "doc_id", "packed").join(answers, "row").select("doc_id", "packed", F.col("found.ids").alias("found"))
+
+    def fill(batches):
+        open_, text = zstandard.ZstdDecompressor(), _decoder(model)
+        for b in batches:
+            out: tuple[list, list] = ([], [])
+            for data, found in zip(b.column(1).to_pylist(), b.column(2).to_pylist(), strict=True):
+                flat = np.frombuffer(open_.decompress(data), dtype="<i4")
+                parts = [np.array(x, dtype=np.int32) for x in found]
+                n = np.array([len(x) for x in parts], dtype=np.int64)
+                first, pool = np.cumsum(n) - n, np.concatenate(parts)
+                gap = flat < 0
+                sizes = np.ones(len(flat), dtype=np.int64)
+                sizes[gap] = n[-1 - flat[gap]]
+                past = np.cumsum(sizes) - sizes
+                made = np.repeat(flat, sizes)
+                inside = np.repeat(gap, sizes)
+                made[inside] = pool[(np.repeat(np.where(gap, first[np.where(gap, -1 - flat, 0)], 0) - past, sizes) + np.arange(len(made)))[inside]]
+                out[0].append(made)
+                out[1].append(text(made) if decoded else None)
+            columns = [b.column(0), pa.array(out[0], pa.list_(pa.int32())), pa.array(out[1], pa.string())]
+            yield pa.RecordBatch.from_arrays(columns[: 2 + decoded], ["doc_id", "ids", "decoded"][: 2 + decoded])
+        release()
+
+    return both.mapInArrow(fill, _shape(slim, decoded))
 
 
 def _decoder(model: PieceModel):

@@ -249,10 +249,10 @@ def test_sentencepiece(spark, odd, none, docs):
     import sentencepiece
 
     own = sentencepiece.SentencePieceProcessor(model_file=piece_lattice.default_path())
-    for table in (odd, docs.limit(60)):
+    for table in (odd, docs):
         want = sorted((r["doc_id"] if r["doc_id"] is not None else -1, own.encode(r["text"] or "")) for r in table.collect())
-        for most in (10**6, 0):
-            got = piece_lattice.decode(piece_lattice.encode(table, most_segments=most)).collect()
+        for most in (piece_lattice.DICTIONARY_BYTES, 20_000, 0):
+            got = piece_lattice.encode(table, dictionary_bytes=most, decoded=True).collect()
             assert sorted((r["doc_id"] if r["doc_id"] is not None else -1, r["ids"]) for r in got) == want
             assert Counter(r["decoded"] for r in got) == Counter(r["text"] or "" for r in table.collect())
     assert piece_lattice.encode(none).count() == 0
