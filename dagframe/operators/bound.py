@@ -173,11 +173,20 @@ def backward_round(sensitivity: DataFrame, before: Round, alpha: float) -> DataF
     return both.select("src", "dst", (kept + F.col("u_src") * F.col("fx_src") + F.col("u_dst") * F.col("fy_dst")).alias("p"))
 
 
-def bound_gradient(edges: DataFrame, k: int = 5, alpha: float = 0.9) -> DataFrame:
-    """``(src, dst, w, g)``: the bound's gradient by the weights, on existing edges only."""
-    rounds = forward_states(edges, k, alpha)
+def _gradient(rounds: list[Round], alpha: float) -> DataFrame:
     last = local_partials(rounds[-1].state, alpha)
     now = cut(with_ends(rounds[-1].adjacency, last, "fx", "fy").select("src", "dst", (F.col("fx_src") + F.col("fy_dst")).alias("p")))
     for before in reversed(rounds[:-1]):
         now = cut(backward_round(now, before, alpha))
     return _edges_with(rounds[0].adjacency, now).select("src", "dst", "w", (2 * F.col("p") * F.col("w")).alias("g"))
+
+
+def bound_gradient(edges: DataFrame, k: int = 5, alpha: float = 0.9) -> DataFrame:
+    """``(src, dst, w, g)``: the bound's gradient by the weights, on existing edges only."""
+    return _gradient(forward_states(edges, k, alpha), alpha)
+
+
+def value_and_gradient(edges: DataFrame, k: int = 5, alpha: float = 0.9) -> tuple[float, DataFrame]:
+    """The bound as a number and its gradient ``(src, dst, w, g)``, from one forward pass."""
+    rounds = forward_states(edges, k, alpha)
+    return _value(rounds[-1].state, "sum").first()["bound"], _gradient(rounds, alpha)

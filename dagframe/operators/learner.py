@@ -1,6 +1,7 @@
 """Continuous structure learning: an augmented Lagrangian around a least-squares fit and an acyclicity measure.
 
-Data enter once, as second moments, so a step costs nothing per sample. The engines: ``dense`` (a full matrix in one process),
+Data enter once, as second moments, so a step costs nothing per sample; with ``batch``, a step's moments are those of a mini-batch
+of samples, made for many steps in one job. The engines: ``dense`` (a full matrix in one process),
 ``local_sparse`` (coordinate arrays in one process) and ``distributed`` (edges and state stay tables; a step is one plan).
 ``fit_many`` learns many small models at once, one per group, inside tasks.
 """
@@ -17,8 +18,9 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from dagframe.functions.columns import uniform
-from dagframe.operators import bound, loss, optim
+from dagframe.operators import batches, bound, loss, optim
 from dagframe.operators.bound_local import dense_value_and_grad, value_and_grad
+from dagframe.operators.moments import from_cells as moments_of
 from dagframe.operators.moments import to_matrix
 from dagframe.plans.lineage import cut
 
@@ -151,8 +153,14 @@ def _screened(c: np.ndarray, m: int) -> np.ndarray:
     return keep
 
 
-def fit_dense(c: np.ndarray, p: LearnerParams, snapshots: tuple[float, ...] = ()) -> tuple[np.ndarray, list[dict], dict[float, np.ndarray]]:
-    """(weights, trace, weights when the stop measure first fell below each of ``snapshots``) from second moments."""
+def fit_dense(c: np.ndarray, p: LearnerParams, snapshots: tuple[float, ...] = (), draw: Callable[[int], np.ndarray] | None = None) -> tuple[np.ndarray, list[dict], dict[float, np.ndarray]]:
+    """(weights, trace, weights when the stop measure first fell below each of ``snapshots``) from second moments.
+
+    ``draw(step)`` gives the moments of that step's mini-batch; steps count on over outer rounds.
+    """
+    if p.batch and draw is None:
+        raise ValueError("mini-batches need samples: use fit(..., cells=...)")
+    full, steps = c, 0
     d, measure, random = len(c), constraint_of(p), np.random.default_rng(p.seed)
     off = 1 - np.eye(d)
     if p.support == "screened":
@@ -160,15 +168,18 @@ def fit_dense(c: np.ndarray, p: LearnerParams, snapshots: tuple[float, ...] = ()
     elif p.support == "random":
         off = off * (random.random((d, d)) < max(p.zeta, 0.0))
     wide = (6.0 / (2 * d)) ** 0.5
-    draw = lambda: random.uniform(-wide, wide, (d, d)) * off * (random.random((d, d)) < max(p.zeta, 1e-4 if d > 100 else 1.0))
-    w, rho, eta, trace, kept, began = draw(), p.rho0, p.eta0, [], {}, time.perf_counter()
+    begin = lambda: random.uniform(-wide, wide, (d, d)) * off * (random.random((d, d)) < max(p.zeta, 1e-4 if d > 100 else 1.0))
+    w, rho, eta, trace, kept, began = begin(), p.rho0, p.eta0, [], {}, time.perf_counter()
     cd = c @ np.eye(d)
     for outer in range(p.t_outer):
         if outer and p.init == "redraw":
-            w = draw()
+            w = begin()
         step, last, inner, value = optim.Adam(w.shape, p.lr), np.inf, 0, 0.0
         for inner in range(1, p.t_inner + 1):
             value, gb = measure(w)
+            if draw is not None:
+                c = draw(steps)
+                cd, steps = c, steps + 1
             cw = c @ w
             fit = float(np.trace(c) - 2 * (cd * w).sum() + (w * cw).sum())
             total = fit + p.lam * np.abs(w).sum() + rho / 2 * value * value + eta * value
@@ -176,12 +187,13 @@ def fit_dense(c: np.ndarray, p: LearnerParams, snapshots: tuple[float, ...] = ()
             w = step.step(w, (2 * (cw - cd) + p.lam * np.sign(w) + factor * gb) * off)
             if p.theta:
                 w = np.where(np.abs(w) >= p.theta, w, 0.0)
-            if inner % 10 == 0:
+            if inner % 10 == 0 and draw is None:
                 if abs(last - total) <= p.tol_inner * max(1.0, abs(total)):
                     break
                 last = total
         value = measure(w)[0]
-        exact = trexp_dense(w)[0] if d <= 200 else None
+        fit = float(np.trace(full) - 2 * (full * w).sum() + (w * (full @ w)).sum()) if draw is not None else fit
+        exact = trexp_dense(w)[0] if d <= 200 else trexp_core(*np.nonzero(w), w[np.nonzero(w)], d) if p.stop_on == "trexp" else None
         trace.append({"outer": outer, "inner": inner, "loss": fit + p.lam * float(np.abs(w).sum()), "bound": dense_value_and_grad(w, p.k, p.alpha)[0], "trexp": exact, "nnz": int((w != 0).sum()), "rho": rho, "eta": eta, "seconds": time.perf_counter() - began})
         watched = exact if p.stop_on == "trexp" and exact is not None else value if p.stop_on == "bound" else min(value, exact if exact is not None else value)
         for e in snapshots:
@@ -198,44 +210,105 @@ def fit_dense(c: np.ndarray, p: LearnerParams, snapshots: tuple[float, ...] = ()
 # ---- one process, sparse
 
 
-def fit_sparse(c: Callable[[np.ndarray, np.ndarray], np.ndarray], src: np.ndarray, dst: np.ndarray, w: np.ndarray, d: int, p: LearnerParams) -> tuple[np.ndarray, np.ndarray, np.ndarray, list[dict]]:
-    """The same on coordinate arrays; ``c(a, b)`` gives moments of pairs. The support only shrinks. A step costs the pairs of
-    parents of each node besides the bound's O(k * edges)."""
-    trace, rho, eta, began = [], p.rho0, p.eta0, time.perf_counter()
-    diag = c(np.arange(d), np.arange(d)).sum()
+CORE = 2000
+
+
+def trexp_core(src: np.ndarray, dst: np.ndarray, w: np.ndarray, d: int) -> float:
+    """The exponential trace less d, of the part of a graph that can hold cycles: exact for at most ``CORE`` such nodes, else its
+    terms of two and three steps, which it is never below."""
+    a = w * w
+    while len(a):
+        live = (np.bincount(src, weights=a, minlength=d) > 0) & (np.bincount(dst, weights=a, minlength=d) > 0)
+        kept = live[src] & live[dst] & (a > 0)
+        if kept.all():
+            break
+        src, dst, a = src[kept], dst[kept], a[kept]
+    nodes = np.unique(np.concatenate([src, dst]))
+    if not len(nodes):
+        return 0.0
+    if len(nodes) <= CORE:
+        full = np.zeros((len(nodes), len(nodes)))
+        full[np.searchsorted(nodes, src), np.searchsorted(nodes, dst)] = np.sqrt(a)
+        return trexp_dense(full)[0]
+    key = src.astype(np.int64) * d + dst
+    order = np.argsort(key)
+    key, value = key[order], a[order]
+
+    def weight(i: np.ndarray, j: np.ndarray) -> np.ndarray:
+        at = np.minimum(np.searchsorted(key, i.astype(np.int64) * d + j), len(key) - 1)
+        return np.where(key[at] == i.astype(np.int64) * d + j, value[at], 0.0)
+
+    by = np.argsort(src, kind="stable")
+    degree = np.bincount(src, minlength=d)
+    first, three = np.cumsum(degree) - degree, 0.0
+    for at in range(0, len(a), 100_000):  # paths of two edges, some at a time
+        e = slice(at, at + 100_000)
+        n = degree[dst[e]]
+        left = np.repeat(np.arange(len(a))[e], n)
+        right = by[np.repeat(first[dst[e]], n) + np.arange(n.sum()) - np.repeat(np.cumsum(n) - n, n)]
+        three += float((a[left] * a[right] * weight(dst[right], src[left])).sum())
+    return float((a * weight(dst, src)).sum()) / 2 + three / 6
+
+
+Pairs = Callable[[np.ndarray, np.ndarray], np.ndarray]
+
+
+def fit_sparse(c: Pairs, src: np.ndarray, dst: np.ndarray, w: np.ndarray, d: int, p: LearnerParams, draw: Callable[[int], Pairs] | None = None) -> tuple[np.ndarray, np.ndarray, np.ndarray, list[dict]]:
+    """The same on coordinate arrays; ``c(a, b)`` gives moments of pairs, ``draw(step)`` those of a step's mini-batch. The start
+    is the support: it only shrinks. A step costs the pairs of parents of each node besides the bound's O(k * edges).
+
+    Weights below theta go after every step. ``redraw`` gives what is left new weights in each outer round. The constraint
+    is the bound.
+    """
+    if p.constraint != "bound":
+        raise ValueError("the sparse engine takes the bound as its constraint; use the dense one")
+    if p.batch and draw is None:
+        raise ValueError("mini-batches need samples: use fit(..., cells=...)")
+    trace, rho, eta, began, random, steps = [], p.rho0, p.eta0, time.perf_counter(), np.random.default_rng(p.seed), 0
+    wide = (6.0 / (2 * d)) ** 0.5
 
-    def pairs() -> tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray]:
+    def places() -> tuple[np.ndarray, np.ndarray]:
+        """Pairs of edges that end in one node."""
         order = np.argsort(dst, kind="stable")
         size = np.bincount(dst, minlength=d)
         first = np.r_[0, np.cumsum(size)]
         n = size[dst[order]]
-        i = np.repeat(order, n)
-        j = order[np.repeat(first[dst[order]], n) + np.arange(n.sum()) - np.repeat(np.cumsum(n) - n, n)]
-        return i, j, c(src[i], src[j]), c(src, dst)
+        return np.repeat(order, n), order[np.repeat(first[dst[order]], n) + np.arange(n.sum()) - np.repeat(np.cumsum(n) - n, n)]
 
-    i, j, cij, target = pairs()
+    def held(own: Pairs) -> tuple[float, np.ndarray, np.ndarray]:
+        return own(np.arange(d), np.arange(d)).sum(), own(src[i], src[j]), own(src, dst)
+
+    i, j = places()
+    diag, cij, target = held(c)
     for outer in range(p.t_outer):
+        if outer and p.init == "redraw":
+            w = random.uniform(-wide, wide, len(w))
         step, last, inner, fit = optim.Adam(w.shape, p.lr), np.inf, 0, 0.0
         for inner in range(1, p.t_inner + 1):
             value, gb = value_and_grad(src, dst, w, d, p.k, p.alpha)
+            if draw is not None:
+                diag, cij, target = held(draw(steps))
+                steps += 1
             q = np.bincount(i, weights=cij * w[j], minlength=len(w))
             fit = float(diag + (w * (q - 2 * target)).sum())
             total = fit + p.lam * np.abs(w).sum() + rho / 2 * value * value + eta * value
-            w = step.step(w, 2 * (q - target) + p.lam * np.sign(w) + (eta + rho * value) * gb)
-            if inner % 10 == 0:
-                if p.theta and not (live := np.abs(w) >= p.theta).all():
-                    src, dst, w = src[live], dst[live], w[live]
-                    step.keep(live)
-                    i, j, cij, target = pairs()
+            factor = eta + rho * value if p.penalty_gradient == "derived" else eta + rho + value
+            w = step.step(w, 2 * (q - target) + p.lam * np.sign(w) + factor * gb)
+            if p.theta and not (live := np.abs(w) >= p.theta).all():
+                src, dst, w = src[live], dst[live], w[live]
+                step.keep(live)
+                i, j = places()
+                if draw is None:
+                    diag, cij, target = held(c)
+            if inner % 10 == 0 and draw is None:
                 if abs(last - total) <= p.tol_inner * max(1.0, abs(total)):
                     break
                 last = total
+        if draw is not None:
+            diag, cij, target = held(c)
+            fit = float(diag + (w * (np.bincount(i, weights=cij * w[j], minlength=len(w)) - 2 * target)).sum())
         value = value_and_grad(src, dst, w, d, p.k, p.alpha, False)[0]
-        exact = None
-        if d <= 200:
-            full = np.zeros((d, d))
-            full[src, dst] = w
-            exact = trexp_dense(full)[0]
+        exact = trexp_core(src, dst, w, d)
         trace.append({"outer": outer, "inner": inner, "loss": fit + p.lam * float(np.abs(w).sum()), "bound": value, "trexp": exact, "nnz": len(w), "rho": rho, "eta": eta, "seconds": time.perf_counter() - began})
         if should_stop(value, exact, p.eps, p.stop_on):
             break
@@ -258,52 +331,118 @@ def edges_of(spark: SparkSession, w: np.ndarray) -> DataFrame:
 
 
 def distributed_step(state: DataFrame, moments: DataFrame, p: LearnerParams, rho: float, eta: float, step: int) -> DataFrame:
-    """EDGE_STATE after one step, all as tables: loss gradient, bound and its gradient, Adam, filter."""
+    """EDGE_STATE after one step, all as tables: loss gradient, bound and its gradient from one forward pass, Adam, filter."""
     edges = state.select("src", "dst", "w")
-    value = bound.spectral_bound(edges, p.k, p.alpha).first()["bound"]
+    value, gb = bound.value_and_gradient(edges, p.k, p.alpha)
     gl = loss.gradient_from_moments(moments, edges, p.lam).select("src", "dst", F.col("g").alias("gl"))
-    gb = bound.bound_gradient(edges, p.k, p.alpha).select("src", "dst", F.col("g").alias("gb"))
     factor = eta + rho * value if p.penalty_gradient == "derived" else eta + rho + value
-    grad = gl.join(gb, ["src", "dst"], "left").select("src", "dst", (F.col("gl") + factor * F.coalesce("gb", F.lit(0.0))).alias("g"))
+    grad = gl.join(gb.select("src", "dst", F.col("g").alias("gb")), ["src", "dst"], "left").select("src", "dst", (F.col("gl") + factor * F.coalesce("gb", F.lit(0.0))).alias("g"))
     return cut(threshold(optim.adam(state, grad, step, p.lr), p.theta))
 
 
-def inner(edges: DataFrame, moments: DataFrame, p: LearnerParams, rho: float = 1.0, eta: float = 1.0, steps: int | None = None) -> DataFrame:
-    """Weights after ``steps`` (default t_inner) distributed steps."""
+def inner(edges: DataFrame, moments: DataFrame, p: LearnerParams, rho: float = 1.0, eta: float = 1.0, steps: int | None = None, cells: DataFrame | None = None, n: int | None = None, first: int = 0) -> DataFrame:
+    """Weights after ``steps`` (default t_inner) distributed steps; with ``p.batch`` each on a mini-batch of ``cells``' n samples."""
     state = optim.start(edges)
     for t in range(1, (steps or p.t_inner) + 1):
-        state = distributed_step(state, moments, p, rho, eta, t)
+        own = moments_of(batches.draw(cells, p.batch, n, p.seed, first + t - 1)) if p.batch else moments
+        state = distributed_step(state, own, p, rho, eta, t)
     return state.select("src", "dst", "w")
 
 
-def fit(moments: DataFrame, d: int, p: LearnerParams = LearnerParams(), engine: str | None = None, start: DataFrame | None = None) -> tuple[DataFrame, DataFrame]:
-    """``(EDGES, TRACE)`` from MOMENTS; the engine is chosen by size unless named."""
+LOCAL_ROWS = 20_000_000
+
+
+class BatchMoments:
+    """Moments of mini-batches on the driver, made for many steps in one job; at most LOCAL_ROWS / 10 rows at a time."""
+
+    def __init__(self, cells: DataFrame, n: int, d: int, p: LearnerParams):
+        self.cells, self.n, self.d, self.p, self.held = cells, n, d, p, {}
+        self.ahead = max(1, min(p.t_inner, LOCAL_ROWS // 10 // max(1, d * (d + 1) // 2)))
+
+    def rows(self, step: int) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+        if step not in self.held:
+            steps = self.ahead
+            found = batches.moments_by_step(batches.prefetch(self.cells, self.p.batch, self.n, steps, self.p.seed, step))
+            got = within(found, LOCAL_ROWS // 10)
+            at = got["step"].to_numpy()
+            a, b, c = (got[k].to_numpy() for k in "abc")
+            self.held = {t: (a[at == t], b[at == t], c[at == t]) for t in range(step, step + steps)}
+        return self.held[step]
+
+    def matrix(self, step: int) -> np.ndarray:
+        a, b, v = self.rows(step)
+        c = np.zeros((self.d, self.d))
+        c[a, b] = c[b, a] = v
+        return c
+
+    def pairs(self, step: int) -> Pairs:
+        return pair_lookup(*self.rows(step), self.d)
+
+
+def within(table: DataFrame, most: int):
+    """``table`` on the driver, as Arrow, if it has at most ``most`` rows."""
+    got = table.limit(most + 1).toArrow()
+    if got.num_rows > most:
+        raise ValueError(f"more than {most} rows for one process; use the distributed engine")
+    return got
+
+
+def pair_lookup(a: np.ndarray, b: np.ndarray, v: np.ndarray, d: int) -> Pairs:
+    """Moments of pairs in either order; 0 for those that aren't listed."""
+    key = a.astype(np.int64) * d + b
+    order = np.argsort(key)
+    key, value = key[order], v[order]
+
+    def pair(x: np.ndarray, y: np.ndarray) -> np.ndarray:
+        k = np.minimum(x, y).astype(np.int64) * d + np.maximum(x, y)
+        if not len(key):
+            return np.zeros(len(k))
+        at = np.minimum(np.searchsorted(key, k), len(key) - 1)
+        return np.where(key[at] == k, value[at], 0.0)
+
+    return pair
+
+
+def support_moments(moments: DataFrame, edges: DataFrame) -> DataFrame:
+    """The moments that a run on the support of ``edges`` can ask for: nodes, edges, and pairs of parents of one node."""
+    e = edges.select("src", "dst")
+    other = e.select(F.col("src").alias("other"), "dst")
+    asked = e.join(other, "dst").where("src < other").select(F.col("src").alias("a"), F.col("other").alias("b")).unionByName(e.select(F.least("src", "dst").alias("a"), F.greatest("src", "dst").alias("b"))).distinct()
+    return moments.where("a = b").unionByName(moments.where("a <> b").join(asked, ["a", "b"], "left_semi"))
+
+
+def fit(moments: DataFrame, d: int, p: LearnerParams = LearnerParams(), engine: str | None = None, start: DataFrame | None = None, cells: DataFrame | None = None) -> tuple[DataFrame, DataFrame]:
+    """``(EDGES, TRACE)`` from MOMENTS; the engine is chosen by size unless named. ``cells`` are the samples that mini-batches of
+    ``p.batch`` are drawn from; the trace's loss is that of all moments.
+
+    The dense engine takes every option; the others learn under the bound, and the distributed one stops on the bound.
+    """
     from dagframe.plans.planner import choose_engine
 
     spark = moments.sparkSession
-    engine = engine or choose_engine(d, start.count() if start is not None else d * d)
+    engine = engine or choose_engine(d, start.count() if start is not None else int(np.ceil(p.zeta * d * d)))
+    if p.batch and cells is None:
+        raise ValueError("mini-batches need cells")
+    n = cells.select("sample_id").distinct().count() if p.batch else 0
     if engine == "dense":
-        w, trace, _ = fit_dense(to_matrix(moments, d), p)
+        drawn = BatchMoments(cells, n, d, p).matrix if p.batch else None
+        w, trace, _ = fit_dense(to_matrix(moments, d), p, draw=drawn)
         return edges_of(spark, w), trace_table(spark, trace)
+    if p.constraint != "bound" or p.support == "screened":
+        raise ValueError("only the dense engine takes another constraint than the bound, or screens the support itself")
     edges = start if start is not None else init_edges(spark, d, p.zeta, p.seed)
     if engine == "local_sparse":
-        rows = edges.toArrow()
-        src, dst, w = (rows[n].to_numpy() for n in ("src", "dst", "w"))
-        m = moments.toArrow()
-        key = m["a"].to_numpy().astype(np.int64) * d + m["b"].to_numpy()
-        order = np.argsort(key)
-        key, value = key[order], m["c"].to_numpy()[order]
-
-        def pair(a, b):
-            k = np.minimum(a, b).astype(np.int64) * d + np.maximum(a, b)
-            at = np.minimum(np.searchsorted(key, k), len(key) - 1)
-            return np.where(key[at] == k, value[at], 0.0)
-
-        src, dst, w, trace = fit_sparse(pair, src.astype(np.int64), dst.astype(np.int64), w.astype(float), d, p)
+        edges = cut(edges.select("src", "dst", "w"))
+        rows, m = within(edges, LOCAL_ROWS), within(support_moments(moments, edges), LOCAL_ROWS)
+        src, dst, w = (rows[k].to_numpy() for k in ("src", "dst", "w"))
+        drawn = BatchMoments(cells, n, d, p).pairs if p.batch else None
+        src, dst, w, trace = fit_sparse(pair_lookup(*(m[k].to_numpy() for k in "abc"), d), src.astype(np.int64), dst.astype(np.int64), w.astype(float), d, p, drawn)
         return spark.createDataFrame(pd.DataFrame({"src": src.astype("int32"), "dst": dst.astype("int32"), "w": w}), "src int, dst int, w double"), trace_table(spark, trace)
+    if p.init == "redraw":
+        raise ValueError("the distributed engine goes on from the last round")
     rho, eta, trace, began = p.rho0, p.eta0, [], time.perf_counter()
     for outer in range(p.t_outer):
-        edges = cut(inner(edges, moments, p, rho, eta))
+        edges = inner(edges, moments, p, rho, eta, cells=cells, n=n, first=outer * p.t_inner)
         value, fitted = bound.spectral_bound(edges, p.k, p.alpha).first()["bound"], loss.from_moments(moments, edges, p.lam).first()["loss"]
         trace.append({"outer": outer, "inner": p.t_inner, "loss": fitted, "bound": value, "trexp": None, "nnz": edges.count(), "rho": rho, "eta": eta, "seconds": time.perf_counter() - began})
         if should_stop(value, None, p.eps, "bound"):

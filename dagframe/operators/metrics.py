@@ -2,9 +2,11 @@
 
 from __future__ import annotations
 
-from pyspark.sql import Column, DataFrame
+from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
+from dagframe.plans.lineage import cut
+
 
 def edge_confusion(truth: DataFrame, predicted: DataFrame, *by: str) -> DataFrame:
     """``(by..., predicted, true, tp, reversed, extra, missing)``.
@@ -72,10 +74,11 @@ def roc_auc(truth: DataFrame, scored: DataFrame, d: int) -> DataFrame:
     rows = s.join(t, ["src", "dst"], "full").select(F.coalesce("v", F.lit(0.0)).alias("v"), F.coalesce("pos", F.lit(0)).alias("pos"))
     level = rows.groupBy("v").agg(F.sum("pos").alias("p"), F.sum(1 - F.col("pos")).alias("n"))
     listed = level.agg(F.sum(F.col("p") + F.col("n")).alias("seen"), F.sum("p").alias("all_p"), F.coalesce(F.max(F.when(F.col("v") == 0, F.col("p"))), F.lit(0)).alias("p0"), F.coalesce(F.max(F.when(F.col("v") == 0, F.col("n"))), F.lit(0)).alias("n0"))
-    # negatives below each level, over the levels themselves: there are no more than scored edges
-    from pyspark.sql import Window
-
-    below = level.where("v > 0").withColumn("under", F.sum("n").over(Window.orderBy("v").rowsBetween(Window.unboundedPreceding, -1)))
+    # negatives below each level: inside ranges of levels, and in the ranges before; no task sees all levels
+    ranged = cut(level.where("v > 0").repartitionByRange("v").withColumn("part", F.spark_partition_id()))
+    before = ranged.groupBy("part").agg(F.sum("n").alias("in_part")).withColumn("before", F.sum("in_part").over(Window.orderBy("part")) - F.col("in_part")).drop("in_part")  # one row a range
+    inside = F.coalesce(F.sum("n").over(Window.partitionBy("part").orderBy("v").rowsBetween(Window.unboundedPreceding, -1)), F.lit(0))
+    below = ranged.withColumn("inside", inside).join(F.broadcast(before), "part").withColumn("under", F.col("inside") + F.col("before"))
     wins = below.agg(F.coalesce(F.sum(F.col("p") * (F.coalesce("under", F.lit(0)) + F.col("n") / 2.0)), F.lit(0.0)).alias("wins"), F.coalesce(F.sum("p"), F.lit(0)).alias("p_up"))
     pairs = float(d * (d - 1))
     zeros = F.col("n0") + (pairs - F.col("seen"))

@@ -2,6 +2,8 @@
 
 from __future__ import annotations
 
+import math
+
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
@@ -96,13 +98,29 @@ def chi2_p() -> Column:
     return F.when((a > 0) & (b > 0) & (dev > 0), 2 * normal_tail(F.abs(x / a - y / b) / dev)).otherwise(1.0)
 
 
+def _log_factorial(n: str) -> str:
+    """ln n! as SQL: exact sums below 16, from there a series whose error is below 1e-11; no cost that grows with n."""
+    x = f"cast({n} as double)"
+    low = "array(" + ", ".join(f"{sum(math.log(i) for i in range(1, k + 1))!r}D" for k in range(16)) + ")"
+    series = f"({x} * ln({x}) - {x} + 0.5 * ln(2 * pi() * {x}) + 1 / (12 * {x}) - 1 / (360 * pow({x}, 3)) + 1 / (1260 * pow({x}, 5)))"
+    return f"if({n} < 16, element_at({low}, cast(greatest({n}, 0) as int) + 1), {series})"
+
+
 def fisher_p(frame: DataFrame) -> DataFrame:
-    """``frame`` with ``p``, the exact one-sided hypergeometric tail; factorials by logarithms of a sum, in expressions."""
-    log_fact = lambda n: f"aggregate(sequence(1, greatest(1, cast({n} as int))), cast(0 as double), (s, i) -> s + ln(i))"
-    with_logs = frame.withColumns({k: F.expr(log_fact(v)) for k, v in {"lx_": "n_now + n_prev", "ly_": "total_now + total_prev - n_now - n_prev", "la_": "total_now", "lb_": "total_prev", "ln_": "total_now + total_prev"}.items()})
-    term = f"exp(lx_ + ly_ + la_ + lb_ - ln_ - {log_fact('i')} - {log_fact('n_now + n_prev - i')} - {log_fact('total_now - i')} - {log_fact('total_prev - n_now - n_prev + i')})"
-    tail = f"aggregate(sequence(cast(n_now as int), cast(least(n_now + n_prev, total_now) as int)), cast(0 as double), (acc, i) -> acc + {term})"
-    return with_logs.withColumn("p", F.least(F.lit(1.0), F.expr(tail))).drop("lx_", "ly_", "la_", "lb_", "ln_")
+    """``frame`` with ``p``, the exact one-sided hypergeometric tail.
+
+    Terms further than fifty deviations (and a hundred) from the mode are below 1e-300 and left out, so the sum's length grows
+    with the root of the counts only.
+    """
+    k, a, b = "(n_now + n_prev)", "total_now", "total_prev"
+    fixed = {"lx_": k, "ly_": f"({a} + {b} - n_now - n_prev)", "la_": a, "lb_": b, "ln_": f"({a} + {b})"}
+    logs = frame.withColumns({name: F.expr(_log_factorial(n)) for name, n in fixed.items()})
+    mode = f"{k} * ({a} / greatest({a} + {b}, 1))"
+    wide = f"(50 * sqrt({mode} * ({b} / greatest({a} + {b}, 1))) + 100)"
+    ranged = logs.withColumns({"from_": F.expr(f"cast(greatest(n_now, {k} - {b}, floor({mode} - {wide})) as long)"), "to_": F.expr(f"cast(least({k}, {a}, greatest(n_now + 100, ceil({mode} + {wide}))) as long)")})
+    term = f"exp(lx_ + ly_ + la_ + lb_ - ln_ - {_log_factorial('i')} - {_log_factorial(f'({k} - i)')} - {_log_factorial(f'({a} - i)')} - {_log_factorial(f'({b} - {k} + i)')})"
+    tail = f"if(from_ > to_, 0D, aggregate(sequence(from_, to_), 0D, (acc, i) -> acc + {term}))"
+    return ranged.withColumn("p", F.least(F.lit(1.0), F.expr(tail))).drop(*fixed, "from_", "to_")
 
 
 def path_test(paths: DataFrame, test: str = "two_prop_z") -> DataFrame:

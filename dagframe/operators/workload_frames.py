@@ -77,6 +77,15 @@ def probe(spark: SparkSession) -> DataFrame:
 PROBE_SQL = "SELECT * FROM (VALUES " + ", ".join(f"({s}, {t}, {w}::DOUBLE)" for s, t, w in PROBE) + ") v(src, dst, w)"
 
 
+#: A small graph on brands, with a cycle, for checks of mini-batch steps.
+BRAND_PROBE = [(11, 12, 0.3), (12, 13, -0.2), (13, 11, 0.1), (21, 22, 0.4), (33, 45, -0.3), (45, 51, 0.2)]
+BRAND_PROBE_SQL = "SELECT * FROM (VALUES " + ", ".join(f"({s}, {t}, {w}::DOUBLE)" for s, t, w in BRAND_PROBE) + ") v(src, dst, w)"
+
+
+def brand_probe(spark: SparkSession) -> DataFrame:
+    return spark.createDataFrame(BRAND_PROBE, "src int, dst int, w double")
+
+
 def ratings(spark: SparkSession, d: str, item: str = "brand") -> DataFrame:
     """CELLS: customers by brands (or parts), the mean quantity, centred by customer."""
     t = lambda n: table(spark, d, n)

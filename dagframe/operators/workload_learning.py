@@ -57,6 +57,24 @@ def _three_steps(s, d):
     return learner.inner(base.probe(s), _moments(s, d), p, RHO, ETA, N_STEPS).select("src", "dst", stable("w").alias("w"))
 
 
+BATCH = 300
+
+
+def _batched_steps(s, d):
+    """Three steps of brand ratings, each on another mini-batch of customers."""
+    cells = _ratings(s, d)
+    n = cells.select("sample_id").distinct().count()
+    p = learner.LearnerParams(lam=LAM, k=1, batch=BATCH)
+    return learner.inner(base.brand_probe(s), None, p, RHO, ETA, N_STEPS, cells, n).select("src", "dst", stable("w").alias("w"))
+
+
+def _fit_batched(s, d):
+    """Brand graph learnt from mini-batches of customers, with a small-weight filter."""
+    cells = _ratings(s, d)
+    e, _ = learner.fit(moments.from_cells(cells), 56, learner.LearnerParams(t_outer=4, t_inner=100, batch=BATCH, theta=1e-3), "dense", cells=cells)
+    return learner.extract_graph(e, 0.01)
+
+
 def _proximal(s, d):
     g = loss.gradient_from_moments(_moments(s, d), base.probe(s), 0.0)
     return optim.proximal(base.probe(s), g, 0.01, LAM).select("src", "dst", stable("w").alias("w"))
@@ -110,7 +128,7 @@ def _mixed(s, d):
 
 def _tokens(s, d):
     labels = matrices.tokens(table(s, d, "documents"))
-    return matrices.dictionary(labels, "token", 20, 200).agg(F.count("*").alias("n_nodes"), F.sum("support").alias("cells"), F.max("support").alias("top"))
+    return matrices.dictionary(labels, "token", 5).agg(F.count("*").alias("n_nodes"), F.sum("support").alias("cells"), F.max("support").alias("top"))
 
 
 def _embedding_moments(s, d):
@@ -223,12 +241,52 @@ def _distributed(s, d):
     return learner.fit(_moments(s, d), 8, learner.LearnerParams(t_outer=1, t_inner=2, k=1), "distributed", base.probe(s))[1].drop("trexp")
 
 
+#: Effects added to the numeric columns, whose own correlations are nil: (cause, effect, weight).
+EFFECTS = [("l_quantity", "l_extendedprice", 0.9), ("l_extendedprice", "l_discount", -0.7), ("l_tax", "l_discount", 0.6), ("l_discount", "o_totalprice", 0.8), ("p_size", "p_retailprice", 1.2), ("l_tax", "c_acctbal", -0.5)]
+
+
+def _planted_numerics(s, d) -> DataFrame:
+    """Moments of the numeric columns with ``EFFECTS`` planted."""
+    from dagframe.operators import simulate
+
+    return cut(moments.from_wide(simulate.plant(base.numerics(s, d), EFFECTS), base.NUMERIC))
+
+
+def _lines(s, d) -> int:
+    return table(s, d, "lineitem").count()
+
+
+def _effect_edges(s) -> DataFrame:
+    at = base.NUMERIC.index
+    return s.createDataFrame([(at(a), at(b)) for a, b, _ in EFFECTS], "src int, dst int")
+
+
+def _planted_search(s, d):
+    """What greedy search, the exact measure, the bound and the correlation graph recover of the planted effects."""
+    from dagframe.operators import metrics
+
+    m, truth = _planted_numerics(s, d), _effect_edges(s)
+    p = learner.LearnerParams(t_outer=20, lam=0.05)
+    found = {
+        "climb": baseline.hill_climb(m, 8, _lines(s, d), 3),
+        "trexp": learner.threshold(learner.solve(m, 8, "exact", p), 0.3),
+        "bound": learner.threshold(learner.solve(m, 8, "bound", p), 0.3),
+        "correlation": baseline.correlation_graph(m, len(EFFECTS)).select(F.col("a").alias("src"), F.col("b").alias("dst"), F.col("r").alias("w")),
+    }
+    out = None
+    for name, e in found.items():
+        one = metrics.measures(metrics.edge_confusion(truth, e).withColumn("d", F.lit(8))).withColumn("method", F.lit(name))
+        out = one if out is None else out.unionByName(one)
+    return out
+
+
 def _paradigms(s, d):
-    """Edges on three columns by search, by the exact measure and by the bound."""
-    m = cut(_moments(s, d).where("a < 3 and b < 3"))
+    """Edges on four planted columns by search, by the exact measure and by the bound."""
+    m = cut(_planted_numerics(s, d).where("a < 4 and b < 4"))
     out = None
     for name in ("search", "exact", "bound"):
-        one = learner.threshold(learner.solve(m, 3, name, learner.LearnerParams(t_outer=10)), 0.1).agg(F.count("*").alias("edges")).select(F.lit(name).alias("paradigm"), "edges")
+        options = {"n": _lines(s, d)} if name == "search" else {}
+        one = learner.threshold(learner.solve(m, 4, name, learner.LearnerParams(t_outer=20, lam=0.05), **options), 0.3).select(F.lit(name).alias("paradigm"), "src", "dst")
         out = one if out is None else out.unionByName(one)
     return out
 
@@ -258,7 +316,7 @@ def queries() -> dict:
         "loss_gradient_samples": _gradient_samples,
         "nll_loss": _nll,
         "augmented_objective": _augmented,
-        "adam_one_step": _adam, "inner_three_steps": _three_steps, "proximal_step": _proximal,
+        "adam_one_step": _adam, "inner_three_steps": _three_steps, "inner_batched_steps": _batched_steps, "fit_batched": _fit_batched, "proximal_step": _proximal,
         "threshold_theta": lambda s, d: learner.threshold(base.order_sequence(s, d), 0.4).select("src", "dst", stable("w").alias("w")),
         "minibatch_draw": _batch,
         "ratings_centred": lambda s, d: base.ratings(s, d).select("sample_id", "node_id", stable("x").alias("x")),
@@ -274,8 +332,9 @@ def queries() -> dict:
         "ego_graph": lambda s, d: recommend.ego_graph(_links(s, d).where("w > 0"), 11, 1).select("src", "dst", stable("w").alias("w"), "sign"),
         "degree_profile": lambda s, d: recommend.degree_profile(_links(s, d).where("w > 0"), _popularity(s, d)),
         "fit_planted": _fit_planted, "baseline_planted": _baseline_planted, "fit_brand_graph": _fit_brand, "fit_sparse_trace": _fit_trace, "fit_gene_stand_in": _gene,
-        "hill_climb": lambda s, d: baseline.hill_climb(_moments(s, d), 8, 1000, 3),
-        "exhaustive_three": lambda s, d: baseline.exhaustive(_moments(s, d).where("a < 3 and b < 3"), 3),
+        "hill_climb": lambda s, d: baseline.hill_climb(_planted_numerics(s, d), 8, _lines(s, d), 3),
+        "exhaustive_four": lambda s, d: baseline.exhaustive(_planted_numerics(s, d).where("a < 4 and b < 4"), 4, _lines(s, d)),
+        "planted_search": _planted_search,
         "bound_scaling": _scaling, "nodes_scaling": _nodes_scaling, "token_graph_trace": _token_graph, "fit_distributed": _distributed, "solve_paradigms": _paradigms, "log_density": _density,
         "suggest_alpha": _alphas,
         "init_edges": lambda s, d: learner.init_edges(s, 2000, 1e-3, 7),
@@ -298,6 +357,17 @@ def oracle_sql() -> dict[str, str]:
         three.add(f"n{t}", f"SELECT src, dst, w, 0.9 * m1 + 0.1 * g AS m1, 0.999 * m2 + 0.001 * g * g AS m2 FROM g{t}")
         three.add(f"e{t}", f"SELECT src, dst, w - 0.01 * (m1 / (1 - pow(0.9, {t}))) / (sqrt(m2 / (1 - pow(0.999, {t}))) + 1e-8) AS w, m1, m2 FROM n{t}")
     rat = base.ratings_sql
+    batched = rat().add("b0", "SELECT src, dst, w, 0.0::DOUBLE AS m1, 0.0::DOUBLE AS m2 FROM (" + base.BRAND_PROBE_SQL + ")").add("per_", f"SELECT greatest(1, count(DISTINCT sample_id) // {BATCH})::BIGINT AS per FROM cells")
+    for t in range(1, N_STEPS + 1):
+        nth, epoch = f"({t - 1} % (SELECT per FROM per_))", f"({t - 1} // (SELECT per FROM per_))"
+        batched.add(f"c{t}", f"SELECT * FROM cells WHERE ('0x' || substr(md5('7:' || {epoch} || ':' || sample_id), 1, 8))::BIGINT % (SELECT per FROM per_) = {nth}")
+        batched.add(f"bm{t}", f"SELECT a, b, s / (SELECT count(DISTINCT sample_id) FROM c{t}) AS c FROM (SELECT x.node_id AS a, y.node_id AS b, sum(x.x * y.x) AS s FROM c{t} x JOIN c{t} y ON x.sample_id = y.sample_id WHERE x.node_id <= y.node_id GROUP BY 1, 2)")
+        batched.add(f"w{t - 1}", f"SELECT src, dst, w FROM b{t - 1}")
+        sqlgen.moment_loss(batched, f"bm{t}", f"w{t - 1}", LAM, f"l{t}")
+        sqlgen.gradient(sqlgen.forward(batched, f"w{t - 1}", 1, 0.9, f"f{t}"), 1, 0.9, f"f{t}")
+        batched.add(f"g{t}", f"SELECT e.src, e.dst, e.w, e.m1, e.m2, a.g + ({ETA} + {RHO} * (SELECT sum(scale) FROM f{t}st1)) * x.g AS g FROM b{t - 1} e JOIN l{t}gl a USING (src, dst) JOIN f{t}grad x USING (src, dst)")
+        batched.add(f"n{t}", f"SELECT src, dst, w, 0.9 * m1 + 0.1 * g AS m1, 0.999 * m2 + 0.001 * g * g AS m2 FROM g{t}")
+        batched.add(f"b{t}", f"SELECT src, dst, w - 0.01 * (m1 / (1 - pow(0.9, {t}))) / (sqrt(m2 / (1 - pow(0.999, {t}))) + 1e-8) AS w, m1, m2 FROM n{t}")
     rm = lambda: rat().add("m", "SELECT a, b, s / (SELECT count(DISTINCT sample_id) FROM cells) AS c FROM (SELECT x.node_id AS a, y.node_id AS b, sum(x.x * y.x) AS s FROM cells x JOIN cells y ON x.sample_id = y.sample_id WHERE x.node_id <= y.node_id GROUP BY 1, 2)")
     links = lambda: rm().add("links", "SELECT a AS src, b AS dst, c AS w FROM m WHERE a <> b")
     nodes = f"SELECT DISTINCT {base.BRAND_SQL} AS node_id, p_brand AS label FROM part"
@@ -308,7 +378,7 @@ def oracle_sql() -> dict[str, str]:
     return {
         "moments_numeric": num().then(f"SELECT a, b, {r6('c')} FROM moments"),
         "moments_sparse": rm().then(f"SELECT a, b, {r6('c')} FROM m"),
-        "moments_vectors": "SELECT i AS a, j AS b, round(avg(embedding[i + 1]::DOUBLE * embedding[j + 1]::DOUBLE), 6) + 0.0 AS c FROM embeddings, (SELECT a.range::INTEGER AS i, b.range::INTEGER AS j FROM range(4) a, range(8) b WHERE a.range <= b.range) GROUP BY 1, 2",
+        "moments_vectors": "SELECT i AS a, j AS b, round(avg(embedding[i + 1]::DOUBLE * embedding[j + 1]::DOUBLE), 6) + 0.0 AS c FROM embeddings, (SELECT a.range::INTEGER AS i, b.range::INTEGER AS j FROM range(64) a, range(64) b WHERE a.range <= b.range) GROUP BY 1, 2",
         "standardised_columns": num().then("SELECT " + ", ".join(f"round(sum(abs(x{i})), 3) + 0.0 AS {c}" for i, c in enumerate(base.NUMERIC)) + " FROM std_"),
         "loss_samples": step().then(total), "loss_moments": step().then(total),
         "loss_per_node": step().then(f"SELECT node, {r6('fit')} FROM fit"),
@@ -318,12 +388,13 @@ def oracle_sql() -> dict[str, str]:
         "augmented_objective": aug.then(f"SELECT a.src, a.dst, round(l + {RHO} / 2 * b * b + {ETA} * b, 6) + 0.0 AS objective, round(a.g + ({ETA} + {RHO} * b) * x.g, 6) + 0.0 AS g FROM gl a JOIN grad x USING (src, dst), (SELECT (SELECT sum(fit) FROM fit) + {LAM} * (SELECT sum(abs(w)) FROM probe) AS l, (SELECT sum(scale) FROM st1) AS b)"),
         "adam_one_step": step().then("SELECT src, dst, round(w - 0.01 * g / (abs(g) + 1e-8), 6) + 0.0 AS w, round(0.1 * g, 6) + 0.0 AS m1, round(0.001 * g * g, 6) + 0.0 AS m2 FROM gl"),
         "inner_three_steps": three.then(f"SELECT src, dst, {r6('w')} FROM e{N_STEPS}"),
+        "inner_batched_steps": batched.then(f"SELECT src, dst, {r6('w')} FROM b{N_STEPS}"),
         "proximal_step": step(0.0).then(f"SELECT src, dst, round(sign(v) * greatest(abs(v) - 0.01 * {LAM}, 0), 6) + 0.0 AS w FROM (SELECT src, dst, w - 0.01 * g AS v FROM gl) WHERE abs(v) > 0.01 * {LAM}"),
         "threshold_theta": base.order_sequence_sql().then(f"SELECT src, dst, {r6('w')} FROM edges WHERE abs(w) >= 0.4"),
         "minibatch_draw": rat().then("SELECT sample_id, count(*)::BIGINT AS n FROM cells WHERE sample_id IN (SELECT sample_id FROM (SELECT DISTINCT sample_id FROM cells) ORDER BY md5('7:0:' || sample_id) LIMIT 20) GROUP BY 1"),
         "ratings_centred": rat().then(f"SELECT sample_id, node_id, {r6('x')} FROM cells"),
         "indicators_documents": numbered(docs_ind),
-        "tokens_dictionary": r"SELECT count(*)::BIGINT AS n_nodes, sum(support)::BIGINT AS cells, max(support)::BIGINT AS top FROM (SELECT w, count(DISTINCT doc_id) AS support FROM (SELECT doc_id, unnest(string_split_regex(trim(text), '\s+')) AS w FROM documents) WHERE w <> '' GROUP BY w) WHERE support BETWEEN 20 AND 200",
+        "tokens_dictionary": r"SELECT count(*)::BIGINT AS n_nodes, sum(support)::BIGINT AS cells, max(support)::BIGINT AS top FROM (SELECT w, count(DISTINCT doc_id) AS support FROM (SELECT doc_id, unnest(string_split_regex(trim(text), '\s+')) AS w FROM documents) WHERE w <> '' GROUP BY w) WHERE support >= 5",
         "mixed_nodes": numbered(mixed),
         "embeddings_long": "SELECT i AS node_id, round(sum(embedding[i + 1]::DOUBLE), 4) + 0.0 AS total, count(*)::BIGINT AS n FROM embeddings, (SELECT range::INTEGER AS i FROM range(64)) WHERE embedding[i + 1] <> 0 GROUP BY i",
         "correlation_graph": rm().then("SELECT m.a, m.b, round(m.c / sqrt(x.c * y.c), 6) + 0.0 AS r FROM m JOIN m x ON x.a = m.a AND x.b = m.a JOIN m y ON y.a = m.b AND y.b = m.b WHERE m.a <> m.b ORDER BY abs(m.c / sqrt(x.c * y.c)) DESC, m.a, m.b LIMIT 15"),
@@ -334,7 +405,7 @@ def oracle_sql() -> dict[str, str]:
         ),
         "top_links": links().add("nodes_", nodes).then(f"SELECT src, x.label AS src_label, dst, y.label AS dst_label, {r6('w')} FROM (SELECT * FROM links ORDER BY w DESC, src, dst LIMIT 10) l LEFT JOIN nodes_ x ON x.node_id = src LEFT JOIN nodes_ y ON y.node_id = dst"),
         "propagate_scores": links().then("SELECT s.sample_id, s.node_id, round(s.score, 4) + 0.0 AS score FROM (SELECT sample_id, dst AS node_id, sum(x * w) AS score FROM cells JOIN links ON node_id = src GROUP BY 1, 2) s LEFT JOIN cells c ON c.sample_id = s.sample_id AND c.node_id = s.node_id WHERE c.node_id IS NULL"),
-        "explain_scores": links().then("SELECT sample_id, node_id, nth::INTEGER AS nth, via, round(part, 4) + 0.0 AS part FROM (SELECT *, row_number() OVER (PARTITION BY sample_id, node_id ORDER BY abs(part) DESC, via) AS nth FROM (SELECT sample_id, dst AS node_id, src AS via, x * w AS part FROM cells JOIN links ON node_id = src WHERE sample_id % 10 = 0)) WHERE nth <= 2"),
+        "explain_scores": links().then("SELECT sample_id, node_id, nth::INTEGER AS nth, via, round(part, 4) + 0.0 AS part FROM (SELECT *, row_number() OVER (PARTITION BY sample_id, node_id ORDER BY abs(part) DESC, via) AS nth FROM (SELECT sample_id, dst AS node_id, src AS via, x * w AS part FROM cells JOIN links ON node_id = src)) WHERE nth <= 2"),
         "ego_graph": links().add("pos", "SELECT * FROM links WHERE w > 0").add("near_", "SELECT 11 AS n UNION SELECT dst FROM pos WHERE src = 11 UNION SELECT src FROM pos WHERE dst = 11").then(f"SELECT src, dst, {r6('w')}, sign(w)::INTEGER AS sign FROM pos WHERE src IN (SELECT n FROM near_) AND dst IN (SELECT n FROM near_)"),
         "degree_profile": links().add("pos", "SELECT * FROM links WHERE w > 0").then("SELECT p.node_id, (SELECT count(*) FROM pos WHERE dst = p.node_id)::BIGINT AS in_degree, (SELECT count(*) FROM pos WHERE src = p.node_id)::BIGINT AS out_degree, popularity FROM (SELECT node_id, count(DISTINCT sample_id)::BIGINT AS popularity FROM cells GROUP BY 1) p"),
     }

@@ -235,7 +235,7 @@ def oracle_sql() -> dict[str, str]:
         "stream_panes": "SELECT strftime(make_timestamp((floor(epoch(ts) / 1800) * 1800 * 1000000)::BIGINT), '%Y-%m-%d %H:%M:%S') AS pane_start, event_type, count(*)::BIGINT AS n FROM events GROUP BY 1, 2",
         "windows_panes": steps().then("SELECT pane, step, n, sum(n) OVER (PARTITION BY step ORDER BY pane RANGE BETWEEN 47 PRECEDING AND CURRENT ROW)::BIGINT AS now, coalesce(sum(n) OVER (PARTITION BY step ORDER BY pane RANGE BETWEEN 95 PRECEDING AND 48 PRECEDING), 0)::BIGINT AS prev FROM steps"),
         "moments_panes": pairs().then("SELECT a, b, round(sum(s), 6) + 0.0 AS s, count(*)::BIGINT AS panes FROM pane_m GROUP BY 1, 2"),
-        "moments_windows": pairs().then('SELECT e.pane AS "end", m.a, m.b, round(sum(m.s), 6) + 0.0 AS s FROM pane_m m JOIN (SELECT DISTINCT pane FROM log WHERE pane % 480 = 0) e ON m.pane BETWEEN e.pane - 47 AND e.pane GROUP BY 1, 2, 3'),
+        "moments_windows": pairs().then('SELECT e.pane AS "end", m.a, m.b, round(sum(m.s), 6) + 0.0 AS s FROM pane_m m JOIN (SELECT DISTINCT pane FROM log) e ON m.pane BETWEEN e.pane - 47 AND e.pane GROUP BY 1, 2, 3'),
         "log_graph": log().add("g", base.log_graph_sql()).then("SELECT src, dst, round(w, 6) + 0.0 AS w FROM g"),
         "root_paths": _path_ctes().then("SELECT target, array_to_string(path, '>') AS path, ended, round(weight, 6) + 0.0 AS weight FROM paths"),
         "path_support": _path_ctes().then(f"SELECT {counts} FROM counted"),

@@ -104,3 +104,73 @@ def test_simulation_is_repeatable_and_acyclic(spark):
     levels = simulate.sample_levels(e, simulate.noise_cells(spark, 20, 6), 6)
     for r in levels.collect():
         assert abs(x[r["sample_id"]][r["node_id"]] - r["x"]) < 1e-9
+
+
+def _cells(spark, x):
+    return spark.createDataFrame([(i, j, float(x[i, j])) for i in range(len(x)) for j in range(x.shape[1])], "sample_id int, node_id int, x double")
+
+
+def test_whole_batches_equal_the_moments_run(spark):
+    _, x, c = _planted(5, 4)
+    m, cells = _matrix(spark, c), _cells(spark, x)
+    one = LearnerParams(t_outer=2, t_inner=8, k=2, tol_inner=0.0, eps=0.0)
+    start = edges(spark, [(0, 1, 0.1), (1, 2, -0.2), (2, 0, 0.1), (3, 4, 0.3)])
+    for engine, begin in (("dense", None), ("local_sparse", start), ("distributed", start)):
+        p = one if engine != "distributed" else learner.replace(one, t_outer=1, t_inner=2, k=1)
+        a = learner.fit(m, 5, p, engine, begin)[0].toPandas().sort_values(["src", "dst"])
+        b = learner.fit(m, 5, learner.replace(p, batch=len(x)), engine, begin, cells=cells)[0].toPandas().sort_values(["src", "dst"])
+        assert np.allclose(a["w"], b["w"], atol=1e-9), engine
+
+
+def test_small_batches_agree_between_engines_and_learn(spark):
+    truth, x, c = _planted(5, 4)
+    m, cells = _matrix(spark, c), _cells(spark, x)
+    rows = [(0, 1, 0.1), (1, 2, -0.2), (2, 0, 0.1), (3, 4, 0.3)]
+    p = LearnerParams(t_outer=1, t_inner=2, k=1, batch=100, eps=0.0)
+    a = learner.fit(m, 5, p, "local_sparse", edges(spark, rows), cells)[0].toPandas().sort_values(["src", "dst"])
+    b = learner.fit(m, 5, p, "distributed", edges(spark, rows), cells)[0].toPandas().sort_values(["src", "dst"])
+    assert np.allclose(a["w"], b["w"], rtol=1e-8)
+    got = learner.fit(m, 5, LearnerParams(t_outer=12, t_inner=60, batch=100, lam=0.05), "dense", cells=cells)[0].toPandas()
+    found = {(r.src, r.dst) for r in got.itertuples() if abs(r.w) >= 0.3}
+    want = set(zip(*np.nonzero(truth), strict=True))
+    assert 2 * len(found & want) / (len(found) + len(want)) > 0.6
+    with pytest.raises(ValueError):
+        learner.fit(m, 5, p, "dense")
+
+
+@pytest.mark.parametrize("options", [{"penalty_gradient": "as_printed", "lam": 0.3}, {"theta": 0.055}])
+def test_engines_agree_under_options(spark, options):
+    _, _, c = _planted(6, 5)
+    m, rows = _matrix(spark, c), [(0, 1, 0.1), (1, 2, -0.2), (2, 0, 0.1), (3, 4, 0.3), (4, 5, 0.1), (5, 3, 0.06)]
+    p = LearnerParams(t_outer=1, t_inner=2, k=1, eps=0.0, **options)
+    a, b = (learner.fit(m, 6, p, e, edges(spark, rows))[0].toPandas().sort_values(["src", "dst"]) for e in ("local_sparse", "distributed"))
+    assert list(zip(a.src, a.dst)) == list(zip(b.src, b.dst)) and np.allclose(a.w, b.w, rtol=1e-8)
+    with pytest.raises(ValueError):
+        learner.fit(m, 6, learner.replace(p, constraint="trexp"), "local_sparse", edges(spark, rows))
+
+
+def test_trace_on_the_cyclic_core():
+    r = np.random.default_rng(2)
+    w = np.where(r.random((60, 60)) < 0.04, r.uniform(-0.6, 0.6, (60, 60)), 0.0)
+    np.fill_diagonal(w, 0.0)
+    i, j = np.nonzero(w)
+    assert abs(learner.trexp_core(i, j, w[i, j], 60) - learner.trexp_dense(w)[0]) < 1e-12
+    learner.CORE, kept = 0, learner.CORE
+    a = w * w
+    low = learner.trexp_core(i, j, w[i, j], 60)
+    learner.CORE = kept
+    assert abs(low - (np.trace(a @ a) / 2 + np.trace(a @ a @ a) / 6)) < 1e-12
+
+
+def test_fisher_at_log_scale(spark):
+    from math import comb
+
+    from dagframe.operators import monitor
+
+    rows = [([1], 40, 12, 900, 1100), ([2], 3, 30, 400, 500), ([3], 0, 0, 10, 10), ([4], 5, 0, 5, 0)]
+    got = {r["path"][0]: r["p"] for r in monitor.path_test(spark.createDataFrame(rows, "path array<int>, n_now long, n_prev long, total_now long, total_prev long"), "fisher").collect()}
+    for path, x, y, a, b in rows:
+        exact = sum(comb(a, i) * comb(b, x + y - i) for i in range(x, min(x + y, a) + 1) if x + y - i <= b) / comb(a + b, x + y)
+        assert abs(got[path[0]] - exact) < 1e-9, path
+    big = spark.createDataFrame([([1], 51_000, 50_000, 10_000_000, 10_000_000)], "path array<int>, n_now long, n_prev long, total_now long, total_prev long")
+    assert 1e-4 < monitor.path_test(big, "fisher").first()["p"] < 2e-3
