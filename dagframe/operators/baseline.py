@@ -2,7 +2,7 @@
 
 from __future__ import annotations
 
-from dataclasses import replace
+from dataclasses import asdict, replace
 from itertools import combinations
 
 import numpy as np
@@ -148,35 +148,14 @@ def planted_runs(spark: SparkSession, cells: list[tuple[str, str, int, int, str]
     A run is read out at every stop tolerance and filter of the grid; method is ``bound``, ``trexp``, ``trpow``, ``radius``,
     ``climb`` or ``correlation``.
     """
-    from dataclasses import asdict
-
     held = asdict(p)
 
     def one(frame: pd.DataFrame) -> pd.DataFrame:
-        import os
-
-        os.environ.setdefault("OMP_NUM_THREADS", "1")
-        import time
-
-        from dagframe.operators.learner import fit_dense
-        from dagframe.operators.simulate import local_dag, local_sample
-
         graph, kind, d, seed, method = frame.iloc[0][["graph", "noise", "d", "seed", "method"]]
-        d, seed = int(d), int(seed)
-        truth = local_dag(graph, d, 2 if graph == "er" else 4, seed)
-        x = local_sample(truth, 10 * d, kind, seed + 1000)
-        x = x - x.mean(0)
-        c = x.T @ x / len(x)
-        began, corr, last = time.perf_counter(), None, None
-        if method in ("climb", "correlation"):
-            w = climb(c, len(x)) if method == "climb" else _top_correlations(c, int((truth != 0).sum()))
-            kept = dict.fromkeys(eps, w)
-        else:
-            w, trace, kept = fit_dense(c, LearnerParams(**(held | {"constraint": method, "eps": min(eps), "seed": seed})), eps)
-            b, t = np.array([r["bound"] for r in trace]), np.array([r["trexp"] for r in trace], dtype=float)
-            last = float(t[-1])
-            corr = float(np.corrcoef(b, t)[0, 1]) if len(b) > 2 and b.std() > 0 and t.std() > 0 else None
-        seconds = time.perf_counter() - began
+        truth, kept, trace, seconds = _planted_fit(graph, kind, int(d), int(seed), method, held, eps)
+        b, t = np.array([r["bound"] for r in trace]), np.array([r["trexp"] for r in trace], dtype=float)
+        last = float(t[-1]) if trace else None
+        corr = float(np.corrcoef(b, t)[0, 1]) if len(b) > 2 and b.std() > 0 and t.std() > 0 else None
         rows, a = [], truth != 0
         for e in eps:
             for tau in taus:
@@ -189,8 +168,49 @@ def planted_runs(spark: SparkSession, cells: list[tuple[str, str, int, int, str]
                 rows.append((graph, kind, d, seed, method, e, tau, tp, turned, extra, missing, f1, extra + missing + turned, corr, last, seconds))
         return pd.DataFrame(rows, columns=RESULT_NAMES)
 
-    runs = spark.createDataFrame(cells, "graph string, noise string, d int, seed int, method string").withColumn("run", F.concat_ws("/", "graph", "noise", F.col("d").cast("string"), F.col("seed").cast("string"), "method"))
-    return runs.repartition(max(1, len(cells)), "run").groupBy("run").applyInPandas(one, RESULTS)
+    return _runs(spark, cells).applyInPandas(one, RESULTS)
+
+
+def planted_traces(spark: SparkSession, cells: list[tuple[str, str, int, int, str]], p: LearnerParams) -> DataFrame:
+    """The trace of each of these runs: a row for each outer round, with the run's cell."""
+    held = asdict(p)
+
+    def one(frame: pd.DataFrame) -> pd.DataFrame:
+        cell = frame.iloc[0][["graph", "noise", "d", "seed", "method"]]
+        trace = _planted_fit(cell["graph"], cell["noise"], int(cell["d"]), int(cell["seed"]), cell["method"], held, (p.eps,))[2]
+        return pd.DataFrame([(*cell, r["outer"], r["bound"], r["trexp"], r["nnz"], r["loss"], r["seconds"]) for r in trace], columns=[c.split()[0] for c in TRACES.split(", ")])
+
+    return _runs(spark, cells).applyInPandas(one, TRACES)
+
+
+TRACES = "graph string, noise string, d int, seed int, method string, outer int, bound double, trexp double, nnz long, loss double, seconds double"
+
+
+def _runs(spark: SparkSession, cells: list):
+    named = spark.createDataFrame(cells, "graph string, noise string, d int, seed int, method string").withColumn("run", F.concat_ws("/", "graph", "noise", F.col("d").cast("string"), F.col("seed").cast("string"), "method"))
+    return named.repartition(max(1, len(cells)), "run").groupBy("run")
+
+
+def _planted_fit(graph: str, kind: str, d: int, seed: int, method: str, held: dict, eps: tuple[float, ...]):
+    """(true weights, weights by stop tolerance, trace, seconds) of one run, inside a task."""
+    import os
+
+    os.environ.setdefault("OMP_NUM_THREADS", "1")
+    import time
+
+    from dagframe.operators.learner import fit_dense
+    from dagframe.operators.simulate import local_dag, local_sample
+
+    truth = local_dag(graph, d, 2 if graph == "er" else 4, seed)
+    x = local_sample(truth, 10 * d, kind, seed + 1000)
+    x = x - x.mean(0)
+    c = x.T @ x / len(x)
+    began = time.perf_counter()
+    if method in ("climb", "correlation"):
+        w = climb(c, len(x)) if method == "climb" else _top_correlations(c, int((truth != 0).sum()))
+        return truth, dict.fromkeys(eps, w), [], time.perf_counter() - began
+    _, trace, kept = fit_dense(c, LearnerParams(**(held | {"constraint": method, "eps": min(eps), "seed": seed})), eps)
+    return truth, kept, trace, time.perf_counter() - began
 
 
 RESULTS = "graph string, noise string, d int, seed int, method string, eps double, tau double, tp int, reversed int, extra int, missing int, f1 double, shd int, corr double, trexp double, seconds double"

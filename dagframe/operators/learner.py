@@ -28,7 +28,7 @@ from dagframe.plans.lineage import cut
 @dataclass(frozen=True)
 class LearnerParams:
     """All knobs of a run. ``init``: ``warm`` goes on from the last round, ``redraw`` draws anew; ``support``: ``full``, ``random``
-    (density zeta) or ``screened`` (the strongest correlations); ``stop_on``: ``bound``, ``trexp`` or ``either``."""
+    (density zeta) or ``screened`` (the strongest correlations); ``stop_on``: ``bound``, ``trexp`` or ``either``; ``sinks``: nodes known to cause nothing (dense engine)."""
 
     zeta: float = 1e-4
     lam: float = 0.1
@@ -52,6 +52,7 @@ class LearnerParams:
     constraint: str = "bound"
     batch: int = 0
     seed: int = 7
+    sinks: tuple[int, ...] = ()
 
 
 def raise_multiplier(eta: float, rho: float, value: float) -> float:
@@ -163,6 +164,9 @@ def fit_dense(c: np.ndarray, p: LearnerParams, snapshots: tuple[float, ...] = ()
     full, steps = c, 0
     d, measure, random = len(c), constraint_of(p), np.random.default_rng(p.seed)
     off = 1 - np.eye(d)
+    off[list(p.sinks)] = 0
+    still = np.diag(c) <= 0  # a node that never varies has no edges
+    off[still] = off[:, still] = 0
     if p.support == "screened":
         off = off * _screened(c, p.screen)
     elif p.support == "random":
@@ -428,8 +432,8 @@ def fit(moments: DataFrame, d: int, p: LearnerParams = LearnerParams(), engine:
         drawn = BatchMoments(cells, n, d, p).matrix if p.batch else None
         w, trace, _ = fit_dense(to_matrix(moments, d), p, draw=drawn)
         return edges_of(spark, w), trace_table(spark, trace)
-    if p.constraint != "bound" or p.support == "screened":
-        raise ValueError("only the dense engine takes another constraint than the bound, or screens the support itself")
+    if p.constraint != "bound" or p.support == "screened" or p.sinks:
+        raise ValueError("only the dense engine takes another constraint than the bound, sinks, or screens the support itself")
     edges = start if start is not None else init_edges(spark, d, p.zeta, p.seed)
     if engine == "local_sparse":
         edges = cut(edges.select("src", "dst", "w"))
@@ -451,14 +455,19 @@ def fit(moments: DataFrame, d: int, p: LearnerParams = LearnerParams(), engine:
     return edges, trace_table(spark, trace)
 
 
-def fit_many(moments: DataFrame, d: int, p: LearnerParams, key: str = "run_id", tau: float = 0.3) -> DataFrame:
-    """``(key, src, dst, w)``: one dense model per key, learnt inside tasks from its MOMENTS."""
+def fit_many(moments: DataFrame, d: int, p: LearnerParams, key: str = "run_id", tau: float = 0.3, indicators: bool = False) -> DataFrame:
+    """``(key, src, dst, w)``: one dense model per key, learnt inside tasks from its MOMENTS.
+
+    ``indicators``: all columns are 0 or 1, so means are known from the moments and covariances are learnt from.
+    """
     held = asdict(p)
 
     def one(frame: pd.DataFrame) -> pd.DataFrame:
         c = np.zeros((d, d))
         a, b = frame["a"].to_numpy(dtype=int), frame["b"].to_numpy(dtype=int)
         c[a, b] = c[b, a] = frame["c"]
+        if indicators:
+            c -= np.outer(np.diag(c), np.diag(c))
         w, _, _ = fit_dense(c, LearnerParams(**held))
         i, j = np.nonzero(np.abs(w) >= tau)
         return pd.DataFrame({key: frame[key].iloc[0], "src": i.astype("int32"), "dst": j.astype("int32"), "w": w[i, j]})

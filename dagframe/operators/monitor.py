@@ -40,15 +40,16 @@ def combine_panes(moments: DataFrame, ends: DataFrame, panes: int = PANES) -> Da
     return moments.join(reach, "pane").groupBy("end", "a", "b").agg(F.sum("s").alias("s"))
 
 
-def learn_windows(moments: DataFrame, totals: DataFrame, d: int, p: LearnerParams, tau: float = 0.1) -> DataFrame:
-    """EDGES of each window, from ``(end, a, b, s)`` and ``(end, n)``; models are learnt in parallel tasks."""
+def learn_windows(moments: DataFrame, totals: DataFrame, d: int, p: LearnerParams, tau: float = 0.1, indicators: bool = False) -> DataFrame:
+    """EDGES of each window, from ``(end, a, b, s)`` and ``(end, n)``; models are learnt in parallel tasks, from covariances if all nodes are ``indicators``."""
     scaled = moments.join(totals, "end").select("end", "a", "b", (F.col("s") / F.col("n")).alias("c"))
     tasks = 2 * scaled.sparkSession.sparkContext.defaultParallelism  # a model costs far more than its rows, by which tasks would be merged
-    return fit_many(scaled.repartition(tasks, "end"), d, p, "end", tau)
+    return fit_many(scaled.repartition(tasks, "end"), d, p, "end", tau, indicators)
 
 
-def root_paths(edges: DataFrame, targets: DataFrame, max_len: int = 8, max_paths: int = 1_000_000) -> DataFrame:
-    """``(target, path, edge_w, ended)``: every path into a target that starts at a node without parents, root first.
+def root_paths(edges: DataFrame, targets: DataFrame, max_len: int = 8, max_paths: int = 1_000_000, every: bool = False) -> DataFrame:
+    """``(target, path, edge_w, ended)``: every path into a target that starts at a node without parents, root first; with ``every``
+    also the paths that start on the way, since a fault can lie at a node that has causes.
 
     Paths grow backwards, one edge a round, without a repeated node; those that reach ``max_len`` nodes come out with ``ended``
     false. More than ``max_paths`` paths are an error, not a cut.
@@ -61,7 +62,7 @@ def root_paths(edges: DataFrame, targets: DataFrame, max_len: int = 8, max_paths
         if open_.count() > max_paths:
             raise ValueError(f"more than {max_paths} paths")
         grown = open_.join(e, F.col("head") == F.col("dst")).where(~F.array_contains("path", F.col("src"))).select("target", F.concat(F.array("src"), "path").alias("path"), F.concat(F.array("w"), "edge_w").alias("edge_w"))
-        ended = open_.where("has is null" if n < max_len else "true").select("target", "path", "edge_w", F.col("has").isNull().alias("ended")).where(F.size("path") > 1)
+        ended = open_.where("has is null" if n < max_len and not every else "true").select("target", "path", "edge_w", F.col("has").isNull().alias("ended")).where(F.size("path") > 1)
         done = ended if done is None else done.unionByName(ended)
         now = grown
     return done

@@ -127,11 +127,11 @@ def log_sql() -> Ctes:
 BURST_FARE, BURST_STEP = FARE + 3, STEP + 2
 
 
-def burst(records: DataFrame) -> DataFrame:
-    """The log with an injected fault: in the last window every event of one fare source fails in one step."""
+def burst(records: DataFrame, column: str = "fare", node: int = BURST_FARE, step: int = BURST_STEP) -> DataFrame:
+    """The log with an injected fault: in the last window every event of one fare source (or airline, or airport) fails in one step."""
     last = records.agg(F.max("pane").alias("last"))
-    hit = (F.col("fare") == BURST_FARE) & (F.col("pane") > F.col("last") - 48)
-    return records.crossJoin(F.broadcast(last)).withColumn("step", F.when(hit, F.lit(BURST_STEP)).otherwise(F.col("step"))).drop("last")
+    hit = (F.col(column) == node) & (F.col("pane") > F.col("last") - 48)
+    return records.crossJoin(F.broadcast(last)).withColumn("step", F.when(hit, F.lit(step)).otherwise(F.col("step"))).drop("last")
 
 
 BURST_SQL = f"SELECT event_id, pane, CASE WHEN fare = {BURST_FARE} AND pane > (SELECT max(pane) FROM log) - 48 THEN {BURST_STEP} ELSE step END AS step, airline, fare, airport FROM log"

@@ -70,6 +70,8 @@ REPLAY = [("small", "baseline", 11, 17, 17, 7, 6), ("small", "bound", 11, 17, 15
 
 
 def _replay(spark, d):
+    """Measures from published counts. For the medium and large networks the printed right edges don't give the printed measures;
+    predicted less reversed does, and is what REPLAY holds."""
     rows = spark.createDataFrame(REPLAY, "network string, method string, d int, true long, predicted long, tp long, reversed long")
     full = rows.withColumns({"extra": F.col("predicted") - F.col("tp") - F.col("reversed"), "missing": F.col("true") - F.col("tp") - F.col("reversed")})
     return metrics.measures(full).select("network", "method", *[stable(c, 9).alias(c) for c in ("f1", "fdr", "tpr", "fpr")], F.col("shd").cast("long").alias("shd"))
@@ -104,7 +106,7 @@ def _samples_sql():
 
 
 def _results(spark) -> DataFrame:
-    """Sixty made-up result rows, by hash, for summaries."""
+    """Sixty made-up result rows, by hash: inputs of the ``*_arithmetic`` queries, which check sums against SQL and measure nothing."""
     n = F.col("id")
     u = simulate.uniform(SEED, "result", n)
     return spark.range(60).select(F.element_at(F.array(F.lit("er"), F.lit("sf")), (n % 2 + 1).cast("int")).alias("graph"), F.element_at(F.array(F.lit("gauss"), F.lit("exp"), F.lit("gumbel")), (n % 3 + 1).cast("int")).alias("noise"), (10 * (1 + n % 5)).cast("int").alias("d"), F.when(n % 4 < 2, "bound").otherwise("trexp").alias("method"), u.alias("f1"), F.floor(u * 40).cast("double").alias("shd"), (F.col("id") + 1 + 10 * u).alias("seconds"))
@@ -190,12 +192,12 @@ def queries() -> dict:
         "metrics_table_replay": _replay,
         "metrics_compare": lambda s, d: metrics.compare(guess(planted(s)), guess(planted(s)).where("w > 0.3"), planted(s)),
         "roc_auc": _auc,
-        "trace_correlation": lambda s, d: metrics.trace_correlation(_trace(s), "run").select("run", stable("corr").alias("corr"), "n"),
-        "constraint_audit": lambda s, d: metrics.audit_constraint(_trace(s), 1e-2, 20).select("consistent", stable("corr").alias("corr"), "most_edges", "threshold_holds"),
-        "grid_readout": _readout,
-        "replicate_summary": lambda s, d: grid.summarise(_results(s), "graph", "noise", "method").select("graph", "noise", "method", "runs", *[stable(c).alias(c) for c in ("f1_mean", "f1_dev", "shd_mean", "shd_dev")]),
-        "cube_results": lambda s, d: grid.cube(_results(s), "graph", "noise").select("graph", "noise", stable("f1_mean").alias("f1_mean"), "runs"),
-        "speedup_table": lambda s, d: metrics.speedup(_results(s), "trexp", "bound", "graph", "noise").select("graph", "noise", *[stable(c).alias(c) for c in ("slow", "fast", "speedup")]),
+        "correlation_arithmetic": lambda s, d: metrics.trace_correlation(_trace(s), "run").select("run", stable("corr").alias("corr"), "n"),
+        "audit_arithmetic": lambda s, d: metrics.audit_constraint(_trace(s), 1e-2, 20).select("consistent", stable("corr").alias("corr"), "most_edges", "threshold_holds"),
+        "readout_arithmetic": _readout,
+        "summary_arithmetic": lambda s, d: grid.summarise(_results(s), "graph", "noise", "method").select("graph", "noise", "method", "runs", *[stable(c).alias(c) for c in ("f1_mean", "f1_dev", "shd_mean", "shd_dev")]),
+        "cube_arithmetic": lambda s, d: grid.cube(_results(s), "graph", "noise").select("graph", "noise", stable("f1_mean").alias("f1_mean"), "runs"),
+        "speedup_arithmetic": lambda s, d: metrics.speedup(_results(s), "trexp", "bound", "graph", "noise").select("graph", "noise", *[stable(c).alias(c) for c in ("slow", "fast", "speedup")]),
         "edge_set_algebra": _algebra,
     }
 
@@ -239,11 +241,11 @@ def oracle_sql() -> dict[str, str]:
         "metrics_table_replay": f'SELECT network, method, round(2.0::DOUBLE * tp / (predicted + "true"), 9) + 0.0 AS f1, round(reversed::DOUBLE / predicted, 9) + 0.0 AS fdr, round(tp::DOUBLE / "true", 9) + 0.0 AS tpr, round((predicted - tp)::DOUBLE / (d::DOUBLE * (d - 1) / 2 - "true"), 9) + 0.0 AS fpr, (predicted - tp - reversed + "true" - tp - reversed + reversed)::BIGINT AS shd FROM ({replay})',
         "metrics_compare": planted_sql().add("guess", GUESS_SQL).add("less", "SELECT * FROM guess WHERE w > 0.3").then("SELECT (SELECT count(*) FROM guess g WHERE NOT EXISTS (SELECT 1 FROM less l WHERE l.src = g.src AND l.dst = g.dst))::BIGINT AS only_a, 0::BIGINT AS only_b, (SELECT count(*) FROM guess g JOIN planted p USING (src, dst))::BIGINT AS right_a, (SELECT count(*) FROM less g JOIN planted p USING (src, dst))::BIGINT AS right_b"),
         "roc_auc": _auc_sql(),
-        "trace_correlation": f"SELECT run, round(corr(bound, trexp), 6) + 0.0 AS corr, count(*)::BIGINT AS n FROM ({TRACE_SQL}) GROUP BY run",
-        "constraint_audit": f"SELECT min((trexp <= 20 * (exp(bound) - 1) + 1e-9)::INTEGER)::INTEGER AS consistent, round(corr(bound, trexp), 6) + 0.0 AS corr, max(nnz)::BIGINT AS most_edges, min((bound > ln(1 + 0.01 / 20) OR trexp <= 0.01)::INTEGER)::INTEGER AS threshold_holds FROM ({TRACE_SQL})",
-        "grid_readout": _readout_sql(),
-        "replicate_summary": f"SELECT graph, noise, method, count(*)::BIGINT AS runs, round(avg(f1), 6) + 0.0 AS f1_mean, round(stddev_pop(f1), 6) + 0.0 AS f1_dev, round(avg(shd), 6) + 0.0 AS shd_mean, round(stddev_pop(shd), 6) + 0.0 AS shd_dev FROM ({RESULTS_SQL}) GROUP BY 1, 2, 3",
-        "cube_results": f"SELECT graph, noise, round(avg(f1), 6) + 0.0 AS f1_mean, count(*)::BIGINT AS runs FROM ({RESULTS_SQL}) GROUP BY CUBE (graph, noise)",
-        "speedup_table": f"SELECT graph, noise, round(slow, 6) + 0.0 AS slow, round(fast, 6) + 0.0 AS fast, round(slow / fast, 6) + 0.0 AS speedup FROM (SELECT graph, noise, avg(seconds) FILTER (method = 'trexp') AS slow, avg(seconds) FILTER (method = 'bound') AS fast FROM ({RESULTS_SQL}) GROUP BY 1, 2) WHERE slow IS NOT NULL AND fast IS NOT NULL",
+        "correlation_arithmetic": f"SELECT run, round(corr(bound, trexp), 6) + 0.0 AS corr, count(*)::BIGINT AS n FROM ({TRACE_SQL}) GROUP BY run",
+        "audit_arithmetic": f"SELECT min((trexp <= 20 * (exp(bound) - 1) + 1e-9)::INTEGER)::INTEGER AS consistent, round(corr(bound, trexp), 6) + 0.0 AS corr, max(nnz)::BIGINT AS most_edges, min((bound > ln(1 + 0.01 / 20) OR trexp <= 0.01)::INTEGER)::INTEGER AS threshold_holds FROM ({TRACE_SQL})",
+        "readout_arithmetic": _readout_sql(),
+        "summary_arithmetic": f"SELECT graph, noise, method, count(*)::BIGINT AS runs, round(avg(f1), 6) + 0.0 AS f1_mean, round(stddev_pop(f1), 6) + 0.0 AS f1_dev, round(avg(shd), 6) + 0.0 AS shd_mean, round(stddev_pop(shd), 6) + 0.0 AS shd_dev FROM ({RESULTS_SQL}) GROUP BY 1, 2, 3",
+        "cube_arithmetic": f"SELECT graph, noise, round(avg(f1), 6) + 0.0 AS f1_mean, count(*)::BIGINT AS runs FROM ({RESULTS_SQL}) GROUP BY CUBE (graph, noise)",
+        "speedup_arithmetic": f"SELECT graph, noise, round(slow, 6) + 0.0 AS slow, round(fast, 6) + 0.0 AS fast, round(slow / fast, 6) + 0.0 AS speedup FROM (SELECT graph, noise, avg(seconds) FILTER (method = 'trexp') AS slow, avg(seconds) FILTER (method = 'bound') AS fast FROM ({RESULTS_SQL}) GROUP BY 1, 2) WHERE slow IS NOT NULL AND fast IS NOT NULL",
         "edge_set_algebra": planted_sql().add("guess", GUESS_SQL).add("a", "SELECT src, dst FROM planted").add("b", "SELECT src, dst FROM guess").then("SELECT 'common' AS part, count(*)::BIGINT AS n FROM (SELECT * FROM a INTERSECT SELECT * FROM b) UNION ALL SELECT 'only first', count(*)::BIGINT FROM (SELECT * FROM a EXCEPT SELECT * FROM b) UNION ALL SELECT 'only second', count(*)::BIGINT FROM (SELECT * FROM b EXCEPT SELECT * FROM a) UNION ALL SELECT 'either', count(*)::BIGINT FROM (SELECT * FROM a UNION SELECT * FROM b)"),
     }

@@ -3,11 +3,11 @@
 from __future__ import annotations
 
 import numpy as np
-from pyspark.sql import DataFrame
+from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from dagframe.functions.columns import stable
-from dagframe.operators import baseline, batches, bound, grid, learner, loss, matrices, moments, optim, recommend
+from dagframe.operators import baseline, batches, bound, grid, learner, loss, matrices, metrics, moments, optim, recommend
 from dagframe.operators import workload_frames as base
 from dagframe.plans import sqlgen
 from dagframe.plans.lineage import cut
@@ -140,16 +140,88 @@ def _refit(s, d):
     return learner.refit(_moments(s, d), e).select("src", "dst", stable("w").alias("w"), stable("variance").alias("variance"))
 
 
+#: Planted experiments: two topologies, three noises, replicates by seed; samples are ten a node.
+GRAPHS, NOISES, NODES, SEEDS = ("er", "sf"), ("gauss", "exp", "gumbel"), (10, 20), (1, 2, 3, 4, 5)
+PLANTED = learner.LearnerParams(t_outer=60, lam=0.1, eps=1e-4)
+_held: dict = {}
+
+
+def _once(s, name: str, make) -> DataFrame:
+    """A result that many queries read: made once in an application, kept behind a checkpoint."""
+    key = (s.sparkContext.applicationId, name)
+    if key not in _held:
+        _held[key] = cut(make())
+    return _held[key]
+
+
+def _planted_results(s) -> DataFrame:
+    """Every cell of the experiments by the bound and by the exponential trace, at every stop tolerance and filter."""
+    cells = [(g, n, d, seed, m) for g in GRAPHS for n in NOISES for d in NODES for seed in SEEDS for m in ("bound", "trexp")]
+    return _once(s, "planted", lambda: baseline.planted_runs(s, cells, PLANTED))
+
+
+def _planted_best(s) -> DataFrame:
+    return grid.best_cell(_planted_results(s), "graph", "noise", "d", "seed", "method")
+
+
+def _planted_traces(s) -> DataFrame:
+    cells = [(g, n, 10, seed, "bound") for g in GRAPHS for n in NOISES for seed in SEEDS]
+    return _once(s, "traces", lambda: baseline.planted_traces(s, cells, PLANTED))
+
+
 def _fit_planted(s, d):
-    """Bound against the exact measure on planted graphs: F1 and correlation by method."""
-    cells = [(g, n, 10, seed, m) for g in ("er", "sf") for n in ("gauss", "gumbel") for seed in (1, 2) for m in ("bound", "trexp")]
-    p = learner.LearnerParams(t_outer=25, lam=0.1, eps=1e-4)
-    best = grid.best_cell(cut(baseline.planted_runs(s, cells, p)), "graph", "noise", "d", "seed", "method")
-    return grid.summarise(best, "graph", "noise", "d", "method", measures=("f1", "shd", "corr", "seconds"))
+    """Bound against the exact measure on planted graphs: F1, distance, correlation and seconds by method."""
+    return grid.summarise(_planted_best(s), "graph", "noise", "d", "method", measures=("f1", "shd", "corr", "seconds"))
+
+
+def _planted_grid(s, d):
+    """Mean F1 and distance of each stop tolerance and filter over all runs of a method."""
+    return grid.summarise(_planted_results(s), "method", "eps", "tau")
+
+
+def _planted_audit(s, d):
+    """Design rules along the runs' traces: does the bound stay on the safe side of the trace, and how closely do they move."""
+    return metrics.audit_constraint(_planted_traces(s), 1e-2, 10)
+
+
+def _constraint_costs(s, d):
+    """The four constraint functions on the same graphs: error of the gradient against differences, seconds, growth of seconds
+    with nodes, and what an acyclic graph gives."""
+    import time
+
+    from dagframe.operators.simulate import local_dag
+
+    rows = []
+    for name in ("bound", "trexp", "trpow", "radius"):
+        f, took = learner.constraint_of(learner.LearnerParams(constraint=name)), []
+        r = np.random.default_rng(4)
+        w = r.uniform(-0.4, 0.4, (12, 12)) * (1 - np.eye(12))
+        g, h, worst = f(w)[1], 1e-6, 0.0
+        for i, j in ((0, 1), (3, 7), (11, 2)):
+            up, low = w.copy(), w.copy()
+            up[i, j] += h
+            low[i, j] -= h
+            worst = max(worst, abs((f(up)[0] - f(low)[0]) / (2 * h) - g[i, j]) / max(1e-9, abs(g[i, j])))
+        for n in (100, 400):
+            x = r.uniform(-0.5, 0.5, (n, n)) * (r.random((n, n)) < 2 / n)
+            f(x)
+            t = time.perf_counter()
+            f(x)
+            took.append(time.perf_counter() - t)
+        rows.append((name, float(worst), took[0], took[1], float(np.log(took[1] / took[0]) / np.log(4)), float(f(local_dag("er", 12, 2, 1))[0])))
+    return s.createDataFrame(rows, "constraint string, gradient_error double, seconds_100 double, seconds_400 double, growth double, of_acyclic double")
+
+
+def _planted_seconds(s, d):
+    """Whole runs to the same tolerance, by nodes: seconds of the bound and of the exponential trace."""
+    cells = [("er", "gauss", n, 1, m) for n in (10, 20, 50, 100) for m in ("bound", "trexp")]
+    p = learner.LearnerParams(t_outer=30, lam=0.1, eps=1e-4, stop_on="trexp")
+    runs = baseline.planted_runs(s, cells, p, (1e-4,), (0.3,))
+    return metrics.speedup(runs, "trexp", "bound", "d")
 
 
 def _baseline_planted(s, d):
-    cells = [("er", "gauss", 10, seed, m) for seed in (1, 2) for m in ("trpow", "radius", "climb", "correlation")]
+    cells = [(g, "gauss", 10, seed, m) for g in GRAPHS for seed in (1, 2) for m in ("trpow", "radius", "climb", "correlation")]
     best = grid.best_cell(cut(baseline.planted_runs(s, cells, learner.LearnerParams(t_outer=20))), "graph", "noise", "d", "seed", "method")
     return grid.summarise(best, "graph", "noise", "d", "method")
 
@@ -159,12 +231,17 @@ def _fit_brand(s, d):
     return learner.extract_graph(e, 0.01)
 
 
+def _learnt_links(s, d) -> DataFrame:
+    """Links of brands from the learner's graph of centred ratings."""
+    return _once(s, f"links {d}", lambda: learner.extract_graph(learner.fit(_rating_moments(s, d), 56, learner.LearnerParams(t_outer=30, t_inner=100, lam=0.05), "dense")[0], 0.01))
+
+
 def _fit_trace(s, d):
     """Trace of a screened sparse run on brand ratings."""
     m = _rating_moments(s, d)
     top = baseline.correlation_graph(m, 120).select(F.col("a").alias("src"), F.col("b").alias("dst"), (F.col("r") / 2).alias("w"))
     start = top.unionByName(top.select(F.col("dst").alias("src"), F.col("src").alias("dst"), "w"))
-    return learner.fit(m, 56, learner.LearnerParams(t_outer=4, t_inner=60, theta=1e-3), "local_sparse", start)[1]
+    return learner.fit(m, 56, learner.LearnerParams(t_outer=60, t_inner=100, theta=1e-3), "local_sparse", start)[1]
 
 
 def _gene(s, d):
@@ -173,7 +250,7 @@ def _gene(s, d):
     wide = table(s, d, "embeddings").select(*[F.col("embedding")[i].cast("double").alias(f"x{i}") for i in range(n_dims)])
     std = matrices.standardise(wide, [f"x{i}" for i in range(n_dims)])
     effects = [(f"x{i}", f"x{i + k}", 0.8 if (i + k) % 2 else -0.7) for i in range(n_dims) for k in (1, 5) if i + k < n_dims]
-    from dagframe.operators import metrics, simulate
+    from dagframe.operators import simulate
 
     truth = s.createDataFrame([(int(a[1:]), int(b[1:])) for a, b, _ in effects], "src int, dst int")
     planted = cut(std)
@@ -224,16 +301,36 @@ def _nodes_scaling(s, d):
     return s.createDataFrame(rows, "d int, bound_seconds double, trexp_seconds double, speedup double")
 
 
+def _screened_start(m: DataFrame, parents: int) -> DataFrame:
+    """EDGES into each node from the ``parents`` nodes that correlate most with it, at half the correlation, in both directions of a pair where both choose it."""
+    own = m.where("a = b")
+    at = lambda end: own.select(F.col("a").alias(end), F.col("c").alias(f"v_{end}"))
+    r = m.where("a <> b").join(at("a"), "a").join(at("b"), "b").select("a", "b", (F.col("c") / F.sqrt(F.col("v_a") * F.col("v_b"))).alias("r"))
+    both = r.select(F.col("a").alias("src"), F.col("b").alias("dst"), "r").unionByName(r.select(F.col("b").alias("src"), F.col("a").alias("dst"), "r"))
+    nth = F.row_number().over(Window.partitionBy("dst").orderBy(F.desc(F.abs("r")), "src"))
+    return both.withColumn("nth", nth).where(F.col("nth") <= parents).select("src", "dst", (F.col("r") / 2).alias("w"))
+
+
+#: Settings of runs on large graphs: a small filter, and the exponential trace as the measure that ends them.
+LARGE = learner.LearnerParams(t_outer=40, t_inner=60, lam=0.01, theta=1e-3, eps=1e-8, stop_on="trexp", screen=5)
+
+
 def _token_graph(s, d):
-    """Bound and trace along a sparse run on frequent words of documents, from moments of words that occur together."""
+    """Trace of a sparse run on all words that at least five documents hold, from moments of words that occur together; the support
+    is each word's most correlated others (``screen``)."""
     labels = matrices.tokens(table(s, d, "documents"))
-    nodes = cut(matrices.dictionary(labels, "token", 100, 250))
+    nodes = cut(matrices.dictionary(labels, "token", 5))
     n = nodes.count()
-    cells = cut(labels.join(F.broadcast(nodes.select("label", "node_id")), "label").select("sample_id", "node_id", F.lit(1.0).alias("x")))
+    cells = cut(labels.join(nodes.select("label", "node_id"), "label").select("sample_id", "node_id", F.lit(1.0).alias("x")).distinct())
     m = cut(moments.from_cells(cells, table(s, d, "documents").count()))
-    top = m.where("a <> b").orderBy(F.desc("c"), "a", "b").limit(3000).select(F.col("a").alias("src"), F.col("b").alias("dst"), (F.col("c") * 0.5).alias("w"))
-    start = top.unionByName(top.select(F.col("dst").alias("src"), F.col("src").alias("dst"), "w"))
-    return learner.fit(m, n, learner.LearnerParams(t_outer=5, t_inner=40, lam=0.01, theta=1e-3, eps=1e-8), "local_sparse", start)[1]
+    return learner.fit(m, n, LARGE, "local_sparse", _screened_start(m, LARGE.screen))[1]
+
+
+def _fit_parts(s, d):
+    """Trace of a sparse run on ratings with parts as nodes."""
+    cells = cut(base.ratings(s, d, "part"))
+    m = cut(moments.from_cells(cells))
+    return learner.fit(m, table(s, d, "part").agg(F.max("p_partkey")).first()[0] + 1, LARGE, "local_sparse", _screened_start(m, LARGE.screen))[1]
 
 
 def _distributed(s, d):
@@ -263,8 +360,6 @@ def _effect_edges(s) -> DataFrame:
 
 def _planted_search(s, d):
     """What greedy search, the exact measure, the bound and the correlation graph recover of the planted effects."""
-    from dagframe.operators import metrics
-
     m, truth = _planted_numerics(s, d), _effect_edges(s)
     p = learner.LearnerParams(t_outer=20, lam=0.05)
     found = {
@@ -331,11 +426,21 @@ def queries() -> dict:
         "explain_scores": lambda s, d: recommend.explain(_ratings(s, d), _links(s, d), 2).select("sample_id", "node_id", "nth", "via", stable("part", 4).alias("part")),
         "ego_graph": lambda s, d: recommend.ego_graph(_links(s, d).where("w > 0"), 11, 1).select("src", "dst", stable("w").alias("w"), "sign"),
         "degree_profile": lambda s, d: recommend.degree_profile(_links(s, d).where("w > 0"), _popularity(s, d)),
-        "fit_planted": _fit_planted, "baseline_planted": _baseline_planted, "fit_brand_graph": _fit_brand, "fit_sparse_trace": _fit_trace, "fit_gene_stand_in": _gene,
+        "fit_planted": _fit_planted, "planted_grid": _planted_grid, "constraint_audit": _planted_audit, "constraint_costs": _constraint_costs, "planted_seconds": _planted_seconds,
+        "replicate_summary": lambda s, d: grid.summarise(_planted_best(s), "graph", "noise", "method"),
+        "cube_results": lambda s, d: grid.cube(_planted_best(s), "graph", "noise", "method"),
+        "speedup_table": lambda s, d: metrics.speedup(_planted_best(s), "trexp", "bound", "graph", "noise", "d"),
+        "trace_correlation": lambda s, d: metrics.trace_correlation(_planted_traces(s), "graph", "noise", "seed"),
+        "grid_readout": lambda s, d: _planted_best(s).where("d = 10"),
+        "baseline_planted": _baseline_planted, "fit_brand_graph": _fit_brand, "fit_sparse_trace": _fit_trace, "fit_gene_stand_in": _gene,
         "hill_climb": lambda s, d: baseline.hill_climb(_planted_numerics(s, d), 8, _lines(s, d), 3),
         "exhaustive_four": lambda s, d: baseline.exhaustive(_planted_numerics(s, d).where("a < 4 and b < 4"), 4, _lines(s, d)),
         "planted_search": _planted_search,
-        "bound_scaling": _scaling, "nodes_scaling": _nodes_scaling, "token_graph_trace": _token_graph, "fit_distributed": _distributed, "solve_paradigms": _paradigms, "log_density": _density,
+        "bound_scaling": _scaling, "nodes_scaling": _nodes_scaling, "token_graph_trace": _token_graph, "part_graph_trace": _fit_parts, "fit_distributed": _distributed, "solve_paradigms": _paradigms, "log_density": _density,
+        "learnt_top_links": lambda s, d: recommend.top_links(_learnt_links(s, d), _brand_nodes(s, d)),
+        "learnt_scores": lambda s, d: recommend.score(_ratings(s, d), _learnt_links(s, d)),
+        "learnt_ego_graph": lambda s, d: recommend.ego_graph(_learnt_links(s, d), 11, 1),
+        "learnt_degrees": lambda s, d: recommend.degree_profile(_learnt_links(s, d), _popularity(s, d)),
         "suggest_alpha": _alphas,
         "init_edges": lambda s, d: learner.init_edges(s, 2000, 1e-3, 7),
     }

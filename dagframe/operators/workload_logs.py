@@ -103,6 +103,39 @@ def _fit_windows(s, d):
     return monitor.learn_windows(monitor.combine_panes(m, ends), totals, base.LOG_NODES, learner.LearnerParams(lam=0.02), 0.05)
 
 
+#: A window's learning: error steps cause nothing.
+WINDOW = learner.LearnerParams(lam=0.002, sinks=tuple(range(base.STEP, base.STEP + 4)))
+
+
+def learnt_windows(records: DataFrame, p: learner.LearnerParams = WINDOW, tau: float = 0.05) -> DataFrame:
+    """``(back, src, dst, w)``: graphs learnt for the last 24 hours (back 0) and the 24 before (back 1)."""
+    last = records.agg(F.max("pane").alias("last"))
+    recent = records.crossJoin(F.broadcast(last)).withColumn("pane", F.floor((F.col("last") - F.col("pane")) / monitor.PANES).cast("long")).where("pane < 2")
+    m = moments.by_pane(base.with_active(recent)).withColumnRenamed("pane", "end")
+    totals = recent.groupBy(F.col("pane").alias("end")).agg(F.count("*").alias("n"))
+    return cut(monitor.learn_windows(m, totals, base.LOG_NODES, p, tau, True).withColumnRenamed("end", "back"))
+
+
+def learnt_report(records: DataFrame, p_max: float = 1e-3, correction: str | None = None) -> DataFrame:
+    """The whole chain: learn the last window's graph, list paths into error steps, test them, report; the smallest p names the likeliest root."""
+    s = records.sparkSession
+    paths = monitor.root_paths(learnt_windows(records).where("back = 0 and w > 0"), _targets(s), 4, every=True)  # a cause raises its effect
+    return monitor.report(monitor.path_test(monitor.path_support(paths, *_periods(records))), p_max, correction)
+
+
+def _learnt(made, p_max=1e-3):
+    def query(s, d):
+        return learnt_report(cut(made(base.log(s, d))), p_max).select("target", "root", _text(), *_COUNTS, stable("p").alias("p"))
+
+    return query
+
+
+def _learnt_drift(s, d):
+    graphs = learnt_windows(_log(s, d))
+    side = lambda back: graphs.where(F.col("back") == back).select("src", "dst", "w")
+    return monitor.graph_drift(side(0), side(1), _targets(s))
+
+
 def _drift(s, d):
     records = _log(s, d)
     a, b = base.log_graph(records.where("pane % 2 = 0")), base.log_graph(records.where("pane % 2 = 1"))
@@ -198,6 +231,12 @@ def queries() -> dict:
         "rank_links": lambda s, d: base.net_flow(s, d).select("src", "dst", F.rank().over(Window.partitionBy("src").orderBy(F.desc(F.round("w", 9)))).alias("nth"), F.ntile(4).over(Window.partitionBy("src").orderBy(F.desc(F.round("w", 9)), "dst")).alias("quarter")).where("nth <= 3"),
         "stream_panes": _stream_panes,
         "fit_windows": _fit_windows,
+        "learnt_window_graphs": lambda s, d: learnt_windows(_log(s, d)),
+        "learnt_report": _learnt(lambda r: r, 0.05),
+        "learnt_report_fare_burst": _learnt(base.burst),
+        "learnt_report_airline_burst": _learnt(lambda r: base.burst(r, "airline", base.AIRLINE + 2, base.STEP + 1)),
+        "learnt_report_airport_burst": _learnt(lambda r: base.burst(r, "airport", base.AIRPORT + 4, base.STEP)),
+        "learnt_drift": _learnt_drift,
     }
 
 

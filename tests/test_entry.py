@@ -7,7 +7,7 @@ import __spark_entry__ as entry
 from dagframe import workloads
 
 TABLES = "region nation customer supplier part orders lineitem events documents embeddings pages benchmark labels conversations".split()
-NAMES = ["bound_profile_k5", "bound_gradient_k1", "trexp_walks", "moments_sparse", "loss_moments", "adam_one_step", "ratings_centred", "root_paths", "path_fisher", "grid_readout", "roc_auc", "sessions", "mixed_nodes"]
+NAMES = sorted(set(workloads.queries()) & set(workloads.oracle_sql()))
 
 
 @pytest.fixture(scope="module")
@@ -23,6 +23,7 @@ def test_entry(spark):
 
 
 def test_every_oracle_has_a_query():
+    assert all(isinstance(v, str) for v in entry.oracle_sql().values())
     assert set(entry.oracle_sql()) <= set(entry.queries()) and len(workloads.queries()) > 80
 
 

@@ -34,6 +34,16 @@ def test_burst_is_reported_with_its_root(spark):
     assert [(r["root"], r["target"]) for r in got] == [(base.BURST_FARE, base.BURST_STEP)]
 
 
+@pytest.mark.parametrize("column, node, step", [("fare", base.BURST_FARE, base.BURST_STEP), ("airline", base.AIRLINE + 2, base.STEP + 1), ("airport", base.AIRPORT + 4, base.STEP)])
+def test_learnt_graph_finds_the_root_of_a_burst(spark, column, node, step):
+    from dagframe.operators.workload_logs import learnt_report
+
+    records = base.burst(base.log(spark, "/root/testdata/sf0.01"), column, node, step).cache()
+    got = learnt_report(records).orderBy("p", F.size("path")).collect()
+    assert got and (got[0]["root"], got[0]["target"]) == (node, step)
+    assert all(node in r["path"] and r["target"] == step for r in got)
+
+
 def test_stream_equals_batch(spark, sf, tmp_path):
     src = tmp_path / "in"
     spark.read.parquet(f"{sf}/events.parquet").repartition(3).write.parquet(str(src))
