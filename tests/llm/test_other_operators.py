@@ -35,7 +35,7 @@ def test_embeddings_against_brute_force(spark):
     x = np.concatenate([base, near, near[:40], np.repeat(base[:1], 60, 0) + 0.02 * r.standard_normal((60, 16))]).astype(np.float32)
     odd = [None, [], [0.0] * 16, [float("nan")] + [1.0] * 15, [None] + [1.0] * 15, [float("inf")] + [1.0] * 15, [1.0, 2.0]]
     rows = [(i, v.tolist()) for i, v in enumerate(x)] + [(1000 + i, v) for i, v in enumerate(odd)] + [(None, base[5].astype(np.float32).tolist())]
-    for options in ({}, {"leaf": 32}):
+    for options in ({}, {"leaf": 32}, {"cell": 50}, {"leaf": 64, "cell": 20}):
         got = embeddings.near_duplicates(spark.createDataFrame(rows, "vec_id long, embedding array<float>"), **options).toPandas()
         u = embeddings.unit(np.concatenate([x, base[5:6].astype(np.float32)]))
         close = u @ u.T >= 0.95
@@ -47,6 +47,21 @@ def test_embeddings_against_brute_force(spark):
     assert embeddings.near_duplicates(spark.createDataFrame([], "vec_id long, embedding array<float>")).count() == 0
 
 
+def test_embeddings_of_the_given_table_with_near_copies(spark):
+    table = spark.read.parquet("/root/testdata/sf0.01/embeddings.parquet")
+    rows = [(r["vec_id"], r["embedding"]) for r in table.collect() if r["embedding"]]
+    r = np.random.default_rng(6)
+    near = [(10_000 + i, (np.array(v) * (1 + 0.2 * r.standard_normal(len(v)))).astype(np.float32).tolist()) for i, (_, v) in enumerate(rows[:200])]
+    both = spark.createDataFrame([(i, v, 1, 2) for i, v in rows + near], "vec_id long, embedding array<float>, n int, node int")
+    u = embeddings.unit(np.array([v for _, v in rows + near], dtype=np.float32))
+    close = u @ u.T >= 0.95
+    np.fill_diagonal(close, False)
+    assert close.sum() >= 200
+    for options in ({}, {"leaf": 64}):
+        got = embeddings.near_duplicates(both, **options).toPandas().set_index("vec_id").loc[[i for i, _ in rows + near]]
+        assert (got.n_links.to_numpy() <= close.sum(1)).all() and got.n_links.sum() >= 0.9 * close.sum()
+
+
 PAGE = """<html><head><title>t</title><style>p{}</style></head><body><header>Site</header><nav><a href=x>menu</a></nav><div class="cookie-notice">We use cookies</div>
 <div id="content"><div class="post"><h1>Title &amp; more</h1><p>First paragraph, long enough to be prose, with a <a href=y>link</a>.<p>Second   one
 with <b>bold</b> text&hellip;<ul><li>one<li>two</ul><form><input>name</form><script>var a = "<p>no</p>";</script></div>
