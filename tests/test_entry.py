@@ -1,6 +1,10 @@
 """The entry's queries against DuckDB on the smallest tables."""
 
+from decimal import Decimal
+
 import duckdb
+import numpy as np
+import pandas as pd
 import pytest
 
 import __spark_entry__ as entry
@@ -32,5 +36,6 @@ def test_twin(spark, sf, duck, name):
     a, b = workloads.queries()[name](spark, sf).toPandas(), duck.sql(workloads.oracle_sql()[name]).df()
     cols = sorted(a.columns)
     assert cols == sorted(b.columns)
-    rows = lambda f: sorted(map(tuple, f[cols].astype(str).to_numpy()))
+    one = lambda v: "" if pd.isna(v) else str(float(v)) if isinstance(v, (int, float, np.number, Decimal)) else str(v)
+    rows = lambda f: sorted(tuple(map(one, r)) for r in f[cols].astype(object).to_numpy())
     assert rows(a) == rows(b)
