@@ -25,6 +25,11 @@ def window_counts(stream: DataFrame, *keys: str, ts: str = "ts", late: str = "1
     return stream.withWatermark(ts, late).groupBy(F.window(ts, length, slide), *keys).agg(F.count("*").alias("n"))
 
 
+def late_rows(query) -> int:
+    """Rows that a stream's stateful operators dropped since they came after the watermark, over all progress reports it keeps."""
+    return sum(int(op["numRowsDroppedByWatermark"]) for report in query.recentProgress for op in report["stateOperators"])
+
+
 def user_sessions(frame: DataFrame, user: str = "user_id", ts: str = "ts", gap: str = "2 hours") -> DataFrame:
     """Sessions of users, as samples: start, end, events and errors."""
     grouped = frame.groupBy(F.session_window(ts, gap).alias("s"), user)

@@ -7,9 +7,9 @@ from collections.abc import Callable
 from pyspark.sql import DataFrame, SparkSession
 
 from dagframe.operators import workload_frames as base
-from dagframe.operators import workload_graphs, workload_learning, workload_logs
+from dagframe.operators import workload_graphs, workload_learning, workload_logs, workload_relational
 
-PARTS = (workload_graphs, workload_learning, workload_logs)
+PARTS = (workload_graphs, workload_learning, workload_logs, workload_relational)
 
 Query = Callable[[SparkSession, str], DataFrame]
 

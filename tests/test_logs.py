@@ -1,4 +1,5 @@
 import datetime as dt
+import time
 
 import pytest
 from pyspark.sql import functions as F
@@ -118,3 +119,17 @@ def test_interval_and_session_operators(spark):
     ev = spark.sql("select * from values (1, timestamp'2024-01-01 00:00:00', 7, 'view'), (2, timestamp'2024-01-01 00:20:00', 7, 'error'), (3, timestamp'2024-01-01 05:00:00', 7, 'click'), (4, timestamp'2024-01-01 00:10:00', 8, 'view') t(event_id, ts, user_id, event_type)")
     assert [(r["error_id"], r["event_id"]) for r in monitoring.interval_causes(ev).collect()] == [(2, 1)]
     assert sorted((r["user_id"], r["n_events"], r["n_errors"]) for r in monitoring.user_sessions(ev).collect()) == [(7, 1, 0), (7, 2, 1), (8, 1, 0)]
+
+
+def test_late_rows_are_dropped_and_counted(spark, tmp_path):
+    src = tmp_path / "n"
+    times = ["2024-01-01 00:10:00", "2024-01-01 06:00:00"], ["2024-01-01 12:00:00"], ["2024-01-01 00:20:00", "2024-01-01 11:40:00"], ["2024-01-02 00:00:00"]
+    for part in times:
+        spark.createDataFrame([(t,) for t in part], "t string").select(F.col("t").cast("timestamp").alias("ts")).coalesce(1).write.mode("append").parquet(str(src))
+        time.sleep(1.1)  # files are taken by age, in seconds
+    out: list = []
+    stream = spark.readStream.schema("ts timestamp").option("maxFilesPerTrigger", 1).parquet(str(src))
+    query = monitoring.run(monitoring.pane_counts(stream), lambda b, k: out.extend(b.collect()), str(tmp_path / "c"), once=True)
+    query.awaitTermination(120)
+    assert monitoring.late_rows(query) == 1
+    assert sum(r["n"] for r in out) == 4  # the last pane is still open, the late row is gone
