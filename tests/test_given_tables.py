@@ -4,7 +4,7 @@ import pytest
 
 from dagframe import workloads
 
-GIVEN = ["audit_arithmetic", "bound_peeled_first", "bound_thresholds", "correlation_arithmetic", "cube_arithmetic", "edge_confusion", "edge_set_algebra"]
+GIVEN = ["audit_arithmetic", "bound_peeled_first", "bound_thresholds", "constraint_costs", "correlation_arithmetic", "cube_arithmetic", "edge_confusion", "edge_set_algebra"]
 
 
 @pytest.mark.parametrize("name", GIVEN)
