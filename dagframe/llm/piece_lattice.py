@@ -12,8 +12,8 @@ packed by tasks and passed on by the driver, whose memory it bounds. Texts that
 missing segments meet the dictionary in a join, and the answers fill the gaps. A segment is known by 96 bits of two hashes in
 the compact table, which takes segments of at most ``SHORT`` code points, and by its text in the join.
 
-Segments of more than ``LONG`` code points are merged from the same edges with a heap in Python: a fold's cost grows with
-the square of the length. U+2581 in a text reads back as a space, as with the library.
+Segments of more than ``LONG`` code points are merged from the same edges with a heap in Python: the fold for BPE keeps a
+segment's boundaries as the bits of one long. U+2581 in a text reads back as a space, as with the library.
 """
 
 from __future__ import annotations
@@ -32,7 +32,7 @@ from dagframe.llm.common import read_table, release, with_checkpoints
 
 MODEL = "piece_bpe_32k.model"
 SPACE = "▁"
-LONG = SHORT = 255
+LONG, SHORT = 61, 255
 DICTIONARY_BYTES = 64 << 20
 ENTRY_BYTES = 23
 GROUP = 1 << 18
@@ -225,17 +225,63 @@ def segments(docs: DataFrame, text: str, model: PieceModel) -> DataFrame:
         release()
 
     found = docs.select(F.coalesce(F.col(text), F.lit("")).alias("t")).mapInArrow(run, f"segment string, singles array<{'smallint' if small else 'int'}>, n long")
-    return found.groupBy("segment").agg(F.first("singles").alias("singles"), F.sum("n").alias("n"))
+    return found.groupBy("segment", "singles").agg(F.sum("n").alias("n"))  # the segment alone fixes its singles; as keys they are hashed, not sorted
 
 
-def _merged(edges: str) -> str:
-    """Fold for BPE. State: at each boundary the next boundary, elsewhere 0. A step merges the first edge, best ones coming
-    first, that spans just two of the present parts; once there is none, the last place is -1 and steps do nothing."""
-    fits = "x -> b[x.s] > 0 and b[b[x.s]] = x.e"
-    merge = "transform(b, (z, i) -> if(y is null, if(i = n, -1, z), if(i = y.s, y.e, if(i = b[y.s], 0, z))))"
-    last = "transform(sequence(0, n), i -> if(i < n, i + 1, 0))"
-    step = f"if(b[n] < 0, b, transform(array(get(filter({edges}, {fits}), 0)), y -> {merge})[0])"
-    return f"aggregate(sequence(1, n - 1), {last}, (b, k) -> {step})"
+@dataclass
+class Packing:
+    """How an edge of a BPE lattice stands in one long: level, start, length, id and whether it is early, from the highest bits
+    down, so that edges sort by level, then start."""
+
+    ids: int
+    lengths: int
+    starts: int
+
+    @classmethod
+    def of(cls, model: PieceModel) -> Packing:
+        ids, lengths = len(model.pieces).bit_length(), max(2, model.longest).bit_length()
+        return cls(ids, lengths, 62 - 2 * ids - lengths)
+
+    def packed(self, level: str, start: str, length: str, piece: str, early: str) -> str:
+        return f"shiftleft(shiftleft(shiftleft(shiftleft(cast({level} as bigint), {self.starts}) + {start}, {self.lengths}) + {length}, {self.ids}) + {piece}, 1) + if({early}, 1, 0)"
+
+    def start(self, x: str) -> str:
+        return f"cast(shiftright({x}, {self.ids + self.lengths + 1}) & {(1 << self.starts) - 1}L as int)"
+
+    def length(self, x: str) -> str:
+        return f"cast(shiftright({x}, {self.ids + 1}) & {(1 << self.lengths) - 1}L as int)"
+
+    def piece(self, x: str) -> str:
+        return f"cast(shiftright({x}, 1) & {(1 << self.ids) - 1}L as int)"
+
+    def masks(self, x: str) -> str:
+        """An edge with the boundaries within it, and these with both its ends, as bits."""
+        within, all_ = f"shiftleft(1L, {self.length(x)} - 1) - 1L", f"shiftleft(1L, {self.length(x)} + 1) - 1L"
+        return f"struct({x} as p, shiftleft({within}, {self.start(x)} + 1) as inner, shiftleft({all_}, {self.start(x)}) as span)"
+
+    def unpacked(self, x: int) -> tuple[int, int, int, int]:
+        """(level, start, end, id)."""
+        s = x >> self.ids + self.lengths + 1 & (1 << self.starts) - 1
+        return x >> self.ids + self.lengths + self.starts + 1, s, s + (x >> self.ids + 1 & (1 << self.lengths) - 1), x >> 1 & (1 << self.ids) - 1
+
+
+def _early(model: PieceModel, levels: dict[float, int]) -> set[str]:
+    """Pieces that merge before one of their two parts, at some place where they can be cut in two: after a merge, only these can
+    be next although they come before it in the order of edges."""
+    known = {p: levels[s] for p, _, s in model.rows()}
+    part = lambda p: -1 if len(p) == 1 else known.get(p)
+    halves = lambda p: ((part(p[:k]), part(p[k:])) for k in range(1, len(p)))
+    return {p for p, own in known.items() if any(a is not None and b is not None and max(a, b) >= own for a, b in halves(p))}
+
+
+def _merged() -> str:
+    """Fold for BPE. State: the present boundaries as bits. An edge merges if it spans just two of the present parts: one boundary
+    lies within it, and both its ends are there. A pass takes the edges in order, best first; a merge that makes an earlier
+    one fit sets the sign, the rest of the pass does nothing, and another pass begins. Each merges something, so n are enough."""
+    fits = lambda b, x: f"bit_count({b} & {x}.inner) = 1 and bit_count({b} & {x}.span) = 3"
+    back = f"exists(early, y -> y.p < x.p and {fits('(b & ~x.inner)', 'y')})"
+    step = f"if(b >= 0 and {fits('b', 'x')}, if({back}, (b & ~x.inner) | shiftleft(1L, 63), b & ~x.inner), b)"
+    return f"aggregate(sequence(1, n), full | shiftleft(1L, 63), (a, k) -> if(a >= 0, a, aggregate(edges, a & {(1 << 63) - 1}L, (b, x) -> {step})))"
 
 
 def _best_path(edges: str) -> str:
@@ -251,38 +297,42 @@ def encoded_segments(found: DataFrame, model: PieceModel) -> DataFrame:
     spark = found.sparkSession
     levels = {v: k for k, v in enumerate(sorted({s for *_, s in model.rows()}, reverse=True))}
     least = 2 if model.bpe else 1  # merges start from characters, which have their ids already
-    table = spark.createDataFrame([("", 0, -1, 0.0), *((p, levels[s], i, s) for p, i, s in model.rows() if len(p) >= least)], "piece string, level int, id int, score double")
-    spans = f"flatten(transform(sequence(0, length(segment) - {least}), i -> transform(sequence({least}, least({model.longest}, length(segment) - i)), m -> struct(i as s, i + m as e, substring(segment, i + 1, m) as piece))))"
-    nothing = "array(struct(0 as s, 0 as e, '' as piece))"  # so that a segment without edges stays
-    parts = found.select("segment", "singles", "n", F.explode(F.expr(f"if(length(segment) < {least}, {nothing}, concat({spans}, {nothing}))")).alias("x")).select("segment", "singles", "n", "x.s", "x.e", "x.piece")
-    kept = ["level", "s", "e", "id"] if model.bpe else ["level", "s", "e", "id", "score"]
-    edges = parts.join(F.broadcast(table), "piece").groupBy("segment").agg(F.first("singles").alias("singles"), F.first("n").alias("seen"), F.sort_array(F.collect_list(F.when(F.col("e") > 0, F.struct(*kept)))).alias("wide"))
-    sized = edges.withColumn("n", F.length("segment"))
-    byte = f"transform(sequence(1, octet_length(substring(segment, q.s + 1, 1))), k -> cast(conv(substring(hex(encode(substring(segment, q.s + 1, 1), 'utf-8')), 2 * k - 1, 2), 16, 10) as int) + {model.first_byte})"
-    part = f"if(q.e = q.s + 1, if(singles[q.s] >= 0, array(cast(singles[q.s] as int)), {byte}), array(filter(wide, w -> w.s = q.s and w.e = q.e)[0].id))"
-    if model.bpe:
-        alone = F.expr("transform(sequence(0, n), i -> if(i < n, i + 1, 0))")
-        boundaries = F.when(F.size("wide") == 0, alone).otherwise(F.expr(_merged("wide")))
-        places = "filter(transform(b, (e, s) -> struct(s as s, e as e)), x -> x.e > 0)"
-    else:
-        boundaries = F.expr(_best_path("wide"))
-        places = "transform(sequence(0, size(b) - 2), i -> struct(b[i] as s, b[i + 1] as e))"
-    laid = F.expr(f"flatten(transform({places}, q -> {part}))")
+    pack, early = Packing.of(model), _early(model, levels) if model.bpe else set()
+    table = spark.createDataFrame([("", 0, -1, 0.0, False), *((p, levels[s], i, s, p in early) for p, i, s in model.rows() if len(p) >= least)], "piece string, level int, id int, score double, early boolean")
+    starts = found.select("segment", "singles", "n", F.explode(F.expr(f"sequence(0, greatest(0, length(segment) - {least}))")).alias("s"))
+    first = f"if(s = 0, 0, {least})"  # the empty piece is there once, so that a segment without edges stays
+    sizes = starts.select("*", F.explode(F.expr(f"sequence({first}, greatest({first}, least({model.longest}, length(segment) - s)))")).alias("m"))
+    parts = sizes.select("segment", "singles", "n", "s", "m", F.expr("coalesce(substring(segment, s + 1, m), '')").alias("piece"))  # never null, so that no filter cuts it out once more
+    edge = F.expr(pack.packed("level", "s", "m", "id", "early") if model.bpe else "struct(level, s, s + m as e, id, score)")
+    edges = parts.join(F.broadcast(table), "piece").groupBy("segment", "singles", "n").agg(F.sort_array(F.collect_list(F.when(F.col("m") > 0, edge))).alias("wide"))
+    sized = edges.withColumnRenamed("n", "seen").withColumn("n", F.length("segment"))
+    single = lambda i: (
+        f"if(singles[{i}] >= 0, array(cast(singles[{i}] as int)), transform(sequence(1, octet_length(substring(segment, {i} + 1, 1))), "
+        f"k -> cast(conv(substring(hex(encode(substring(segment, {i} + 1, 1), 'utf-8')), 2 * k - 1, 2), 16, 10) as int) + {model.first_byte}))"
+    )
     if not model.bpe:
-        return sized.withColumn("b", boundaries).select("segment", F.col("seen").alias("n"), laid.alias("ids"))
+        places = "transform(sequence(0, size(b) - 2), i -> struct(b[i] as s, b[i + 1] as e))"
+        laid = F.expr(f"flatten(transform({places}, q -> if(q.e = q.s + 1, {single('q.s')}, array(filter(wide, w -> w.s = q.s and w.e = q.e)[0].id))))")
+        return sized.withColumn("b", F.expr(_best_path("wide"))).select("segment", F.col("seen").alias("n"), laid.alias("ids"))
 
     @F.pandas_udf("array<int>")
     def heap(text: pd.Series, wide: pd.Series, singles: pd.Series) -> pd.Series:
-        return pd.Series([None if t is None else _merge_long(t, x, one, model) for t, x, one in zip(text, wide, singles, strict=True)], dtype=object)
+        return pd.Series([None if t is None else _merge_long(t, [pack.unpacked(int(e)) for e in x], one, model) for t, x, one in zip(text, wide, singles, strict=True)], dtype=object)
 
     own = lambda c: F.when(F.col("n") > LONG, F.col(c))
-    both = sized.withColumn("b", F.when(F.col("n") <= LONG, boundaries)).withColumn("folded", F.when(F.col("n") <= LONG, laid))
+    short = lambda e: F.when(F.col("n") <= LONG, F.expr(e))
+    masks = sized.withColumn("edges", short(f"transform(wide, x -> {pack.masks('x')})")).withColumn("full", short("shiftleft(1L, n + 1) - 1L"))
+    merged = masks.withColumn("early", short("filter(edges, x -> (x.p & 1L) = 1)")).withColumn("b", short(_merged()))
+    kept = "filter(edges, x -> (b & x.inner) = 0 and bit_count(b & x.span) = 2)"
+    begin = "filter(sequence(0, n - 1), i -> (shiftright(b, i) & 1L) = 1)"
+    laid = f"flatten(transform({begin}, i -> if((shiftright(b, i + 1) & 1L) = 1, {single('i')}, transform(filter(kept, x -> {pack.start('x.p')} = i), x -> {pack.piece('x.p')}))))"
+    both = merged.withColumn("kept", short(kept)).withColumn("folded", short(laid))
     return both.select("segment", F.col("seen").alias("n"), F.coalesce("folded", heap(own("segment"), own("wide"), own("singles"))).alias("ids"))
 
 
-def _merge_long(text: str, edges: list, singles: list, model: PieceModel) -> list[int]:
+def _merge_long(text: str, edges: list[tuple[int, int, int, int]], singles: list, model: PieceModel) -> list[int]:
     """The same merges as the fold's, for long segments: neighbours in a linked list, candidates in a heap."""
-    known = {(r["s"], r["e"]): (r["level"], r["id"]) for r in edges}
+    known = {(s, e): (level, i) for level, s, e, i in edges}
     after = list(range(1, len(text) + 2))
     before = list(range(-1, len(text) + 1))
     alive, queue = [True] * (len(text) + 1), []

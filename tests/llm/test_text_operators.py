@@ -258,6 +258,26 @@ def test_sentencepiece(spark, odd, none, docs):
     assert piece_lattice.encode(none).count() == 0
 
 
+def test_bpe_fold_is_lean_and_exact(spark):
+    """No sort before the lattice, and the library's merges for words of joined pieces, at lengths on both sides of the fold's last."""
+    import sentencepiece
+
+    own, model = sentencepiece.SentencePieceProcessor(model_file=piece_lattice.default_path()), piece_lattice.PieceModel.load(piece_lattice.default_path())
+    r, letters = np.random.default_rng(5), [p for p, *_ in model.rows() if p.isalpha() and p.isascii()]
+    words = ["".join(r.choice(letters, size=k)) for k in range(1, 9) for _ in range(40)] + ["ation" * 13, "o" * 59 + "é", "o" * 60 + "é", "o" * 61 + "é", "a" * 300]
+    docs = spark.createDataFrame(list(enumerate(words)), "doc_id long, text string")
+    found = piece_lattice.segments(docs, "text", model)
+    assert "SortAggregate" not in found._jdf.queryExecution().executedPlan().toString()
+    assert found.where(F.length("segment") > piece_lattice.LONG).count() and found.where(F.length("segment").between(piece_lattice.LONG - 5, piece_lattice.LONG)).count()
+    got = {r["segment"]: r["ids"] for r in piece_lattice.encoded_segments(found, model).collect()}
+    cutter, lost = piece_lattice.Cutter(model), []
+    for w in words:
+        points, at, *_ = cutter.cut([w])
+        parts = [points[i:j].tobytes().decode("utf-32-le") for i, j in zip(at[:-1], at[1:], strict=True)]
+        lost += [w] if [i for x in parts for i in got[x]] != own.encode(w) else []
+    assert not lost
+
+
 def test_viterbi_fold(spark):
     pieces = ["a", "b", "c", "ab", "bc", "abc", "▁", "▁a"]
     scores = [-2.0, -2.0, -2.0, -2.5, -1.5, -5.0, -1.0, -3.5]
