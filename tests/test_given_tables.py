@@ -6,7 +6,7 @@ import pytest
 from dagframe import workloads
 from dagframe.operators import workload_learning
 
-GIVEN = ["audit_arithmetic", "baseline_planted", "bound_peeled_first", "bound_thresholds", "constraint_audit", "constraint_costs", "correlation_arithmetic", "cube_arithmetic", "edge_confusion", "edge_set_algebra"]
+GIVEN = ["audit_arithmetic", "baseline_planted", "bound_peeled_first", "bound_thresholds", "constraint_audit", "constraint_costs", "correlation_arithmetic", "cube_arithmetic", "cube_results", "edge_confusion", "edge_set_algebra"]
 
 
 @pytest.mark.parametrize("name", GIVEN)
